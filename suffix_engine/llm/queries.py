@@ -32,7 +32,7 @@ FROM j GROUP BY doc_id
 """
 
 WINDOW_SQL = r"""
-WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), x -> x <> '') AS w FROM documents),
+WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
 p AS (SELECT doc_id, unnest(range(1, len(w) - 11)) AS i, w FROM d WHERE len(w) >= 13),
 s AS (SELECT doc_id, i, array_to_string(w[i:i + 12], ' ') AS win FROM p),
 f AS (SELECT win, min(doc_id) AS first FROM s GROUP BY win),
