@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from suffix_engine.llm import lines, substring, windows
+from suffix_engine.llm import decontaminate, lines, media, quality, substring, tokens, urls, windows
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -16,8 +17,13 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op3_substring_dedup": lambda spark, d: substring.substring_digests(_documents(spark, d)),
+        "op4_quality_classifier": lambda spark, d: quality.quality_scores(_documents(spark, d), spark.read.parquet(f"{d}/labels.parquet")),
+        "op5_media_columns": lambda spark, d: media.document_media(_documents(spark, d)),
         "op6_line_dedup": lambda spark, d: lines.line_digests(_documents(spark, d)),
         "op8_window_dedup": lambda spark, d: windows.window_digests(_documents(spark, d)),
+        "op7_benchmark_decontamination": lambda spark, d: decontaminate.contamination(_documents(spark, d), spark.read.parquet(f"{d}/benchmark.parquet")),
+        "op9_url_filter": lambda spark, d: urls.judge(spark.read.parquet(f"{d}/pages.parquet")),
+        "op10_token_counts": lambda spark, d: tokens.token_report(_documents(spark, d), public_tokenizers.path("byte_bpe_50k.json")),
     }
 
 
@@ -44,5 +50,21 @@ SELECT d.doc_id, coalesce(a.n, 0) AS n_words, coalesce(a.r, 0) AS n_removed, sha
 """
 
 
+CONTAMINATION_SQL = r"""
+WITH d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+i AS (SELECT item_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM benchmark),
+v AS (SELECT item_id, unnest(range(1, greatest(2, len(w) - 11))) AS i, w FROM i WHERE len(w) > 0),
+p AS (SELECT DISTINCT item_id, array_to_string(w[i:i + 12], ' ') AS win, len(w[i:i + 12]) AS k FROM v),
+n AS (SELECT DISTINCT k FROM p),
+e AS (SELECT doc_id, k, unnest(range(1, len(w) - k + 2)) AS i, w FROM d, n WHERE len(w) >= k),
+h AS (SELECT e.doc_id, p.item_id, e.k, e.i FROM e JOIN p ON p.k = e.k AND p.win = array_to_string(e.w[e.i:e.i + e.k - 1], ' ')),
+x AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT doc_id, unnest(range(i, i + k)) AS j FROM h) GROUP BY doc_id),
+y AS (SELECT doc_id, count(DISTINCT item_id) AS n, string_agg(DISTINCT item_id::VARCHAR, ',' ORDER BY item_id::VARCHAR) AS s FROM h GROUP BY doc_id)
+SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(x.n, 0) AS n_hit, coalesce(y.n, 0) AS n_items, sha256(coalesce(y.s, '')) AS items_sha256,
+       coalesce(x.n, 0) > 0 AND 20 * coalesce(x.n, 0) >= len(w) AS contaminated
+FROM d LEFT JOIN x USING (doc_id) LEFT JOIN y USING (doc_id)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op6_line_dedup": LINE_SQL, "op8_window_dedup": WINDOW_SQL}
+    return {"op7_benchmark_decontamination": CONTAMINATION_SQL, "op6_line_dedup": LINE_SQL, "op8_window_dedup": WINDOW_SQL}
