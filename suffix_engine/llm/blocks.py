@@ -21,6 +21,7 @@ import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Bytes of stored input aimed at for a block.
 BLOCK_BYTES = 6 << 20
@@ -94,7 +95,8 @@ class Docs:
     """The documents of a block, in the order of their ids: one buffer of bytes and its bounds."""
 
     def __init__(self, table: pa.Table):
-        table = table.select(["doc_id", "text"]).sort_by([("doc_id", "ascending"), ("text", "ascending")])
+        #: All columns, in the order of the documents.
+        self.table = table = table.sort_by([("doc_id", "ascending"), ("text", "ascending")])
         self.raw_ids = table["doc_id"].combine_chunks()
         self.ids = pc.fill_null(self.raw_ids.cast(pa.int64()), int(NO_ID)).to_numpy(zero_copy_only=False)
         text = pc.fill_null(table["text"].cast(pa.large_string()), "").combine_chunks()
@@ -200,9 +202,10 @@ def by_bucket(bucket: np.ndarray, n_buckets: int) -> Iterator[tuple[int, int, in
             yield k, int(edges[k]), int(edges[k + 1])
 
 
-def exchange(docs: DataFrame, kernel: Kernel, n_blocks: int | None = None, buckets_per_block: int = 1) -> DataFrame:
-    """Runs a kernel over documents (doc_id, text); other columns aren't read."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+def exchange(docs: DataFrame, kernel: Kernel, n_blocks: int | None = None, buckets_per_block: int = 1, keep: tuple[str, ...] = ()) -> DataFrame:
+    """Runs a kernel over documents (doc_id, text). Of the other columns only those to keep are read; they follow the kernel's."""
+    kept = [(f"_keep_{i}", c, docs.schema[c].dataType) for i, c in enumerate(keep)]
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *(F.col(c).alias(k) for k, c, _ in kept))
     n = n_blocks or block_count(docs)
     n_buckets = n * buckets_per_block
     dealt = docs.withColumn("block", F.pmod(F.xxhash64("doc_id"), F.lit(n)).cast("int")).repartition(n, "block")
@@ -223,9 +226,12 @@ def exchange(docs: DataFrame, kernel: Kernel, n_blocks: int | None = None, bucke
     def finish(left: pa.Table, right: pa.Table) -> pa.Table:
         own = Docs(left)
         answers = {k.as_py(): unpack(x.as_py()) for k, x in zip(right["bucket"], right["payload"], strict=True)}
-        return pa.table({"doc_id": own.raw_ids} | kernel.apply(own, n_buckets, answers)).select(names)
+        return pa.table({"doc_id": own.raw_ids} | kernel.apply(own, n_buckets, answers) | {k: own.table[k] for k, _, _ in kept}).select([*names, *(k for k, _, _ in kept)])
 
     bundle = "block int, bucket int, payload binary"
     asked = dealt.groupBy("block").applyInArrow(ask, bundle)
     told = asked.groupBy("bucket").applyInArrow(answer, bundle)
-    return dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(finish, kernel.schema)
+    schema = T.StructType.fromDDL(kernel.schema)
+    for k, _, kind in kept:
+        schema = schema.add(k, kind)
+    return dealt.groupBy("block").cogroup(told.groupBy("block")).applyInArrow(finish, schema).withColumnsRenamed({k: c for k, c, _ in kept})

@@ -10,6 +10,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Bytes that are not in words become spaces, A-Z becomes a-z; bytes from 0x80 on are parts of words.
 _CLEAN = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -62,18 +63,21 @@ def chunks(rows: Iterator[tuple[object, str | None]], size: int) -> Iterator[lis
 _BUILT: dict[int, ahocorasick.Automaton] = {}
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:
+def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_words, the words hit (begin, end in word numbers), their spans in the original text (in characters) and the item ids.
 
     The benchmark is read through an iterator and broadcast in automata of bounded size; documents are scanned once for each, which
     is once unless the benchmark has over AUTOMATON_CHARS characters of windows. Null and empty texts have no words; an item
     without words never occurs; items with one id count as one, a null id as the empty string. All rows stay, repeated ones too.
-    Empty tables are fine on both sides. Other columns aren't read.
+    Empty tables are fine on both sides. Of the other columns only those to keep are read.
     """
     sc = docs.sparkSession.sparkContext
     hit = "array<struct<begin:bigint,end:bigint>>"
-    schema = f"doc_id long, text string, n_words long, words {hit}, items array<string>"
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.lit(0).cast("long").alias("n_words"), F.lit(None).cast(hit).alias("words"), F.lit(None).cast("array<string>").alias("items"))
+    kept = [(f"_keep_{i}", c, docs.schema[c].dataType) for i, c in enumerate(keep)]
+    schema = T.StructType.fromDDL(f"doc_id long, text string, n_words long, words {hit}, items array<string>")
+    for k, _, kind_ in kept:
+        schema = schema.add(k, kind_)
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.lit(0).cast("long").alias("n_words"), F.lit(None).cast(hit).alias("words"), F.lit(None).cast("array<string>").alias("items"), *(F.col(c).alias(k) for k, c, _ in kept))
     rows = ((r[0], r[1]) for r in benchmark.select(F.col("item_id"), F.col("text")).toLocalIterator())
     kind = pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))
 
@@ -101,13 +105,13 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:
                         spans = _union(spans)
                     ranges.append([{"begin": a, "end": b} for a, b in spans])
                     items.append(sorted(own))
-                yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["text"], pa.array(n_words, pa.int64()), pa.array(ranges, kind), pa.array(items, pa.list_(pa.string()))], ["doc_id", "text", "n_words", "words", "items"])
+                yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["text"], pa.array(n_words, pa.int64()), pa.array(ranges, kind), pa.array(items, pa.list_(pa.string())), *(batch[k] for k, _, _ in kept)], ["doc_id", "text", "n_words", "words", "items", *(k for k, _, _ in kept)])
 
         return run
 
     for own in [*chunks(rows, size)] or [[]]:
         out = out.mapInArrow(pass_over(sc.broadcast(item_windows(own, size))), schema)
-    return out
+    return out.withColumnsRenamed({k: c for k, c, _ in kept})
 
 
 def _union(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -126,10 +130,20 @@ def original_spans(text: str, words: list[tuple[int, int]]) -> list[tuple[int, i
     return [(at[a][0], at[b - 1][1]) for a, b in words]
 
 
+def _hits():
+    return F.aggregate("words", F.lit(0).cast("long"), lambda s, x: s + x["end"] - x["begin"])
+
+
+def clean(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:
+    """The documents that are not contaminated, with all their columns; a null text becomes an empty one."""
+    rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
+    hits = _hits()
+    return scan(docs, benchmark, size, rest).where((hits == 0) | (20 * hits < F.col("n_words"))).select(docs.columns)
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:
     """n_hit words of n_words are in windows of n_items items; contaminated if they are a twentieth of all words."""
-    hits = F.aggregate("words", F.lit(0).cast("long"), lambda s, x: s + x["end"] - x["begin"])
-    out = scan(docs, benchmark, size).select("doc_id", "n_words", hits.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"))
+    out = scan(docs, benchmark, size).select("doc_id", "n_words", _hits().alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"))
     return out.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
 
 

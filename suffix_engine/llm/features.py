@@ -49,15 +49,23 @@ def shape_features(b: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return out
 
 
-def word_features(b: np.ndarray, bounds: np.ndarray, buckets: int) -> np.ndarray:
-    """One row for each text: root shares of its lower-cased words by hash."""
+def word_slots(b: np.ndarray, bounds: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Which hashed lower-cased words each text has, as (text, slot) without repeats, and the number of words of each text."""
     low = b.copy()
-    upper = (low >= 65) & (low <= 90)
-    low[upper] += 32
+    low[(low >= 65) & (low <= 90)] += 32
     solid = low.copy()
     solid[_CLASS[low] >= 7] = 32  # marks part words
     begin, end, first = word_ranges(solid, bounds)
     slot = (mix(HASH.ranges(low, begin, end)) % np.uint64(buckets)).astype(np.int64)
-    doc = np.repeat(np.arange(len(bounds) - 1), np.diff(first))
-    counts = np.bincount(doc * buckets + slot, minlength=(len(bounds) - 1) * buckets).reshape(-1, buckets)
-    return np.sqrt(counts / np.maximum(counts.sum(axis=1, keepdims=True), 1)).astype(np.float32)
+    counts = np.diff(first)
+    both = np.unique(np.repeat(np.arange(len(bounds) - 1), counts) * buckets + slot)
+    return both // buckets, both % buckets, counts
+
+
+def class_shares(b: np.ndarray, bounds: np.ndarray) -> np.ndarray:
+    """One row for each text: root shares of the classes of its bytes."""
+    n = len(bounds) - 1
+    length = np.diff(bounds)
+    doc = np.repeat(np.arange(n), length)
+    counts = np.bincount(doc * CLASSES + _CLASS[b], minlength=n * CLASSES).reshape(n, CLASSES)
+    return np.sqrt(counts / np.maximum(length, 1)[:, None]).astype(np.float32)

@@ -154,13 +154,14 @@ class LineKernel(Kernel):
         return {"n_lines": pa.array(n_lines, pa.int64()), "n_dropped": pa.array(n_dropped, pa.int64()), "text": pa.array(texts, pa.binary()).cast(pa.string())}
 
 
-def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3, n_blocks: int | None = None) -> DataFrame:
+def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3, n_blocks: int | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_lines, n_dropped and the text that is left, one row for each document.
 
     A null or empty text is one empty line. Rows with equal ids count as one document. Short keys are never
-    dropped. A null id counts as the largest. An empty table gives an empty result. Other columns aren't read.
+    dropped. A null id counts as the largest. An empty table gives an empty result. Of the other
+    columns only those to keep are read.
     """
-    return exchange(docs, LineKernel(min_chars, min_docs), n_blocks)
+    return exchange(docs, LineKernel(min_chars, min_docs), n_blocks, keep=keep)
 
 
 def line_digests(docs: DataFrame) -> DataFrame:

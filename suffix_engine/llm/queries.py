@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from suffix_engine.llm import decontaminate, lines, media, ngram_join, quality, substring, tokens, urls, windows
+from suffix_engine.llm import decontaminate, lines, media, mixing, ngram_join, quality, substring, tokens, urls, windows
 
 
 def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,6 +17,7 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_ngram_join": lambda spark, d: ngram_join.components(_documents(spark, d)),
+        "op2_domain_mixing": lambda spark, d: mixing.mixing_rates(_documents(spark, d), spark.read.parquet(f"{d}/labels.parquet")),
         "op3_substring_dedup": lambda spark, d: substring.substring_digests(_documents(spark, d)),
         "op4_quality_classifier": lambda spark, d: quality.quality_scores(_documents(spark, d), spark.read.parquet(f"{d}/labels.parquet")),
         "op5_media_columns": lambda spark, d: media.document_media(_documents(spark, d)),
