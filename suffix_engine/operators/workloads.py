@@ -54,7 +54,7 @@ def items(spark: SparkSession, sf_dir: str, order: str = "smallest") -> Corpus:
 def random_bases_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A text without repeats: signs of neighbouring components as bases."""
     e = _table(spark, sf_dir, "embeddings")
-    two = F.transform(F.sequence(F.lit(0), F.size("embedding") / 2 - 1), lambda i: F.substring(F.lit(NUCLEOTIDES), F.when(F.get("embedding", (2 * i).cast("int")) >= 0, 2).otherwise(0) + F.when(F.get("embedding", (2 * i + 1).cast("int")) >= 0, 1).otherwise(0) + 1, F.lit(1)))
+    two = F.transform(F.sequence(F.lit(0), F.floor(F.size("embedding") / 2).cast("int") - 1), lambda i: F.substring(F.lit(NUCLEOTIDES), F.when(F.get("embedding", 2 * i) >= 0, 2).otherwise(0) + F.when(F.get("embedding", 2 * i + 1) >= 0, 1).otherwise(0) + 1, F.lit(1)))
     return e.select("vec_id", F.array_join(two, "").alias("text"))
 
 
