@@ -63,7 +63,7 @@ def chunks(rows: Iterator[tuple[object, str | None]], size: int) -> Iterator[lis
 _BUILT: dict[int, ahocorasick.Automaton] = {}
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str, ...] = ()) -> DataFrame:
+def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str, ...] = (), rename: bool = True) -> DataFrame:
     """doc_id, n_words, the words hit (begin, end in word numbers), their spans in the original text (in characters) and the item ids.
 
     The benchmark is read through an iterator and broadcast in automata of bounded size; documents are scanned once for each, which
@@ -111,7 +111,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str,
 
     for own in [*chunks(rows, size)] or [[]]:
         out = out.mapInArrow(pass_over(sc.broadcast(item_windows(own, size))), schema)
-    return out.withColumnsRenamed({k: c for k, c, _ in kept})
+    return out.withColumnsRenamed({k: c for k, c, _ in kept}) if rename else out
 
 
 def _union(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -138,7 +138,8 @@ def clean(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:
     """The documents that are not contaminated, with all their columns; a null text becomes an empty one."""
     rest = tuple(c for c in docs.columns if c not in ("doc_id", "text"))
     hits = _hits()
-    return scan(docs, benchmark, size, rest).where((hits == 0) | (20 * hits < F.col("n_words"))).select(docs.columns)
+    kept = scan(docs, benchmark, size, rest, rename=False).where((hits == 0) | (20 * hits < F.col("n_words")))
+    return kept.select("doc_id", "text", *(F.col(f"_keep_{i}").alias(c) for i, c in enumerate(rest))).select(docs.columns)
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, size: int = 13) -> DataFrame:

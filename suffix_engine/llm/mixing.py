@@ -15,9 +15,9 @@ from suffix_engine.llm.features import CLASSES, class_shares, word_slots
 from suffix_engine.llm.quality import _buffer
 from suffix_engine.session import written
 
-#: The labelled table's domains, and the shares of tokens that they are to have.
+#: The labelled table's domains, and by what their expected shares of tokens are multiplied for the default targets; the first takes the rest.
 DOMAINS = ("good", "poor", "toxic")
-TARGETS = (0.97, 0.02, 0.01)
+FACTORS = (1.0, 0.25, 0.1)
 #: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses; rounds and precision of the descent.
 SLOTS, MOST_LABELLED, TELLING = 1 << 14, 9000, 4.5
 ROUNDS, PRECISION = 40, 1e-5
@@ -149,11 +149,12 @@ def _totals(scored: DataFrame, steps: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return got[:k], got[k:].reshape(k, k)
 
 
-def descend(scored: DataFrame, targets=TARGETS, rounds: int = ROUNDS, precision: float = PRECISION) -> np.ndarray:
+def descend(scored: DataFrame, targets=None, rounds: int = ROUNDS, precision: float = PRECISION) -> np.ndarray:
     """Steps of projected gradient descent on the weighted squares of (expected totals - target totals) / tokens.
 
     Weighting by the inverse second moment of the posteriors makes the step 1 safe and the pace even in all domains. A document's
-    rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates.
+    rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates. Without targets, those
+    of FACTORS hold: fixed shares could ask for more of a domain than there is, and weigh up what merely resembles it.
     """
     k = len(DOMAINS)
     steps = np.zeros((0, k))
@@ -161,6 +162,9 @@ def descend(scored: DataFrame, targets=TARGETS, rounds: int = ROUNDS, precision:
     tokens = totals.sum()
     if tokens <= 0:
         return steps
+    if targets is None:
+        targets = totals / tokens * FACTORS
+        targets[0] += 1 - targets.sum()
     weight = np.linalg.inv(moment / tokens + 1e-6 * np.eye(k))
     for _ in range(rounds):
         residual = totals / tokens - np.asarray(targets)
@@ -179,10 +183,10 @@ def with_rates(scored: DataFrame, steps: np.ndarray) -> DataFrame:
     return scored.withColumn("rate", F.aggregate(array, rate, lambda r, s: F.greatest(F.lit(0.0), r - dot(s))))
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets=TARGETS) -> DataFrame:
+def mix(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
     """All columns of docs, n_tokens, posteriors of DOMAINS and rate: how often each document is to be taken, on average.
 
-    Targets are shares of all tokens of docs. A target that the documents can't meet with rates from 0 on is met as nearly as
+    Targets are shares of all tokens of docs (None: by FACTORS). A target that the documents can't meet with rates from 0 on is met as nearly as
     least squares allow. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of their own.
     """
     model = fit(docs, labels)
