@@ -180,7 +180,7 @@ def _bigram_distance(spark: SparkSession, d: str) -> DataFrame:
 def _scale_report(spark: SparkSession, d: str) -> DataFrame:
     """Prefixes of the nucleotide text: rounds, and what is left unresolved after each."""
     whole, out = w.dna(spark, d), None
-    for part in (8, 4, 2, 1):
+    for part in (4, 2, 1):
         c = corpus.prefix_of(whole, whole.n // part)
         rows = doubling.rounds_table(spark, hybrid.build(c)).select(F.lit(1 / part).alias("share"), F.lit(c.n).cast("long").alias("n"), "round", "reach", "unresolved")
         out = rows if out is None else out.unionByName(rows)
@@ -359,7 +359,7 @@ def oracle_sql() -> dict[str, str]:
         "fm_locate": "WITH p AS (SELECT item_id, replace(text, '$', '') AS w FROM benchmark), d AS (SELECT doc_id, replace(text, '$', '') AS s FROM documents WHERE lang = 'en'), h AS (SELECT item_id, doc_id, w, string_split(s, w) AS parts FROM p, d WHERE contains(s, w)), q AS (SELECT item_id, doc_id, length(w) AS m, unnest(range(1, len(parts))) AS i, parts FROM h) SELECT item_id AS pattern_id, doc_id, (list_sum(list_transform(parts[1:i], lambda x: length(x))) + (i - 1) * m)::BIGINT AS \"offset\" FROM q",
         "fm_count_joined": f"WITH {_ENGLISH}, k AS (SELECT ch || lead(ch, 1, '') OVER o || lead(ch, 2, '') OVER o || lead(ch, 3, '') OVER o || lead(ch, 4, '') OVER o || lead(ch, 5, '') OVER o AS word FROM c WINDOW o AS (ORDER BY pos)) SELECT v.word, count(k.word) AS cnt FROM {_SIX} v LEFT JOIN k USING (word) GROUP BY v.word",
         "sa_search": f"WITH {_ITEM_SUFFIXES} SELECT v.word, count(*) AS cnt FROM {_SIX} v JOIN x ON substr(x.suffix, 1, 6) = v.word GROUP BY v.word",
-        "fm_count_approx": f"WITH {_ITEM_SUFFIXES}, k AS (SELECT substr(suffix, 1, 6) AS q, count(*) AS c FROM x WHERE length(suffix) >= 6 GROUP BY q), m AS (SELECT v.word, k.c, hamming(v.word, k.q) AS mismatches FROM {_SIX} v, k) SELECT word, mismatches::INTEGER AS mismatches, sum(c)::BIGINT AS cnt FROM m WHERE mismatches <= 1 GROUP BY ALL",
+        "fm_count_approx": f"WITH {_ITEM_SUFFIXES}, k AS (SELECT substr(suffix, 1, 6) AS q, count(*) AS c FROM x WHERE length(suffix) >= 6 GROUP BY q), m AS (SELECT v.word, k.c, len(list_filter(range(1, 7), lambda i: substr(v.word, i, 1) <> substr(k.q, i, 1))) AS mismatches FROM {_SIX} v, k) SELECT word, mismatches::INTEGER AS mismatches, sum(c)::BIGINT AS cnt FROM m WHERE mismatches <= 1 GROUP BY ALL",
         "seq_events_bwt": _rows_bwt("SELECT user_id, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM events GROUP BY user_id", "user_id"),
         "lineitem_flags_bwt": _rows_bwt("SELECT l_suppkey, string_agg(l_returnflag || l_linestatus, '' ORDER BY l_orderkey, l_linenumber, l_partkey, l_quantity, l_extendedprice, l_discount, l_tax, l_returnflag, l_linestatus, l_shipdate) AS s FROM lineitem GROUP BY l_suppkey", "l_suppkey"),
         "conv_bwt": _rows_bwt("SELECT conv_id, string_agg(replace(text, '$', ''), chr(10) ORDER BY turn, role, replace(text, '$', '')) AS s FROM conversations GROUP BY conv_id", "conv_id"),
