@@ -17,7 +17,7 @@ from suffix_engine.session import written
 
 #: The labelled table's domains, and by what their expected shares of tokens are multiplied for the default targets; the first takes the rest.
 DOMAINS = ("good", "poor", "toxic")
-FACTORS = (1.0, 0.25, 0.1)
+FACTORS = (1.0, 0.5, 0.5)
 #: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses; rounds and precision of the descent.
 SLOTS, MOST_LABELLED, TELLING = 1 << 14, 9000, 4.5
 ROUNDS, PRECISION = 40, 1e-5
