@@ -48,7 +48,7 @@ def suffix_order(corpus: Corpus, k: int | None = None, r: int | None = None, ker
     def work(bucket: int, pos: np.ndarray, keys: np.ndarray, codes: np.ndarray, base: int) -> pa.RecordBatch:
         if len(pos) > MOST_IN_BUCKET:
             raise ValueError(f"{len(pos)} suffixes in bucket {bucket}: take a larger k or the hybrid")
-        out = partial.sort_bucket(pos, keys, partial.array_reader(codes, base, n), n, k, width, kernel, reduction)
+        out = partial.sort_bucket(pos, keys, partial.array_reader(codes, base), n, k, width, kernel, reduction)
         before = codes[(out - 1) % n - base] if reader == "broadcast" else np.full(len(out), -1)
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(out), bucket, np.int32)), pa.array(np.arange(len(out))), pa.array(out.astype(np.int64)), pa.array(before.astype(np.int32))], ["bucket", "ord", "pos", "code"])
 

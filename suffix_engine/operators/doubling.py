@@ -117,7 +117,7 @@ def rerank_globally(pairs: DataFrame, keep_old: bool = False) -> DataFrame:
     shared = pairs.sparkSession.sparkContext.broadcast(prefix.partition_offsets(parts, F.lit(1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = shared.value[TaskContext.get().partitionId()]
+        at = shared.value.get(TaskContext.get().partitionId(), 0)
         held = None  # rows of the last pair seen, which may go on
         for batch in batches:
             pos, r1, r2 = (batch[c].to_numpy() for c in ("pos", "r1", "r2"))

@@ -16,15 +16,21 @@ REDUCTIONS = ("gap_rename", "span_direct")
 Reader = Callable[[np.ndarray, int, int], np.ndarray]
 #: Symbols that the merge kernel copies of each block at first; ties are sorted again on longer copies.
 SLICE = 64
+#: Symbols that the refining kernel reads at once at most, if more than one key for each suffix.
+READ = 1 << 20
 
 
-def array_reader(codes: np.ndarray, base: int = 0, n: int | None = None) -> Reader:
-    """Over the symbols from position base on."""
-    end = len(codes) if n is None else n - base
+def array_reader(codes: np.ndarray, base: int = 0) -> Reader:
+    """Over the symbols from position base on; rows are copied whole, so wide reads cost little for each symbol."""
+    padded = np.zeros(len(codes) + READ, np.uint16)
+    padded[: len(codes)] = codes
+    padded[: len(codes)] += 1
+    views: dict[int, np.ndarray] = {}
 
     def read(positions: np.ndarray, offset: int, width: int) -> np.ndarray:
-        at = positions[:, None] - base + offset + np.arange(width)
-        return np.where(at < end, codes[np.minimum(at, len(codes) - 1)].astype(np.uint32) + 1, 0)
+        if width not in views:
+            views[width] = np.lib.stride_tricks.sliding_window_view(padded, width)
+        return views[width][np.minimum(positions + (offset - base), len(codes))]
 
     return read
 
@@ -56,7 +62,7 @@ def merge_order(positions: np.ndarray, read: Reader, length: int) -> np.ndarray:
     done, step = min(length, SLICE), SLICE
     group = _runs(keys[order])
     while done < length:
-        step *= 2
+        step = min(2 * step, READ // 2)
         width = min(step, length - done)
         size = np.bincount(group)
         tied = np.flatnonzero(size[group] > 1)
@@ -83,20 +89,27 @@ def refine_order(positions: np.ndarray, read: Reader, depth: int, group: np.ndar
     first = np.flatnonzero(np.r_[True, rank[1:] != rank[:-1]]) if len(rank) else np.zeros(0, np.int64)
     rank = np.repeat(first, np.diff(np.r_[first, len(rank)]))  # place of the group's first member
     take = 63 // width
-    active = np.flatnonzero(_tied(rank))
+    active, words = np.flatnonzero(_tied(rank)), 1
     while len(active) and (longest is None or depth < longest):
-        symbols = read(positions[order[active]], depth, take)
-        key = np.zeros(len(active), np.int64)
+        # long common prefixes are few: the fewer suffixes still tie, the more symbols are read at a time
+        words = max(1, min(2 * words, READ // (len(active) * take)))
+        symbols, g = read(positions[order[active]], depth, take * words), rank[active]
+        depth += take * words
+        # inside long repeats all members of a group go on alike, which one pass over the rows shows
+        parted = g[1:][(g[1:] == g[:-1]) & (symbols[1:] != symbols[:-1]).any(axis=1)]
+        own = np.flatnonzero(np.isin(g, parted))
+        if not len(own):
+            continue
+        rows, symbols, g = active[own], symbols[own], g[own]
+        keys = np.zeros((words, len(own)), np.int64)
         for j in range(take):
-            key = (key << width) | symbols[:, j]
-        again = np.lexsort((key, rank[active]))
-        order[active] = order[active][again]
-        g, k = rank[active], key[again]  # the groups stand in place order already
-        new = np.r_[True, (g[1:] != g[:-1]) | (k[1:] != k[:-1])]
-        starts = np.flatnonzero(new)
-        rank[active] = active[starts][np.cumsum(new) - 1]
+            keys = (keys << width) | symbols[:, j::take].T
+        again = np.lexsort((*keys[::-1], g))
+        order[rows] = order[rows][again]
+        keys = keys[:, again]  # the groups stand in place order already
+        new = np.r_[True, (g[1:] != g[:-1]) | (keys[:, 1:] != keys[:, :-1]).any(axis=0)]
+        rank[rows] = rows[np.flatnonzero(new)][np.cumsum(new) - 1]
         active = active[_tied(rank[active])]
-        depth += take
     return order
 
 
@@ -143,5 +156,5 @@ def _equal(read: Reader, a: int, b: int, length: int) -> bool:
         x = read(both, at, min(step, length - at))
         if (x[0] != x[1]).any():
             return False
-        at, step = at + step, step * 2
+        at, step = at + step, min(step * 2, READ // 2)
     return True

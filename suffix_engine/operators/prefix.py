@@ -20,13 +20,14 @@ def ranged(df: DataFrame, *order: str | Column, partitions: int | None = None) -
     return cut(df.repartitionByRange(n, *order).sortWithinPartitions(*order))
 
 
-def partition_offsets(df: DataFrame, weight: Column) -> list[int]:
-    """By partition, the sum of the weights in all earlier ones; one number for each partition comes to the driver."""
-    rows = df.groupBy(F.spark_partition_id().alias("p")).agg(F.sum(weight.cast("long")).alias("s")).collect()
-    sums = np.zeros(max(df.rdd.getNumPartitions(), 1), np.int64)
+def partition_offsets(df: DataFrame, weight: Column) -> dict[int, int]:
+    """By partition that has rows, the sum of the weights in all earlier ones; one number for each partition comes to the driver."""
+    rows = sorted((r[0], r[1]) for r in df.groupBy(F.spark_partition_id().alias("p")).agg(F.sum(weight.cast("long")).alias("s")).collect())
+    at, out = 0, {}
     for p, s in rows:
-        sums[p] = s
-    return [int(x) for x in np.cumsum(sums) - sums]
+        out[p] = at
+        at += s
+    return out
 
 
 def exclusive(df: DataFrame, weight: str | None, *order: str | Column, out: str = "offset", partitions: int | None = None) -> DataFrame:
@@ -35,7 +36,7 @@ def exclusive(df: DataFrame, weight: str | None, *order: str | Column, out: str
     shared = df.sparkSession.sparkContext.broadcast(partition_offsets(parts, F.col(weight) if weight else F.lit(1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at = shared.value[TaskContext.get().partitionId()]
+        at = shared.value.get(TaskContext.get().partitionId(), 0)
         for batch in batches:
             w = batch[weight].to_numpy(zero_copy_only=False).astype(np.int64) if weight else np.ones(batch.num_rows, np.int64)
             total = np.cumsum(w)

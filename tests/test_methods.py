@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from suffix_engine.operators import bucketed, bwt, compress, corpus, doubling, features, fm, hybrid, kmers, lcp, metrics, naive, partial, suffix_array, verify
+from suffix_engine.session import cut
 from test_kernels import GOLDEN
 
 TEXT = "the cat and the hat sat on the mat; the cat sat. " * 6 + "zzzzzzzzzzzzzzzzzzzz é$ tail"
@@ -189,10 +190,10 @@ def test_runs_codes_and_prefixes(spark, small, small_sa):
         want.append(n)
     table = lcp.build(sa, small)
     assert [r.lcp for r in table.orderBy("rank").collect()] == want
-    levels, r, h = [], doubling.init_ranks(small), 1
+    levels, r, h = [], cut(doubling.init_ranks(small)), 1
     while h < small.n:
-        levels.append((h, r.select("pos", "rnk").localCheckpoint()))
-        r, h = doubling.one_round(r, h).localCheckpoint(), 2 * h
+        levels.append((h, r.select("pos", "rnk")))
+        r, h = cut(doubling.one_round(r, h)), 2 * h
     assert [x.lcp for x in lcp.by_levels(sa, levels).orderBy("rank").collect()] == want
     s = lcp.summary(table, small.n).first()
     assert s.longest_repeat == max(want) and int(s.distinct_substrings) == len({TEXT[i:j] for i in range(len(TEXT)) for j in range(i + 1, len(TEXT) + 1)})
