@@ -117,7 +117,7 @@ def pack(arrays: list[np.ndarray]) -> bytes:
     for a in arrays:
         a = np.ascontiguousarray(a)
         parts += [struct.pack("<4sQ", a.dtype.str.encode(), a.nbytes), a.tobytes()]
-    return zstandard.ZstdCompressor(level=3).compress(b"".join(parts))
+    return zstandard.ZstdCompressor(level=5).compress(b"".join(parts))
 
 
 def unpack(blob: bytes) -> list[np.ndarray]:

@@ -59,21 +59,24 @@ class SegmentKernel(Kernel):
         item = np.empty(len(c), np.int64)
         item[order] = np.cumsum(new) - 1
         holder = order[new]  # the first run of each content, as runs come in order
-        return r, item, holder, bucket[holder]
+        # the items of a bucket stand in order of their place: ids and starts then compress well
+        rank = np.lexsort((holder, bucket[holder]))
+        place = np.empty(len(rank), np.int64)
+        place[rank] = np.arange(len(rank))
+        return r, place[item], holder[rank], bucket[holder[rank]]
 
     def emit(self, docs: Docs, n_buckets: int) -> Iterator[tuple[int, list[np.ndarray]]]:
         r, _, holder, bucket = self._items(docs, n_buckets)
         for k, i, j in by_bucket(bucket, n_buckets):
             own = holder[i:j]
-            # the bundle's pieces stand in order of their place, which makes ids and starts compress well
             length = r.end[own] - r.begin[own]
             docs_of, number = np.unique(r.doc[own], return_inverse=True)
-            yield k, [r.bytes[spread(r.begin[own], length)], length.astype(np.uint32), r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[docs_of], number.astype(np.uint32), r.start[own].astype(np.uint32)]
+            yield k, [r.bytes[spread(r.begin[own], length)], length.astype(np.uint32), r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[docs_of], np.diff(number, prepend=0).astype(np.uint32), r.start[own].astype(np.uint32)]
 
     def resolve(self, parts):
         data = np.concatenate([p[0] for p in parts])
         length, count, at = (np.concatenate([p[i] for p in parts]).astype(np.int64) for i in (1, 2, 3))
-        doc = np.concatenate([p[4][p[5]] for p in parts])
+        doc = np.concatenate([p[4][np.cumsum(p[5])] for p in parts])
         start = np.concatenate([p[6] for p in parts]).astype(np.int64)
         begin = np.r_[0, np.cumsum(length)]
         shared = _shared(self.minimiser(data, begin[:-1], at))

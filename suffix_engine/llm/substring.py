@@ -96,10 +96,10 @@ class RunLengthIndex:
 
 @dataclass
 class SubstringKernel(SegmentKernel):
-    """Runs of window starts whose leftmost least gram is the same one; grams of 20 bytes, windows of any length from there on."""
+    """Runs of window starts whose leftmost least gram is the same one; grams of 16 bytes, windows of any length from there on."""
 
     length: int = 100
-    gram: int = 20
+    gram: int = 16
     by_document = False
     schema = "doc_id long, n_bytes long, spans array<struct<begin:bigint,end:bigint>>, kept binary"
 
