@@ -14,6 +14,8 @@ RULES = (("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.
 #: wildcard); weight of the prior in a template's purity; from which blocked share a template is rejected; the test value
 #: from which a branch counts as different from its siblings.
 BRANCHES, DEPTH, WEIGHT, REJECT, DIFFERENT = 16, 4, 4.0, 0.8, 2.0
+#: Parts that the rows of each node are dealt out by when they are joined with what was decided about it.
+SALTS = 64
 
 
 def parse(url: str) -> tuple[Column, Column]:
@@ -37,20 +39,21 @@ def apply_rules(pages: DataFrame, rules=RULES) -> DataFrame:
 def templates(pages: DataFrame, branches: int = BRANCHES, depth: int = DEPTH) -> DataFrame:
     """Adds template to rows with host and path: level by level, a segment below a node with many different ones becomes *.
 
-    Segments are counted over all rows, with partial sums before each shuffle. The joins back are plain equi-joins that
-    adaptive execution splits where one host has a large share of the rows.
+    Segments are counted over all rows, with partial sums before each shuffle. In the joins back, rows are dealt out by node and a
+    salt of their path, and a decision is sent to each salt, so a host with a large share of the rows is no task's alone.
     """
     segments = F.filter(F.split("path", "/"), lambda x: x != "")
-    out = pages.withColumn("_s", segments).withColumn("template", F.lit(""))
+    out = pages.withColumn("_s", segments).withColumn("template", F.lit("")).withColumn("_salt", F.pmod(F.xxhash64("path"), F.lit(SALTS)).cast("int"))
     for level in range(depth):
         out = out.withColumn("_x", F.get("_s", F.lit(level)))
         seen = out.where(F.col("_x").isNotNull()).groupBy("host", "template", "_x").agg(F.count(F.lit(1)).alias("_n"))
         many = seen.groupBy("host", "template").agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > branches).select(F.col("host").alias("_h"), F.col("template").alias("_t"))
         many = cut(many)  # nodes only; without it the plan would double at each level
-        out = out.join(many, (F.col("host") == F.col("_h")) & (F.col("template") == F.col("_t")), "left")
+        salted = many.withColumn("_x_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        out = out.join(salted, (F.col("host") == F.col("_h")) & (F.col("template") == F.col("_t")) & (F.col("_salt") == F.col("_x_salt")), "left")
         step = F.when(F.col("_x").isNull(), F.lit("")).when(F.col("_h").isNotNull(), F.lit("/*")).otherwise(F.concat(F.lit("/"), F.col("_x")))
-        out = out.withColumn("template", F.concat("template", step)).drop("_h", "_t")
-    return out.withColumn("template", F.when(F.size("_s") > depth, F.concat("template", F.lit("/**"))).otherwise(F.col("template"))).drop("_s", "_x")
+        out = out.withColumn("template", F.concat("template", step)).drop("_h", "_t", "_x_salt")
+    return out.withColumn("template", F.when(F.size("_s") > depth, F.concat("template", F.lit("/**"))).otherwise(F.col("template"))).drop("_s", "_x", "_salt")
 
 
 def rejected_templates(labelled: DataFrame, weight: float = WEIGHT, reject: float = REJECT, different: float = DIFFERENT) -> DataFrame:
