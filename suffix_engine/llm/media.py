@@ -207,5 +207,7 @@ def document_media(docs: DataFrame) -> DataFrame:
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     paid = own.withColumn("payload", padded(F.col("text"))).withColumn("digest", F.sha2("payload", 256))
     pages = paid.select("doc_id", as_page(F.col("digest"), F.octet_length(F.coalesce("text", F.lit("")))).alias("html"))
-    out = resolve(sequences(pages, "doc_id", "html"), "doc_id", inspected(store(paid.select("digest", "payload"))))
+    # written, so that both sides of the join are plain exchanges, which adaptive execution can split at a digest of many documents
+    found = written(inspected(store(paid.select("digest", "payload"))), "inspected")
+    out = resolve(sequences(pages, "doc_id", "html"), "doc_id", found)
     return out.select("doc_id", F.col("caption").cast("long").alias("n_bytes"), "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature")
