@@ -19,7 +19,7 @@ from suffix_engine.llm.windows import _combine, word_ranges
 from suffix_engine.session import cut, written
 
 #: Documents that a task searches at once; larger candidate groups are cut into blocks of about that size.
-GROUP = 2048
+GROUP = 512
 #: Weight of a list's length in the choice of how many lists are probed instead of merged; up to so many postings are merged by a heap.
 PROBE_WEIGHT, HEAP_POSTINGS = 0.0085, 64
 
