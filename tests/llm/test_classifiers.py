@@ -56,7 +56,7 @@ def test_mixing_rates_equal_plain_descent(spark):
     df = spark.createDataFrame([(int(a), b.tolist()) for a, b in zip(n, p, strict=True)], "n_tokens long, posteriors array<double>")
     steps = mixing.descend(df, (0.8, 0.15, 0.05))
     rates = np.ones(300)
-    weight = np.linalg.inv((p * n[:, None]).T @ p / n.sum() + 1e-6 * np.eye(3))
+    weight = np.linalg.inv((p * n[:, None]).T @ p / n.sum() + mixing.RIDGE * np.eye(3))
     for _ in range(len(steps)):
         rates = np.maximum(0, rates - p @ (weight @ ((rates * n) @ p / n.sum() - np.array([0.8, 0.15, 0.05]))))
     got = np.array([x.rate for x in mixing.with_rates(df, steps).collect()])

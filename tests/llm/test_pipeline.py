@@ -2,6 +2,7 @@
 
 import brute
 import corpus_pipeline
+import numpy as np
 
 from suffix_engine.llm import quality
 
@@ -35,7 +36,7 @@ def test_stages(spark, tmp_path):
             want = brute.contaminated(before, items)
             assert sorted(rows_of(out)) == sorted((d, t) for d, t in before if not want[d][4])
         else:
-            assert {d for d, _ in rows_of(out)} <= {d for d, _ in before} and all(r.rate > 0 for r in out.collect())
+            assert sorted(rows_of(out)) == sorted(before) and np.median([r.rate for r in out.collect()]) > 0.5
             assert out.columns == [*columns, "n_tokens", "rate"]
         if name != "mixing":
             assert out.columns == columns
