@@ -36,9 +36,9 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Adds the rate at which each document is to be taken; those of rate 0 go."""
+    """Adds the rate at which each document is to be taken, 0 for never. This stage weighs documents and drops none."""
     mixed = mixing.mix(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return mixed.where("rate > 0").select(*docs.columns, "n_tokens", "rate")
+    return mixed.select(*docs.columns, "n_tokens", "rate")
 
 
 STAGES = [
