@@ -83,7 +83,7 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str,
 
     def pass_over(shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            key = hash(frozenset(shared.value))
+            key = hash(frozenset((window, frozenset(keys)) for window, keys in shared.value.items()))
             if key not in _BUILT:
                 _BUILT.clear()
                 _BUILT[key] = automaton(shared.value)

@@ -62,6 +62,13 @@ def test_contamination(spark, monkeypatch, bound):
     assert decontaminate.contamination(docs.limit(0), bench).collect() == []
 
 
+def test_a_worker_does_not_mix_up_benchmarks(spark):
+    docs = spark.createDataFrame([(1, "one two three")], "doc_id long, text string").coalesce(1)
+    for key in ("a", "b"):
+        bench = spark.createDataFrame([(key, "two three")], "item_id string, text string")
+        assert [r["items"] for r in decontaminate.scan(docs, bench).collect()] == [[key]]
+
+
 def test_media_round_trip(spark):
     texts = [None, "", "a", "x" * 64, "x" * 65, "é\0" * 5000, "x" * 64, "long " * 60000]
     docs = spark.createDataFrame([(i, t, "h") for i, t in enumerate(texts)] + [(None, "a", "h")], "doc_id long, text string, html string")
