@@ -68,5 +68,69 @@ FROM d LEFT JOIN x USING (doc_id) LEFT JOIN y USING (doc_id)
 """
 
 
+COMPONENT_SQL = r"""
+WITH RECURSIVE d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+t AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 3], ' ') AS shingle FROM (SELECT doc_id, w, unnest(range(1, greatest(1, len(w) - 3) + 1)) AS i FROM d WHERE len(w) > 0)),
+s AS (SELECT doc_id, count(*) AS n, md5(string_agg(shingle, chr(10) ORDER BY shingle)) AS content FROM t GROUP BY doc_id),
+q AS (SELECT content, min(doc_id) AS rep, min(n) AS n, count(*) AS n_equal FROM s GROUP BY content),
+b AS (SELECT q.rep, q.n, t.shingle FROM q JOIN t ON t.doc_id = q.rep),
+l AS (SELECT x.rep AS u, y.rep AS v FROM b x JOIN b y ON x.shingle = y.shingle AND x.rep < y.rep AND 100 * x.n >= 85 * y.n AND 100 * y.n >= 85 * x.n
+      GROUP BY x.rep, y.rep, x.n, y.n HAVING 100 * count(*) >= 85 * (x.n + y.n - count(*))),
+e AS (SELECT u, v FROM l UNION ALL SELECT v, u FROM l),
+r AS (SELECT rep AS node, rep AS root FROM q UNION SELECT e.v, r.root FROM r JOIN e ON e.u = r.node),
+c AS (SELECT node, min(root) AS root FROM r GROUP BY node)
+SELECT d.doc_id, coalesce(s.n, 0) AS n_shingles, coalesce(c.root, d.doc_id) AS component_id, coalesce(q.n_equal, 1) AS n_equal
+FROM d LEFT JOIN s USING (doc_id) LEFT JOIN q USING (content) LEFT JOIN c ON c.node = q.rep
+"""
+
+#: Texts as hexadecimal digits, so that a byte is two characters wherever characters are more than a byte; cut into pieces of 1,000
+#: window starts, which only keeps the cutting of windows out of long strings cheap.
+SUBSTRING_SQL = r"""
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
+p AS (SELECT doc_id, 1000 * c AS base, substr(h, 2000 * c + 1, 2198) AS piece FROM (SELECT doc_id, h, unnest(range(0, length(h) // 2000 + 1)) AS c FROM d)),
+x AS (SELECT doc_id, base + j AS i, md5(substr(piece, 2 * j + 1, 200)) AS win FROM (SELECT doc_id, base, piece, unnest(range(0, length(piece) // 2 - 99)) AS j FROM p)),
+g AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY win ORDER BY doc_id, i) AS nth FROM x) WHERE nth > 1),
+m AS (SELECT doc_id, i, CASE WHEN i - lag(i) OVER o <= 100 THEN 0 ELSE 1 END AS new FROM g WINDOW o AS (PARTITION BY doc_id ORDER BY i)),
+n AS (SELECT doc_id, i, sum(new) OVER (PARTITION BY doc_id ORDER BY i) AS span FROM m),
+s AS (SELECT doc_id, min(i) AS a, max(i) + 100 AS z FROM n GROUP BY doc_id, span),
+b AS (SELECT doc_id, a, z, coalesce(lag(z) OVER (PARTITION BY doc_id ORDER BY a), 0) AS before FROM s),
+k AS (SELECT doc_id, sum(z - a) AS removed, count(*) AS spans, max(z) AS last, string_agg(substr(h, 2 * before + 1, 2 * (a - before)), '' ORDER BY a) AS kept FROM b JOIN d USING (doc_id) GROUP BY doc_id)
+SELECT doc_id, length(h) // 2 AS n_bytes, coalesce(removed, 0)::BIGINT AS n_removed, coalesce(spans, 0) AS n_spans,
+       sha256(unhex(coalesce(kept, '') || substr(h, 2 * coalesce(last, 0) + 1))) AS kept_sha256
+FROM d LEFT JOIN k USING (doc_id)
+"""
+
+
+def _url_sql(rules=urls.RULES, branches: int = urls.BRANCHES, depth: int = urls.DEPTH, weight: float = urls.WEIGHT, reject: float = urls.REJECT, different: float = urls.DIFFERENT) -> str:
+    pick = lambda values: "CASE " + " ".join(f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{v}'" for (h, p, _), v in values) + " END"
+    ordered = sorted(rules, key=lambda r: -len(r[0] + r[1]))
+    rule, verdict = pick([(r, r[0] + r[1]) for r in ordered]), pick([(r, r[2]) for r in ordered])
+    levels = "".join(
+        f"""
+m{i} AS (SELECT host AS h, template AS t FROM l{i} WHERE len(s) > {i} GROUP BY ALL HAVING count(DISTINCT s[{i + 1}]) > {branches}),
+l{i + 1} AS (SELECT l{i}.* EXCLUDE template, template || CASE WHEN len(s) <= {i} THEN '' WHEN h IS NOT NULL THEN '/*' ELSE '/' || s[{i + 1}] END AS template FROM l{i} LEFT JOIN m{i} ON host = h AND template = t),"""
+        for i in range(depth)
+    )
+    return rf"""
+WITH u AS (SELECT page_id, CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
+a AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
+l0 AS (SELECT *, {rule} AS rule, {verdict} AS ruled, list_filter(string_split(path, '/'), lambda x: x <> '') AS s, '' AS template FROM a),{levels}
+z AS (SELECT page_id, host, path, rule, ruled, template || CASE WHEN len(s) > {depth} THEN '/**' ELSE '' END AS template FROM l{depth}),
+f AS (SELECT host, template, regexp_extract(template, '^(.*)/[^/]*$', 1) AS parent, count(*) FILTER (WHERE ruled = 'block')::DOUBLE AS b, count(*)::DOUBLE AS n FROM z WHERE ruled IS NOT NULL GROUP BY host, template),
+w AS (SELECT *, sum(b) OVER o / sum(n) OVER o AS share, coalesce(sum(b) OVER () / sum(n) OVER (), 0) AS prior FROM f WINDOW o AS (PARTITION BY host, parent)),
+y AS (SELECT *, abs(b / n - share) <= {different} * sqrt(share * (1 - share) / n) AS alike FROM w),
+v AS (SELECT host, template, prior, CASE WHEN alike THEN sum(b) FILTER (WHERE alike) OVER o ELSE b END AS b, CASE WHEN alike THEN sum(n) FILTER (WHERE alike) OVER o ELSE n END AS n FROM y WINDOW o AS (PARTITION BY host, parent)),
+bad AS (SELECT host AS h, template AS t FROM v WHERE (b + {weight} * prior) / (n + {weight}) >= {reject})
+SELECT page_id, host, path, rule, coalesce(ruled, CASE WHEN h IS NOT NULL THEN 'block' ELSE 'allow' END) AS verdict, template FROM z LEFT JOIN bad ON host = h AND template = t
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op7_benchmark_decontamination": CONTAMINATION_SQL, "op6_line_dedup": LINE_SQL, "op8_window_dedup": WINDOW_SQL}
+    return {
+        "op1_ngram_join": COMPONENT_SQL,
+        "op3_substring_dedup": SUBSTRING_SQL,
+        "op6_line_dedup": LINE_SQL,
+        "op7_benchmark_decontamination": CONTAMINATION_SQL,
+        "op8_window_dedup": WINDOW_SQL,
+        "op9_url_filter": _url_sql(),
+    }
