@@ -11,7 +11,9 @@ def test_sql_gives_the_same_rows(spark, name):
     con = duckdb.connect()
     for table in ("documents", "benchmark", "pages"):
         con.execute(f"CREATE VIEW {table} AS SELECT * FROM '{SF}/{table}.parquet'")
-    want = con.execute(queries.oracle_sql()[name]).fetch_arrow_table().to_pylist()
+    found = con.execute(queries.oracle_sql()[name])
+    columns = [c[0] for c in found.description]
+    want = [dict(zip(columns, r, strict=True)) for r in found.fetchall()]
     got = [r.asDict() for r in queries.queries()[name](spark, SF).collect()]
     rows = lambda x: sorted(tuple(sorted((c, str(v)) for c, v in r.items())) for r in x)
     assert rows(got) == rows(want)
