@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -18,11 +19,12 @@ from suffix_engine.session import written
 #: The labelled table's domains, and by what their expected shares of tokens are multiplied for the default targets; the first takes the rest.
 DOMAINS = ("good", "poor", "toxic")
 FACTORS = (1.0, 0.5, 0.5)
-#: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses; rounds and precision of the descent.
+#: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses; rounds of the
+#: descent, and the part of its own target by which a domain may miss it; what a target of 0 may be missed by.
 SLOTS, MOST_LABELLED, TELLING = 1 << 14, 9000, 4.5
-ROUNDS, PRECISION = 40, 5e-4
-#: Added to the posteriors' second moments: domains of which there is hardly any are approached in small steps, so that noise in
-#: their posteriors does not decide the rates of all documents.
+ROUNDS, PRECISION, NOTHING = 40, 1e-3, 1e-6
+#: Added to the posteriors' second moments: the descent approaches domains of which there is hardly any in small steps, so that its
+#: first ones don't overshoot on noise in their posteriors. What it is slow at is left to settle.
 RIDGE = 0.02
 _ROWS = 512
 
@@ -132,52 +134,120 @@ def _rates(p: np.ndarray, steps: np.ndarray) -> np.ndarray:
     return r
 
 
-def _totals(scored: DataFrame, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Expected domain tokens and token-weighted second moments of the posteriors; a row for each batch goes to the sum."""
+def _totals(scored: DataFrame, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+    """Expected domain tokens, token-weighted second moments of the posteriors where the rate is over 0, and squared rates; a row for
+    each batch goes to the sum."""
     k = len(DOMAINS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, square = np.zeros(k), np.zeros((k, k))
+        total, square, norm = np.zeros(k), np.zeros((k, k)), 0.0
         for batch in batches:
             p = batch["posteriors"].values.to_numpy().reshape(-1, k) if batch.num_rows else np.zeros((0, k))
             n = batch["n_tokens"].to_numpy().astype(float)
-            total += (_rates(p, steps) * n) @ p
-            square += (p * n[:, None]).T @ p
-        yield pa.RecordBatch.from_arrays([pa.array([*total, *square.ravel()]).cast(pa.float64()), pa.array(range(k + k * k), pa.int32())], ["x", "i"])
+            rates = _rates(p, steps)
+            total += (rates * n) @ p
+            square += (p * (n * (rates > 0))[:, None]).T @ p
+            norm += float(n @ rates**2)
+        yield pa.RecordBatch.from_arrays([pa.array([*total, *square.ravel(), norm]).cast(pa.float64()), pa.array(range(k + k * k + 1), pa.int32())], ["x", "i"])
 
     sums = scored.select("n_tokens", "posteriors").mapInArrow(run, "x double, i int").groupBy("i").agg(F.sum("x")).collect()
-    got = np.zeros(k + k * k)
+    got = np.zeros(k + k * k + 1)
     for i, x in sums:
         got[i] = x
-    return got[:k], got[k:].reshape(k, k)
+    return got[:k], got[k:-1].reshape(k, k), float(got[-1])
 
 
-def descend(scored: DataFrame, targets=None, rounds: int = ROUNDS, precision: float = PRECISION) -> np.ndarray:
+class _Sums:
+    """The totals of a table under any steps, each computed once."""
+
+    def __init__(self, scored: DataFrame):
+        self.scored, self.known = scored, {}
+
+    def __call__(self, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+        key = steps.tobytes()
+        if key not in self.known:
+            self.known[key] = _totals(self.scored, steps)
+        return self.known[key]
+
+
+def _default_targets(totals: np.ndarray) -> np.ndarray:
+    targets = totals / totals.sum() * FACTORS
+    targets[0] += 1 - targets.sum()
+    return targets
+
+
+def _miss(residual: np.ndarray, targets: np.ndarray, precision: float) -> float:
+    """The worst residual, each as a part of what its domain's target allows: met up to 1."""
+    return float((np.abs(residual) / np.where(targets > 0, precision * targets, NOTHING)).max())
+
+
+def descend(scored: DataFrame | _Sums, targets=None, rounds: int = ROUNDS, precision: float = PRECISION, pace: float | None = None) -> np.ndarray:
     """Steps of projected gradient descent on the weighted squares of (expected totals - target totals) / tokens.
 
     Weighting by the inverse second moment of the posteriors makes the step 1 safe and the pace even in all domains. A document's
     rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates. Without targets, those
-    of FACTORS hold: fixed shares could ask for more of a domain than there is, and weigh up what merely resembles it.
+    of FACTORS hold: fixed shares could ask for more of a domain than there is, and weigh up what merely resembles it. It ends when
+    every domain is within precision of its own target, after the rounds, or when a round leaves more than pace of the worst miss.
     """
     k = len(DOMAINS)
-    steps = np.zeros((0, k))
-    totals, moment = _totals(scored, steps)
+    steps, sums = np.zeros((0, k)), scored if isinstance(scored, _Sums) else _Sums(scored)
+    totals, moment, _ = sums(steps)
     tokens = totals.sum()
     if tokens <= 0:
         return steps
-    if targets is None:
-        targets = totals / tokens * FACTORS
-        targets[0] += 1 - targets.sum()
-    weight = np.linalg.inv(moment / tokens + RIDGE * np.eye(k))
+    targets = _default_targets(totals) if targets is None else np.asarray(targets, float)
+    weight, before = np.linalg.inv(moment / tokens + RIDGE * np.eye(k)), np.inf
     for _ in range(rounds):
-        residual = totals / tokens - np.asarray(targets)
-        if np.abs(residual).max() < precision:
+        residual = totals / tokens - targets
+        miss = _miss(residual, targets, precision)
+        if miss <= 1 or (pace is not None and miss > pace * before):
             break
-        steps = np.vstack([steps, weight @ residual])
-        totals, _ = _totals(scored, steps)
+        steps, before = np.vstack([steps, weight @ residual]), miss
+        totals, _, _ = sums(steps)
     return steps
 
 
+def settle(sums: _Sums, steps: np.ndarray, targets, rounds: int = ROUNDS, precision: float = PRECISION) -> tuple[np.ndarray, np.ndarray]:
+    """Steps that meet the targets, and the shares of tokens they reach. Given ones that meet them are returned as they are.
+
+    Otherwise one step is looked for under which the rates are, of all that meet the targets, those nearest to 1. It is the least
+    point of a convex function of as many variables as there are domains, found by Newton's method with shortened steps whatever the
+    domains' sizes. Targets that no rates from 0 on meet have no such step; then the one that misses least is returned.
+    """
+    k = len(DOMAINS)
+    targets = np.asarray(targets, float)
+    tokens = sums(np.zeros((0, k)))[0].sum()
+
+    def at(x: np.ndarray) -> tuple:
+        totals, moment, norm = sums(x)
+        return totals / tokens, moment / tokens, norm / tokens / 2 + float(x.sum(axis=0) @ targets)
+
+    shares, moment, _ = at(steps)
+    best = (_miss(shares - targets, targets, precision), steps, shares)
+    if best[0] <= 1:
+        return best[1:]
+    here = steps.sum(axis=0, keepdims=True)
+    shares, moment, value = at(here)
+    least = 1e-9 * np.trace(moment) + 1e-12
+    left = rounds
+    while True:
+        residual = shares - targets
+        best = min(best, (_miss(residual, targets, precision), here, shares), key=lambda b: b[0])
+        if best[0] <= 1:
+            break
+        step, part, found = np.linalg.solve(moment + least * np.eye(k), residual), 1.0, None
+        while found is None and left > 0:
+            there, left = here + part * step, left - 1
+            tried = at(there)
+            if tried[2] <= value - 1e-4 * part * float(residual @ step) + 1e-15:
+                found = tried
+            part /= 4
+        if found is None:
+            break
+        here, (shares, moment, value) = there, found
+    return best[1:]
+
+
 def with_rates(scored: DataFrame, steps: np.ndarray) -> DataFrame:
     """Adds rate, by DataFrame functions only."""
     rate = F.lit(1.0)
@@ -189,14 +259,29 @@ def with_rates(scored: DataFrame, steps: np.ndarray) -> DataFrame:
 def mix(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
     """All columns of docs, n_tokens, posteriors of DOMAINS and rate: how often each document is to be taken, on average.
 
-    Targets are shares of all tokens of docs (None: by FACTORS). A target that the documents can't meet with rates from 0 on is met as nearly as
-    least squares allow. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of their own.
+    Targets are shares of all tokens of docs (None: by FACTORS), each met within PRECISION of itself. Targets that the documents can't meet
+    with rates from 0 on are met as nearly as least squares allow, with a warning that tells by how much. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of their own.
     """
     model = fit(docs, labels)
     rest = [c for c in docs.columns if c not in ("n_tokens", "posteriors", "rate")]
     scored = with_posteriors(docs.select(rest), model)
-    steps = descend(written(scored.select("n_tokens", "posteriors"), "posteriors"), targets)
-    return with_rates(scored, steps)
+    return with_rates(scored, _steps(written(scored.select("n_tokens", "posteriors"), "posteriors"), targets))
+
+
+def _steps(scored: DataFrame, targets=None) -> np.ndarray:
+    """The descent while it is quick, then what it left; the whole descent where the targets can't be met."""
+    sums, steps = _Sums(scored), np.zeros((0, len(DOMAINS)))
+    totals = sums(steps)[0]
+    if totals.sum() <= 0:
+        return steps
+    targets = _default_targets(totals) if targets is None else np.asarray(targets, float)
+    steps, shares = settle(sums, descend(sums, targets, pace=0.5), targets)
+    if _miss(shares - targets, targets, PRECISION) > 1:
+        steps = descend(sums, targets)
+        shares = sums(steps)[0] / totals.sum()
+        unmet = ", ".join(f"{d} {x:.3g} of {t:.3g}" for d, x, t in zip(DOMAINS, shares, targets, strict=True))
+        warnings.warn(f"targets not met, shares of tokens reached: {unmet}", stacklevel=2)
+    return steps
 
 
 def mixing_rates(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -73,6 +73,31 @@ def test_default_targets_spare_good_documents(spark):
     assert min(rates[1, 0]) > 0 and np.mean(rates[1, 0]) > 1 > np.mean(rates[1, 1]) > np.mean(rates[0, 0])
 
 
+def _made(spark, shares, n=20000):
+    """(n_tokens, posteriors) of documents that are nearly pure, so many of each domain."""
+    y = np.repeat(np.arange(3), [n - sum(int(n * s) for s in shares), *(int(n * s) for s in shares)])
+    p = np.full((n, 3), 5e-5)
+    p[np.arange(n), y] = 0.9999
+    tokens = np.random.default_rng(3).integers(50, 150, n)
+    return spark.createDataFrame([(int(a), b.tolist()) for a, b in zip(tokens, p, strict=True)], "n_tokens long, posteriors array<double>"), tokens, p, y
+
+
+@pytest.mark.parametrize("shares", [(0.1, 0.001), (0.1, 0.002), (0.0004, 0.0004)])
+def test_scarce_domains_meet_their_targets(spark, shares):
+    df, n, p, y = _made(spark, shares)
+    steps = mixing._steps(df)
+    rates = np.array([x.rate for x in mixing.with_rates(df, steps).collect()])
+    was, got = n @ p / n.sum(), (rates * n) @ p / n.sum()
+    assert np.allclose(got[1:], was[1:] / 2, rtol=1e-3) and abs(got.sum() - 1) < 1e-3
+    assert rates[y == 0].min() > 0.99 and rates[y == 2].max() < 0.51
+
+
+def test_unmet_targets_are_reported(spark):
+    df = spark.createDataFrame([(10, [0.6, 0.2, 0.2]), (20, [0.5, 0.3, 0.2])], "n_tokens long, posteriors array<double>")
+    with pytest.warns(UserWarning, match=r"toxic 0\.\d+ of 0\.01"):
+        mixing._steps(df, (0.9, 0.09, 0.01))
+
+
 @pytest.mark.parametrize("rows", [[], [(1, None), (None, ""), (2, "a b")]])
 def test_mixing_edges(spark, rows):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
