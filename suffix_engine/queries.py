@@ -164,6 +164,37 @@ def _checked(make) -> Query:
     return run
 
 
+def _variants() -> dict[str, Callable[[corpus.Corpus], DataFrame]]:
+    """All ways to a suffix array, by name: (rank, pos) of a text."""
+    sorted_ = lambda **options: lambda c: bucketed.build(c, **options).select("rank", "pos")
+    doubled = lambda **options: lambda c: suffix_array.invert(doubling.build(c, **options).ranks)
+    out = {"mapreduce_basic": naive.mapreduce_sort, "hybrid": lambda c: suffix_array.invert(hybrid.build(c).ranks)}
+    for kernel in partial.KERNELS:
+        out[kernel] = sorted_(kernel=kernel)
+        out[f"{kernel}_chunk_join"] = sorted_(kernel=kernel, reader="chunk_join")
+    for splitters in ("histogram", "orderby"):
+        out[splitters] = sorted_(splitters=splitters)
+    out["span_direct"] = sorted_(kernel="merge", reduction="span_direct")
+    for pairing in ("join", "union_reduce", "block"):
+        for rerank in doubling.RERANKS:
+            out[f"doubling_{pairing}_{rerank}"] = doubled(pairing=pairing, rerank=rerank, active_only=False)
+    out["doubling_active_set"] = doubled(active_only=True)
+    out["doubling_literal_rounds"] = doubled(h0=1, rounds="paper", active_only=False)
+    return out
+
+
+def _inverted(text: Callable) -> Query:
+    """The text against the inverse of its transform: (n, rows, wrong)."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        c = text(spark, d)
+        got = bwt.invert(bwt.from_suffix_array(bucketed.build(c).select("rank", "pos"), c), c).select("pos", F.col("code").alias("got"))
+        both = corpus.text(c).join(got, "pos", "full")
+        return both.agg(F.lit(c.n).cast("long").alias("n"), F.count("got").alias("rows"), F.count_if(~F.col("code").eqNullSafe(F.col("got"))).alias("wrong"))
+
+    return run
+
+
 def _entropy(spark: SparkSession, d: str) -> DataFrame:
     """Order-0 entropy of the text, and of the move-to-front codes of its transform."""
     c = w.english(spark, d)
@@ -289,6 +320,10 @@ def queries() -> dict[str, Query]:
         for rerank in doubling.RERANKS:
             out[f"isa_doubling_{pairing}_{rerank}"] = _doubled_items(pairing=pairing, rerank=rerank, active_only=False)
     out["isa_doubling_active_set"] = _doubled_items(active_only=True)
+    for name, text in (("english", w.english), ("dna", w.dna), ("proteins", w.proteins)):
+        for variant, make in _variants().items():
+            out.setdefault(f"check_{name}_{variant}", _checked((text, make)))
+        out[f"check_{name}_inverse"] = _inverted(text)
     return out
 
 

@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from suffix_engine import queries
 from suffix_engine.operators import bucketed, bwt, compress, corpus, doubling, features, fm, hybrid, kmers, lcp, metrics, naive, partial, suffix_array, verify
 from suffix_engine.session import cut
 from test_kernels import GOLDEN
@@ -231,3 +232,11 @@ def test_splits_have_no_common_order(spark):
     rows = spark.createDataFrame([(i, f"text {i}") for i in range(20)], "k long, t string")
     out = naive.split_index(rows, "k", "t", 3).collect()
     assert len(out) == 3 and all(bwt.decode(r.bwt, r.primary).count("text") >= 1 for r in out)
+
+
+@pytest.mark.parametrize("variant", ["radix", "merge_chunk_join"])
+def test_variants_run_on_whole_texts(spark, variant):
+    known = queries.queries()
+    assert all(f"check_{text}_{v}" in known for text in ("english", "dna", "proteins") for v in [*queries._variants(), "inverse"])
+    row = known[f"check_dna_{variant}"](spark, "/root/testdata/sf0.001").first()
+    assert row.n == row.rows == row.positions > 100_000 and row.misplaced == row.violations == 0
