@@ -240,3 +240,15 @@ def test_variants_run_on_whole_texts(spark, variant):
     assert all(f"check_{text}_{v}" in known for text in ("english", "dna", "proteins") for v in [*queries._variants(), "inverse"])
     row = known[f"check_dna_{variant}"](spark, "/root/testdata/sf0.001").first()
     assert row.n == row.rows == row.positions > 100_000 and row.misplaced == row.violations == 0
+
+
+def test_searches_go_on_above_the_broadcast_bound(spark, monkeypatch):
+    r = random.Random(8)
+    c = corpus.literal(spark, "".join(r.choice("ACGT") for _ in range(300)))
+    built = cut(bucketed.build(c))
+    index = fm.build(built.select("rank", "code"), built.select("rank", "pos"), c, block=16, sample=4)
+    patterns = spark.createDataFrame([(1, "AC"), (2, "GTA"), (3, "AX"), (4, ""), (1, "TTT"), (5, "ACGTACGTACGTA")], "pattern_id long, pattern string")
+    found = lambda: (fm.count(index, patterns), fm.locate(index, fm.count(index, patterns.where("pattern <> ''"))), fm.count_approx(index, patterns, 1))
+    want = [sorted(map(tuple, df.collect())) for df in found()]
+    monkeypatch.setattr(fm, "BROADCAST_SYMBOLS", 100)
+    assert [sorted(map(tuple, df.collect())) for df in found()] == want and len(want[1]) > 20
