@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from suffix_engine.model import Corpus
-from suffix_engine.operators import kmers
+from suffix_engine.model import CODE, Corpus
+from suffix_engine.operators.corpus import chunks
+from suffix_engine.session import cut
 
 
 def invert(ranks: DataFrame) -> DataFrame:
@@ -18,26 +23,47 @@ def ranks_of(sa: DataFrame) -> DataFrame:
     return sa.select("pos", F.col("rank").alias("rnk"))
 
 
-def search(sa: DataFrame, corpus: Corpus, patterns: DataFrame) -> DataFrame:
-    """(pattern_id, lo, hi, cnt): the rank interval of the suffixes that start with each pattern (pattern_id, pattern).
+def binary_search(sa: DataFrame, corpus: Corpus, patterns: DataFrame, size: int = 1 << 12) -> DataFrame:
+    """(pattern_id, lo, hi, cnt) of all patterns (pattern_id, pattern), of any length: the rank interval of the suffixes that start with
+    each, 0 and 0 if none does. Empty patterns match all suffixes.
 
-    Patterns up to the widest key. Instead of a binary search on the driver, the packed first symbols of all suffixes give each
-    k-mer's interval by one aggregate, and the patterns of that length join it.
+    Both ends of all intervals are searched at once; a round joins the suffixes in the middle and the chunks of text that they share
+    with the pattern, log2 n rounds in all.
     """
-    known = {s: c + 1 for c, s in enumerate(corpus.symbols) if c != corpus.terminator}
-    width = kmers.bits(corpus)
-    lengths = [r[0] for r in patterns.select(F.char_length("pattern")).distinct().collect()]
-    if any(k > kmers.widest(corpus) for k in lengths):
-        raise ValueError("longer patterns need backward search")
-    table = F.create_map(*(x for s, c in known.items() for x in (F.lit(s), F.lit(c).cast("long"))))
-    symbols = F.filter(F.split("pattern", ""), lambda s: s != "")
-    keyed = patterns.withColumn("kmer", F.aggregate(symbols, F.lit(0).cast("long"), lambda a, s: F.shiftleft(a, width) + F.try_element_at(table, s)))
-    out = None
-    for k in sorted(x for x in lengths if x):
-        spans = kmers.extract(corpus, k).join(sa, "pos").groupBy("kmer").agg(F.min("rank").alias("lo"), (F.max("rank") + 1).alias("hi"))
-        found = keyed.where(F.char_length("pattern") == k).join(spans, "kmer").select("pattern_id", "lo", "hi", (F.col("hi") - F.col("lo")).alias("cnt"))
-        out = found if out is None else out.unionByName(found)
-    return out
+    table = F.create_map(*(x for i, s in enumerate(corpus.symbols) if i != corpus.terminator for x in (F.lit(s), F.lit(i))))
+    symbols = F.filter(F.split(F.coalesce("pattern", F.lit("")), ""), lambda s: s != "")
+    rows = cut(patterns.select(F.col("pattern_id").cast("long").alias("pattern_id"), F.transform(symbols, lambda s: F.coalesce(F.try_element_at(table, s), F.lit(-1))).alias("own"), F.monotonically_increasing_id().alias("key")))
+    sa, body = cut(sa), cut(chunks(corpus, size))
+    unknown = F.array_contains("own", F.lit(-1))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            after = []
+            for own, parts, side in zip(batch["own"].to_pylist(), batch["parts"].to_pylist(), batch["side"].to_pylist(), strict=True):
+                there = np.frombuffer(b"".join(parts), CODE).tolist()
+                after.append(there < own or (side == 1 and there == own))
+            yield pa.RecordBatch.from_arrays([batch["key"], batch["side"], pa.array(after, pa.bool_())], ["key", "side", "after"])
+
+    state = cut(rows.where(~unknown & (F.size("own") > 0)).select("key", "own", F.explode(F.array(F.lit(0), F.lit(1))).alias("side"), F.lit(0).cast("long").alias("lo"), F.lit(corpus.n).cast("long").alias("hi")))
+    for _ in range(int(corpus.n).bit_length()):
+        asked = state.where("lo < hi").select("key", "side", "own", F.floor((F.col("lo") + F.col("hi")) / 2).alias("rank")).join(sa, "rank")
+        end = F.least(F.col("pos") + F.size("own"), F.lit(corpus.n))
+        reach = asked.withColumn("end", end).withColumn("chunk", F.explode(F.sequence(F.floor(F.col("pos") / size), F.floor((F.col("end") - 1) / size))))
+        piece = F.expr(f"substring(codes, cast({CODE.itemsize} * (greatest(pos, start) - start) + 1 as int), cast({CODE.itemsize} * (least(end, start + {size}) - greatest(pos, start)) as int))")
+        parts = reach.join(body, "chunk").groupBy("key", "side").agg(F.first("own").alias("own"), F.transform(F.array_sort(F.collect_list(F.struct("start", piece.alias("part")))), lambda x: x["part"]).alias("parts"))
+        moved = parts.mapInArrow(compare, "key long, side int, after boolean")
+        middle = F.floor((F.col("lo") + F.col("hi")) / 2)
+        state = cut(state.join(moved, ["key", "side"], "left").select("key", "own", "side", F.when(F.col("after"), middle + 1).otherwise(F.col("lo")).alias("lo"), F.when(~F.col("after"), middle).otherwise(F.col("hi")).alias("hi")))
+    ends = state.groupBy("key").agg(F.max(F.when(F.col("side") == 0, F.col("lo"))).alias("_lo"), F.max(F.when(F.col("side") == 1, F.col("lo"))).alias("_hi"))
+    ended = rows.join(ends, "key", "left").withColumn("_hi", F.when(F.size("own") == 0, F.lit(corpus.n)).otherwise(F.col("_hi"))).withColumn("_lo", F.coalesce("_lo", F.lit(0)))
+    found = F.col("_hi") > F.col("_lo")
+    at = lambda x: F.when(found, x).otherwise(0).cast("long")
+    return ended.select("pattern_id", at(F.col("_lo")).alias("lo"), at(F.col("_hi")).alias("hi"), at(F.col("_hi") - F.col("_lo")).alias("cnt"))
+
+
+def search(sa: DataFrame, corpus: Corpus, patterns: DataFrame) -> DataFrame:
+    """The patterns of binary_search that occur."""
+    return binary_search(sa, corpus, patterns).where("cnt > 0")
 
 
 def locate(intervals: DataFrame, sa: DataFrame, block: int = 1 << 16) -> DataFrame:

@@ -137,7 +137,13 @@ def _fm_locate(spark: SparkSession, d: str) -> DataFrame:
 def _sa_search(spark: SparkSession, d: str) -> DataFrame:
     c, sa, _ = _items_transform(spark, d)
     words = _six(spark, d).select(F.xxhash64("word").alias("pattern_id"), F.col("word").alias("pattern"))
-    return suffix_array.search(sa, c, words).join(words, "pattern_id").select(F.col("pattern").alias("word"), "cnt")
+    return suffix_array.binary_search(sa, c, words).join(words, "pattern_id").select(F.col("pattern").alias("word"), "cnt")
+
+
+def _sa_search_passages(spark: SparkSession, d: str) -> DataFrame:
+    """The benchmark's passages in the English text."""
+    c = w.english(spark, d)
+    return suffix_array.binary_search(bucketed.build(c).select("rank", "pos"), c, w.item_patterns(spark, d)).select("pattern_id", "cnt")
 
 
 def _approx(spark: SparkSession, d: str) -> DataFrame:
@@ -291,6 +297,7 @@ def queries() -> dict[str, Query]:
         "fm_locate": _fm_locate,
         "fm_count_approx": _approx,
         "sa_search": _sa_search,
+        "sa_search_passages": _sa_search_passages,
         "lcp_items": _lcp,
         "longest_repeat": _longest,
         "seq_events_bwt": lambda spark, d: bwt.per_row(w.event_sequences(spark, d), "user_id", "text"),
@@ -410,6 +417,7 @@ def oracle_sql() -> dict[str, str]:
         "unlabelled_documents": "SELECT doc_id, n_chars FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)",
         "benchmark_only_words": f"SELECT word FROM {_SIX} WHERE word NOT IN (SELECT unnest(regexp_split_to_array(replace(text, '$', ''), '[^A-Za-z]+')) FROM documents WHERE lang = 'en')",
     }
+    out["sa_search_passages"] = out["fm_count"]
     for name in queries():
         if name.startswith(("sa_bucketed_", "sa_mapreduce", "sa_hybrid")):
             out[name] = _SA

@@ -252,3 +252,16 @@ def test_searches_go_on_above_the_broadcast_bound(spark, monkeypatch):
     want = [sorted(map(tuple, df.collect())) for df in found()]
     monkeypatch.setattr(fm, "BROADCAST_SYMBOLS", 100)
     assert [sorted(map(tuple, df.collect())) for df in found()] == want and len(want[1]) > 20
+
+
+@pytest.mark.parametrize("order", ["smallest", "largest"])
+def test_binary_search_takes_any_pattern(spark, order):
+    r = random.Random(9)
+    text = "".join(r.choice("ab") for _ in range(200)) + "ababab"
+    c = corpus.literal(spark, text, order)
+    words = ["", "a", "ab", "bbbbbbbbbbbbbbbbbbbb", "ax", text, text[3:150], text[-1:], text + "a", "a$"]
+    patterns = spark.createDataFrame(list(enumerate(words)), "pattern_id long, pattern string")
+    built = cut(bucketed.build(c))
+    got = {r.pattern_id: (r.lo, r.hi, r.cnt) for r in suffix_array.binary_search(built.select("rank", "pos"), c, patterns, size=16).collect()}
+    index = fm.build(built.select("rank", "code"), built.select("rank", "pos"), c, block=16, sample=4)
+    assert got == {r.pattern_id: (r.lo, r.hi, r.cnt) for r in fm.count(index, patterns).collect()} and got[5][2] == 1
