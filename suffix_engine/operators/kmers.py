@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from suffix_engine.model import CODE, KMER, Corpus
 from suffix_engine.operators.corpus import chunks
+from suffix_engine.session import cut
 
 CHUNK_SYMBOLS = 1 << 17
 
@@ -93,3 +94,17 @@ def lookup(corpus: Corpus, k: int, words: DataFrame) -> DataFrame:
     key = F.aggregate(symbols, F.lit(0).cast("long"), lambda a, s: F.when(a.isNull(), a).otherwise(F.shiftleft(a, width) + F.try_element_at(table, s)))
     keyed = words.select("word").where(F.char_length("word") == k).withColumn("kmer", key).where("kmer is not null")
     return keyed.join(hash_index(corpus, k), "kmer").select("word", F.explode("positions").alias("pos"))
+
+
+def lookup_any(corpus: Corpus, words: DataFrame) -> DataFrame:
+    """(word, pos) of words of any length from 1 on; longer ones than a key are looked up in pieces that must follow each other."""
+    k, words = widest(corpus), cut(words.select("word").where("char_length(word) > 0").distinct())
+    long = words.where(F.char_length("word") > k)
+    # a piece at every k-th symbol, and one that ends with the word
+    offsets = F.array_distinct(F.array_append(F.sequence(F.lit(0), F.char_length("word") - k, F.lit(k)), F.char_length("word") - k))
+    pieces = cut(long.select("word", F.size(offsets).alias("n"), F.explode(offsets).alias("offset")).withColumn("piece", F.substring("word", F.col("offset") + 1, F.lit(k))))
+    found = lookup(corpus, k, pieces.select(F.col("piece").alias("word")).distinct()).withColumnRenamed("word", "piece")
+    out = pieces.join(found, "piece").groupBy("word", "n", (F.col("pos") - F.col("offset")).alias("pos")).agg(F.count(F.lit(1)).alias("met")).where("met = n").select("word", "pos")
+    for length in sorted(r[0] for r in words.select(F.char_length("word")).distinct().collect() if r[0] <= k):
+        out = out.unionByName(lookup(corpus, length, words))
+    return out

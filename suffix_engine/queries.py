@@ -56,6 +56,25 @@ def _six(spark: SparkSession, d: str) -> DataFrame:
     return w.items_rows(spark, d).select(F.explode(F.split("text", r"[^A-Za-z]+")).alias("word")).where("char_length(word) = 6").distinct()
 
 
+def _patterns(spark: SparkSession, d: str, passages: bool = True) -> DataFrame:
+    """(pattern_id, pattern): all words of the benchmark and of part names, and the passages."""
+    words = w.items_rows(spark, d).select(F.explode(F.split("text", r"[^A-Za-z]+")).alias("pattern")).where("pattern <> ''")
+    out = words.unionByName(w.word_patterns(spark, d).select("pattern"))
+    if passages:
+        out = out.unionByName(w.item_patterns(spark, d).select("pattern"))
+    return out.where("pattern is not null").distinct().select(F.xxhash64("pattern").alias("pattern_id"), "pattern")
+
+
+def _counted(index: Callable, count: Callable, passages: bool = True) -> Query:
+    """(pattern, ...) of all patterns, whatever their length."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        patterns = cut(_patterns(spark, d, passages))
+        return count(*index(spark, d), patterns).join(patterns, "pattern_id").drop("pattern_id", "lo", "hi")
+
+    return run
+
+
 def _property(spark: SparkSession, d: str) -> DataFrame:
     found = verify.bucket_property(bucketed.partition(w.dna(spark, d), 8, 16))
     return found.agg(F.bool_and("apart").alias("apart"), F.sum("members").alias("members"))
@@ -214,6 +233,14 @@ def _bigram_distance(spark: SparkSession, d: str) -> DataFrame:
     return features.distance(features.bwt_bigrams(rows, "item_id", "text"), "item_id", pairs)
 
 
+def _all_bigram_distances(spark: SparkSession, d: str) -> DataFrame:
+    """Between all pairs of items."""
+    rows = w.items_rows(spark, d)
+    ids = rows.select("item_id").distinct()
+    pairs = ids.select(F.col("item_id").alias("a")).join(ids.select(F.col("item_id").alias("b")), F.col("a") < F.col("b"))
+    return features.distance(features.bwt_bigrams(rows, "item_id", "text"), "item_id", cut(pairs))
+
+
 def _scale_report(spark: SparkSession, d: str) -> DataFrame:
     """Prefixes of the nucleotide text: rounds, and what is left unresolved after each."""
     whole, out = w.dna(spark, d), None
@@ -298,6 +325,12 @@ def queries() -> dict[str, Query]:
         "fm_count_approx": _approx,
         "sa_search": _sa_search,
         "sa_search_passages": _sa_search_passages,
+        "sa_search_patterns": _counted(_english_index, lambda c, _, built, p: suffix_array.binary_search(built.select("rank", "pos"), c, p)),
+        "kmer_lookup_words": lambda spark, d: kmers.lookup_any(w.english(spark, d), _patterns(spark, d, passages=False).select(F.col("pattern").alias("word"))),
+        "fm_count_patterns": _counted(_english_index, lambda c, index, _, p: fm.count(index, p)),
+        "fm_count_joined_patterns": _counted(_english_index, lambda c, index, _, p: fm.count_joined(index, p)),
+        "fm_count_approx_patterns": _counted(_english_index, lambda c, index, _, p: fm.count_approx(index, p, 1)),
+        "bwt_bigram_distance_all": _all_bigram_distances,
         "lcp_items": _lcp,
         "longest_repeat": _longest,
         "seq_events_bwt": lambda spark, d: bwt.per_row(w.event_sequences(spark, d), "user_id", "text"),

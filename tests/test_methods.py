@@ -265,3 +265,15 @@ def test_binary_search_takes_any_pattern(spark, order):
     got = {r.pattern_id: (r.lo, r.hi, r.cnt) for r in suffix_array.binary_search(built.select("rank", "pos"), c, patterns, size=16).collect()}
     index = fm.build(built.select("rank", "code"), built.select("rank", "pos"), c, block=16, sample=4)
     assert got == {r.pattern_id: (r.lo, r.hi, r.cnt) for r in fm.count(index, patterns).collect()} and got[5][2] == 1
+
+
+def test_words_of_all_lengths_are_patterns(spark):
+    r = random.Random(10)
+    text = "".join(r.choice("abcd") for _ in range(300))
+    c = corpus.literal(spark, text)
+    k = kmers.widest(c)
+    words = [text[3:4], text[3:6], text[9 : 9 + k], text[9 : 10 + k], text[50 : 50 + 3 * k + 2], text[7 : 7 + k] + "a" * k, "x", "x" * 2 * k]
+    got = kmers.lookup_any(c, spark.createDataFrame([(x,) for x in words], "word string")).collect()
+    assert sorted(map(tuple, got)) == sorted((x, p) for x in set(words) for p in range(len(text)) if text.startswith(x, p))
+    own = {r.pattern for r in queries._patterns(spark, "/root/testdata/sf0.001").collect()}
+    assert {1, 2, 3, 6, 9} <= {len(x) for x in own} and max(map(len, own)) > 90
