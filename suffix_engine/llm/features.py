@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from suffix_engine.llm.blocks import HASH, mix
+from suffix_engine.llm.blocks import range_hashes
 from suffix_engine.llm.windows import word_ranges
 
 #: Classes of bytes: lower, upper, digit, blank, line end, other control, beyond ASCII, and each mark of its own.
@@ -30,11 +30,11 @@ def shape_features(b: np.ndarray, bounds: np.ndarray) -> np.ndarray:
         begin, end, _ = word_ranges(t, np.array([0, len(t)]))
         if not len(begin):
             continue
-        words = HASH.ranges(t, begin, end)
+        words = range_hashes(t, begin, end)
         counts = np.unique(words, return_counts=True)[1]
         line = np.flatnonzero(t == 10)
         edges_a, edges_z = np.r_[0, line + 1], np.r_[line, len(t)]
-        lines = HASH.ranges(t, edges_a, edges_z)
+        lines = range_hashes(t, edges_a, edges_z)
         length = end - begin
         out[i, CLASSES * CLASSES :] = (
             np.log1p(len(begin)) / 10,
@@ -56,7 +56,7 @@ def word_slots(b: np.ndarray, bounds: np.ndarray, buckets: int) -> tuple[np.ndar
     solid = low.copy()
     solid[_CLASS[low] >= 7] = 32  # marks part words
     begin, end, first = word_ranges(solid, bounds)
-    slot = (mix(HASH.ranges(low, begin, end)) % np.uint64(buckets)).astype(np.int64)
+    slot = (range_hashes(low, begin, end) % np.uint64(buckets)).astype(np.int64)
     counts = np.diff(first)
     both = np.unique(np.repeat(np.arange(len(bounds) - 1), counts) * buckets + slot)
     return both // buckets, both % buckets, counts

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -10,12 +9,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import HASH, HASH2, Docs, Kernel, by_bucket, exchange, mix
+from suffix_engine.llm.blocks import Docs, Items, Kernel, digests, exchange, mix, numbered
 
 _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
+#: No line's last holder: the least number, which is no id of a table.
+NOT_THERE = np.iinfo(np.int64).min
 
 
 class PerfectHash:
@@ -55,6 +56,50 @@ class PerfectHash:
         return out
 
 
+@dataclass
+class LineIndex:
+    """A shard over the lines of at least so many documents: a perfect hash of 64 bits of each line's digest, and arrays of the other
+    64 (the fingerprint), the number of documents and the largest id. A line outside it finds some slot, whose fingerprint is another.
+
+    Of lines that agree in the first 64 bits, one is in the arrays and the others are listed beside them.
+    """
+
+    slots: PerfectHash
+    fingerprint: np.ndarray
+    count: np.ndarray
+    last: np.ndarray
+    beside: dict[tuple[int, int], int]
+
+    @classmethod
+    def build(cls, key: np.ndarray, print_: np.ndarray, counts: np.ndarray, largest: np.ndarray, least: int) -> LineIndex:
+        order = np.lexsort((print_, key))
+        k, p = key[order], print_[order]
+        first = np.flatnonzero(np.r_[True, (k[1:] != k[:-1]) | (p[1:] != p[:-1])]) if len(k) else np.zeros(0, np.int64)
+        total = np.add.reduceat(counts[order], first) if len(k) else np.zeros(0, np.int64)
+        last = np.maximum.reduceat(largest[order], first) if len(k) else np.zeros(0, np.int64)
+        often = total >= least
+        k, p, total, last = k[first][often], p[first][often], total[often], last[often]
+        alone = np.r_[True, k[1:] != k[:-1]] if len(k) else np.zeros(0, bool)
+        slots = PerfectHash(k[alone])
+        at = slots.find(k[alone])
+        arrays = [np.empty(int(alone.sum()), x.dtype) for x in (p, total, last)]
+        for out, x in zip(arrays, (p, total, last), strict=True):
+            out[at] = x[alone]
+        return cls(slots, *arrays, {(int(a), int(b)): int(c) for a, b, c in zip(k[~alone], p[~alone], last[~alone], strict=True)})
+
+    def last_holder(self, key: np.ndarray, print_: np.ndarray) -> np.ndarray:
+        """The largest id that holds each line, NOT_THERE for lines that aren't in the shard."""
+        out = np.full(len(key), NOT_THERE, np.int64)
+        if len(self.fingerprint):
+            at = self.slots.find(key)
+            there = (at >= 0) & (self.fingerprint[at] == print_)
+            out[there] = self.last[at[there]]
+        if self.beside:
+            for i in np.flatnonzero(out == NOT_THERE).tolist():
+                out[i] = self.beside.get((int(key[i]), int(print_[i])), NOT_THERE)
+        return out
+
+
 def split_lines(docs: Docs) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Begin and end of each line in the buffer, and the document it belongs to."""
     breaks = np.flatnonzero(docs.bytes == 10)
@@ -83,66 +128,38 @@ class LineKernel(Kernel):
     min_docs: int = 3
     schema = "doc_id long, n_lines long, n_dropped long, text string"
 
-    def _keys(self, docs: Docs, n_buckets: int):
+    def items(self, docs, n_buckets):
         starts, ends, doc = split_lines(docs)
         a, z = trimmed(docs.bytes, starts, ends)
         heads = np.r_[np.int32(0), np.cumsum((docs.bytes & 0xC0) != 0x80, dtype=np.int32)]
         long = np.flatnonzero(heads[z] - heads[a] >= self.min_chars)
-        low = _LOWER[docs.bytes]
-        key = mix(HASH.ranges(low, a[long], z[long]) + (z[long] - a[long]).astype(np.uint64))
-        print_ = mix(HASH2.ranges(low, a[long], z[long]))
-        # one item for each distinct key of the block: documents that hold it, the largest of them
-        order = np.lexsort((doc[long], print_, key))
-        k, p, d = key[order], print_[order], doc[long][order]
-        new = np.r_[True, (k[1:] != k[:-1]) | (p[1:] != p[:-1])] if len(k) else np.zeros(0, bool)
-        ids = docs.ids[d]
-        other = np.r_[True, ids[1:] != ids[:-1]] if len(k) else new
-        first = np.flatnonzero(new)
-        item = np.cumsum(new) - 1
-        counts = np.add.reduceat((new | other).astype(np.int64), first) if len(first) else np.zeros(0, np.int64)
-        largest = ids[np.r_[first[1:], len(k)] - 1] if len(first) else np.zeros(0, np.int64)
-        back = np.empty(len(order), np.int64)
-        back[order] = item
-        bucket = ((k[first] >> np.uint64(32)) % np.uint64(n_buckets)).astype(np.int64)
-        rank = np.argsort(bucket, kind="stable")
+        raw = _LOWER[docs.bytes].tobytes()
+        number, first = numbered(raw, a[long], z[long])
+        key = digests(raw[i:j] for i, j in zip(a[long[first]].tolist(), z[long[first]].tolist(), strict=True))
+        # of each distinct key of the block: documents that hold it, and the largest of them; lines come in the order of the ids
+        pair = np.unique(number * (len(docs) + 1) + doc[long])
+        counts = np.bincount(pair // (len(docs) + 1), minlength=len(first))
+        largest = np.zeros(len(first), np.int64)
+        largest[number] = docs.ids[doc[long]]
+        bucket = (key[:, 0] >> np.uint64(32)).astype(np.int64) % n_buckets
+        rank = np.lexsort((key[:, 0], bucket))
         place = np.empty(len(rank), np.int64)
         place[rank] = np.arange(len(rank))
-        return starts, ends, doc, long, place[back], (k[first][rank], p[first][rank], counts[rank].astype(np.uint32), largest[rank]), bucket[rank]
-
-    def emit(self, docs: Docs, n_buckets: int) -> Iterator[tuple[int, list[np.ndarray]]]:
-        *_, items, bucket = self._keys(docs, n_buckets)
-        for k, i, j in by_bucket(bucket, n_buckets):
-            yield k, [x[i:j] for x in items]
-
-    def resolve(self, parts):
-        """Builds the shard's index: the perfect hash, a fingerprint, a count and the last holder of each line; each block's keys then probe it."""
-        keys, prints, counts, last = (np.concatenate(x) for x in zip(*parts, strict=True))
-        distinct = np.unique(keys)
-        table = PerfectHash(distinct)
-        at = table.find(keys)
-        fingerprint, count, holder = np.zeros(table.count, np.uint64), np.zeros(table.count, np.int64), np.full(table.count, -1, np.int64)
-        fingerprint[at] = prints
-        same = fingerprint[at] == prints
-        np.add.at(count, at[same], counts[same])
-        np.maximum.at(holder, at[same], last[same])
-        out = []
-        for k, p, _, own in parts:
-            slot = table.find(k)
-            hot = (fingerprint[slot] == p) & (count[slot] >= self.min_docs)
-            out.append([np.flatnonzero(hot).astype(np.uint32), (holder[slot] == own)[hot]] if hot.any() else None)
-        return out
-
-    def apply(self, docs, n_buckets, answers):
-        starts, ends, doc, long, item, items, bucket = self._keys(docs, n_buckets)
-        hot, kept_here = np.zeros(len(bucket), bool), np.zeros(len(bucket), bool)
-        for k, i, _ in by_bucket(bucket, n_buckets):
-            if k in answers:
-                at, here = answers[k]
-                hot[i + at] = True
-                kept_here[i + at[here]] = True
+        columns = [key[rank, 0], key[rank, 1], counts[rank].astype(np.uint32), largest[rank].view(np.uint64)]
+        return Items(bucket[rank], columns, np.zeros(len(rank), np.int64), np.zeros(0, np.uint8)), (starts, ends, doc, long, place[number])
+
+    def resolve(self, items):
+        """Builds the shard's index of repeated lines, which all keys then probe: 1 where the line is in it, 2 where this is its last holder."""
+        key, print_, counts, largest = items.columns
+        index = LineIndex.build(key, print_, counts.astype(np.int64), largest.view(np.int64), self.min_docs)
+        last = index.last_holder(key, print_)
+        return np.where(last == NOT_THERE, 0, np.where(last == largest.view(np.int64), 2, 1)).astype(np.uint8)
+
+    def apply(self, docs, items, known, answers):
+        starts, ends, doc, long, item = known
         drop = np.zeros(len(starts), bool)
-        own = docs.ids[doc[long]]
-        drop[long] = hot[item] & ~(kept_here[item] & (items[3][item] == own))
+        keeps = (answers[item] == 2) & (items.columns[3].view(np.int64)[item] == docs.ids[doc[long]])
+        drop[long] = (answers[item] > 0) & ~keeps
         n_lines, n_dropped = np.bincount(doc, minlength=len(docs)), np.bincount(doc[drop], minlength=len(docs))
         edges = np.r_[0, np.cumsum(n_lines)]
         whole, texts = docs.bytes.tobytes(), []
@@ -157,8 +174,8 @@ class LineKernel(Kernel):
 def dedup_lines(docs: DataFrame, min_chars: int = 20, min_docs: int = 3, n_blocks: int | None = None, keep: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, n_lines, n_dropped and the text that is left, one row for each document.
 
-    A null or empty text is one empty line. Rows with equal ids count as one document. Short keys are never
-    dropped. A null id counts as the largest. An empty table gives an empty result. Of the other
+    A null or empty text is one empty line. Each row counts as a document, also where an id repeats or is null; a null id counts as the
+    largest, and all rows with the largest id keep a line. Short keys are never dropped. An empty table gives an empty result. Of the other
     columns only those to keep are read.
     """
     return exchange(docs, LineKernel(min_chars, min_docs), n_blocks, keep=keep)

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import hashlib
 import heapq
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -12,16 +13,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import HASH, NO_ID, Docs, Kernel, by_bucket, exchange, mix
+from suffix_engine.llm.blocks import NO_ID, Docs, Items, Kernel, chained, exchange, mix, range_hashes
 from suffix_engine.llm.graph import connected
 from suffix_engine.llm.lines import _LOWER
-from suffix_engine.llm.windows import _combine, word_ranges
+from suffix_engine.llm.windows import word_ranges
 from suffix_engine.session import cut, written
 
 #: Documents that a task searches at once; larger candidate groups are cut into blocks of about that size.
 GROUP = 512
-#: Weight of a list's length in the choice of how many lists are probed instead of merged; up to so many postings are merged by a heap.
-PROBE_WEIGHT, HEAP_POSTINGS = 0.0085, 64
+#: Weight of a list's length in the choice of how many lists are probed instead of merged.
+PROBE_WEIGHT = 0.0085
 
 
 def needed(percent: int, size):
@@ -29,6 +30,9 @@ def needed(percent: int, size):
     return -(-percent * size // 100)
 
 
+_LOW = np.uint64(0xFFFFFFFF)
+
+
 @dataclass
 class ShingleKernel(Kernel):
     """Distinct shingles of each document; how many sets hold each one is summed up in the buckets.
@@ -42,18 +46,18 @@ class ShingleKernel(Kernel):
     schema = "doc_id long, n_shingles long, one long, two long, prefix array<bigint>, tokens binary"
 
     def _sets(self, docs: Docs):
-        """Per document the size and two hashes of its set; the distinct shingles of the first document of each set, and their bounds."""
+        """Per document the size and a digest of its set; the distinct shingles of the first document of each set, and their bounds."""
         low = _LOWER[docs.bytes]
         begin, end, first = word_ranges(low, docs.bounds)
-        word = mix(HASH.ranges(low, begin, end)) + (end - begin).astype(np.uint64)
+        word = range_hashes(low, begin, end)
         counts = np.diff(first)
-        shingle = mix(_combine(word, self.size))
+        shingle = chained(word, self.size)
         n = np.maximum(counts - self.size + 1, 0)
         doc = np.repeat(np.arange(len(docs)), n)
         at = np.repeat(first[:-1] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
         token = shingle[at] if len(at) else np.zeros(0, np.uint64)
         short = np.flatnonzero((counts > 0) & (counts < self.size))
-        whole = [mix(_combine(word[first[i] : first[i + 1]], int(counts[i])) + np.uint64(counts[i]))[0] for i in short]
+        whole = [mix(chained(word[first[i] : first[i + 1]], int(counts[i])) + np.uint64(counts[i]))[0] for i in short]
         doc, token = np.r_[doc, short], np.r_[token, np.array(whole, np.uint64)]
         order = np.lexsort((token, doc))
         doc, token = doc[order], token[order]
@@ -61,45 +65,30 @@ class ShingleKernel(Kernel):
         doc, token = doc[new], token[new]
         size = np.bincount(doc, minlength=len(docs))
         edge = np.r_[0, np.cumsum(size)]
-        one, two = np.zeros(len(docs), np.uint64), np.zeros(len(docs), np.uint64)
-        some = np.flatnonzero(size)
-        if len(some):
-            one[some], two[some] = np.add.reduceat(mix(token), edge[some]), np.add.reduceat(mix(token ^ np.uint64(0x5DEECE66D)), edge[some])
-        order = np.lexsort((np.arange(len(docs)), two, one, size))
-        new = np.ones(len(docs), bool)
-        new[1:] = (size[order][1:] != size[order][:-1]) | (one[order][1:] != one[order][:-1]) | (two[order][1:] != two[order][:-1])
+        digest, seen = np.zeros((len(docs), 2), np.uint64), set()
         leads = np.zeros(len(docs), bool)
-        leads[order[new]] = True
-        leads &= size > 0
-        return size, one, two, leads, token[leads[doc]], np.r_[0, np.cumsum(size[leads])]
-
-    def _items(self, docs: Docs, n_buckets: int):
-        size, one, two, leads, token, edge = self._sets(docs)
-        low = np.uint64(0xFFFFFFFF)
-        key = ((token >> np.uint64(32)) % np.uint64(n_buckets)) << np.uint64(32) | (token & low)
+        for i in np.flatnonzero(size).tolist():
+            own = hashlib.blake2b(token[edge[i] : edge[i + 1]], digest_size=16).digest()
+            digest[i] = np.frombuffer(own, np.uint64)
+            leads[i] = own not in seen
+            seen.add(own)
+        return size, digest, leads, token[leads[doc]], np.r_[0, np.cumsum(size[leads])]
+
+    def items(self, docs, n_buckets):
+        size, digest, leads, token, edge = self._sets(docs)
+        key = ((token >> np.uint64(32)) % np.uint64(n_buckets)) << np.uint64(32) | (token & _LOW)
         own, item, count = np.unique(key, return_inverse=True, return_counts=True)
-        return (size, one, two, leads, token, edge), own, item, count, (own >> np.uint64(32)).astype(np.int64)
-
-    def emit(self, docs: Docs, n_buckets: int) -> Iterator[tuple[int, list[np.ndarray]]]:
-        _, own, _, count, bucket = self._items(docs, n_buckets)
-        for k, i, j in by_bucket(bucket, n_buckets):
-            step = np.diff((own[i:j] & np.uint64(0xFFFFFFFF)).astype(np.uint32), prepend=np.uint32(0))
-            yield k, [*(step >> np.uint32(8 * b) & np.uint32(255) for b in range(4)), count[i:j].astype(np.uint32)]
-
-    def resolve(self, parts):
-        keys = [np.cumsum(sum(p[b].astype(np.int64) << 8 * b for b in range(4))) for p in parts]
-        own, item = np.unique(np.concatenate(keys), return_inverse=True)
-        total = np.bincount(item, weights=np.concatenate([p[4] for p in parts]), minlength=len(own))
-        magnitude = np.where(total > 1, np.floor(np.log2(np.maximum(total, 1))), 0).astype(np.uint8)[item]
-        return [[x] if x.any() else None for x in np.split(magnitude, np.cumsum([len(k) for k in keys])[:-1])]
-
-    def apply(self, docs, n_buckets, answers):
-        (size, one, two, leads, token, edge), own, item, _, bucket = self._items(docs, n_buckets)
-        magnitude = np.zeros(len(own), np.uint8)
-        for k, i, j in by_bucket(bucket, n_buckets):
-            if k in answers:
-                magnitude[i:j] = answers[k][0]
-        magnitude = magnitude[item]
+        columns = [(own & _LOW).astype(np.uint32), count.astype(np.uint32)]
+        return Items((own >> np.uint64(32)).astype(np.int64), columns, np.zeros(len(own), np.int64), np.zeros(0, np.uint8)), (size, digest, leads, token, edge, item)
+
+    def resolve(self, items):
+        own, item = np.unique(items.columns[0], return_inverse=True)
+        total = np.bincount(item, weights=items.columns[1], minlength=len(own))
+        return np.where(total > 1, np.floor(np.log2(np.maximum(total, 1))), 0).astype(np.uint8)[item]
+
+    def apply(self, docs, items, known, answers):
+        size, digest, leads, token, edge, item = known
+        magnitude = answers[item]
         prefix, tokens = [None] * len(docs), [None] * len(docs)
         for row, i, j in zip(np.flatnonzero(leads), edge[:-1], edge[1:], strict=True):
             shared = magnitude[i:j] > 0
@@ -110,8 +99,8 @@ class ShingleKernel(Kernel):
                 prefix[row], tokens[row] = t[:n], t.tobytes()
         return {
             "n_shingles": pa.array(size, pa.int64()),
-            "one": pa.array(one.view(np.int64)),
-            "two": pa.array(two.view(np.int64)),
+            "one": pa.array(digest[:, 0].view(np.int64)),
+            "two": pa.array(digest[:, 1].view(np.int64)),
             "prefix": pa.array(prefix, pa.list_(pa.int64())),
             "tokens": pa.array(tokens, pa.binary()),
         }
@@ -131,14 +120,10 @@ class Lists:
         self.edges = np.r_[0, np.cumsum(np.bincount(number))] if len(number) else np.zeros(1, np.int64)
         self.sets = self.postings % max(self.n, 1)
 
-    def _merge(self, lists: np.ndarray, first: np.ndarray, last: np.ndarray, low: int, high: int) -> tuple[np.ndarray, np.ndarray]:
-        """Sets in [low, high) on the given short lists, and on how many; a heap merges few postings, counting merges many."""
-        if int((last - first).sum()) <= HEAP_POSTINGS:
-            seen = Counter(heapq.merge(*(self.sets[a:z].tolist() for a, z in zip(first, last, strict=True))))
-            return np.fromiter(seen.keys(), np.int64, len(seen)), np.fromiter(seen.values(), np.int64, len(seen))
-        counts = np.bincount(np.concatenate([self.sets[a:z] for a, z in zip(first, last, strict=True)]) - low, minlength=high - low)
-        found = np.flatnonzero(counts)
-        return found + low, counts[found]
+    def _merge(self, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The sets on the given short lists, and on how many each is."""
+        seen = Counter(heapq.merge(*(self.sets[a:z].tolist() for a, z in zip(first, last, strict=True))))
+        return np.fromiter(seen.keys(), np.int64, len(seen)), np.fromiter(seen.values(), np.int64, len(seen))
 
     def search(self, query: int, need: int, low: int, high: int, skip) -> Iterator[tuple[int, int]]:
         """(set, overlap) of the sets in [low, high) whose overlap with the query's is at least need; sets that skip(sets) marks are left out,
@@ -155,7 +140,7 @@ class Lists:
         longest = int(last[-1] - first[-1])
         long = min(need - 1, int(need / (PROBE_WEIGHT * np.log2(longest + 1) + 1)))
         cut_ = len(own) - long
-        found, counts = self._merge(own[:cut_], first[:cut_], last[:cut_], low, high)
+        found, counts = self._merge(first[:cut_], last[:cut_])
         keep = counts >= need - long
         found, counts = found[keep], counts[keep]
         order = np.argsort(-counts, kind="stable")
@@ -174,47 +159,78 @@ class Lists:
                     yield int(x), int(o)
 
 
-def linked(tokens: list[np.ndarray], size: np.ndarray, probe: np.ndarray, percent: int) -> np.ndarray:
-    """Component numbers of the links between sets, or, if there are probes, between a probe and a set that is none.
+def _join(index: Lists, part: np.ndarray, query: int, size: np.ndarray, window: tuple[int, int], percent: int, skip: Callable) -> None:
+    """Puts a query and the sets that it links with into one component; sets already there aren't compared again."""
+    for x, overlap in index.search(query, int(needed(percent, int(size[query]))), *window, lambda found: skip(found) | (part[found] == part[query])):
+        if part[x] != part[query] and 100 * overlap >= percent * (size[query] + size[x] - overlap):
+            part[part == part[query]] = part[x]
+
+
+def _window(sizes: np.ndarray, size: int, percent: int) -> tuple[int, int]:
+    """Which of the ascending sizes a set of that size can link with."""
+    return int(np.searchsorted(sizes, needed(percent, size))), int(np.searchsorted(sizes, 100 * size // percent, side="right"))
 
-    Sets already known to be in one component aren't compared again. Sets must come with those that aren't probes first, by size.
+
+def linked(tokens: list[np.ndarray], size: np.ndarray, hub: int, percent: int, hub_only: bool = False) -> np.ndarray:
+    """Component numbers of the links between sets, which come by size.
+
+    The hub is searched first. What hangs on it needs no comparing among itself; each of the rest is held against all of the hub's
+    component and the rest before it. hub_only: only links with the hub are looked for.
     """
     index, part = Lists(tokens), np.arange(len(tokens))
-    n_own = int((~probe).sum())
-    queries = range(n_own, len(tokens)) if probe.any() else range(n_own)
-    sizes = size[:n_own]
-    for q in queries:
-        need = int(needed(percent, int(size[q])))
-        low = int(np.searchsorted(sizes, need))
-        high = int(np.searchsorted(sizes, 100 * int(size[q]) // percent, side="right")) if probe.any() else q
-        if low >= high:
-            continue
-        for x, overlap in index.search(q, need, low, high, lambda found, q=q: part[found] == part[q]):
-            if part[x] != part[q] and 100 * overlap >= percent * (size[q] + size[x] - overlap):
-                part[part == part[q]] = part[x]
+    _join(index, part, hub, size, _window(size, int(size[hub]), percent), percent, lambda found: found == hub)
+    for q in () if hub_only else np.flatnonzero(part != part[hub]).tolist():
+        _join(index, part, q, size, _window(size, int(size[q]), percent), percent, lambda found, q=q: (found >= q) & (part[found] != part[hub]))
+    return part
+
+
+def linked_with_probes(tokens: list[np.ndarray], size: np.ndarray, n_own: int, percent: int) -> np.ndarray:
+    """Component numbers of the links between a probe and a set that is none; the first n_own sets are none, and come by size."""
+    index, part = Lists(tokens), np.arange(len(tokens))
+    for q in range(n_own, len(tokens)):
+        _join(index, part, q, size, _window(size[:n_own], int(size[q]), percent), percent, lambda found: np.zeros(len(found), bool))
     return part
 
 
-def _group_task(percent: int, probing: bool):
-    """Links of a group as stars: each set with the least id of its component; and, of cut groups, what does not hang on the group's hub."""
+def _stars(rep: np.ndarray, part: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Links of each set with the least id of its component."""
+    least = np.full(len(rep), np.iinfo(np.int64).max)
+    np.minimum.at(least, part, rep)
+    least = least[part]
+    return rep[least != rep], least[least != rep]
+
+
+def _sets_of(table: pa.Table, *order: str) -> tuple[np.ndarray, np.ndarray, list[np.ndarray], np.ndarray]:
+    rep, size = table["rep"].to_numpy(), table["n_shingles"].to_numpy()
+    by = np.lexsort((rep, size, *(table[c].to_numpy(zero_copy_only=False) for c in order)))
+    raw = table["tokens"]
+    return rep[by], size[by], [np.frombuffer(raw[int(i)].as_py(), np.int64) for i in by], by
+
+
+def _group_task(percent: int):
+    """Links of a group as stars. Of cut groups only those with the hub, and (with v the hub) the loose sets that don't hang on it."""
+
+    def run(table: pa.Table) -> pa.Table:
+        rep, size, tokens, _ = _sets_of(table)
+        hub, cut_ = table["hub"][0].as_py(), table["blocks"][0].as_py() > 1
+        at = int(np.flatnonzero(rep == hub)[0])
+        part = linked(tokens, size, at, percent, hub_only=cut_)
+        u, v = _stars(rep, part)
+        loose = rep[part != part[at]] if cut_ else rep[:0]
+        return pa.table({"u": pa.array(np.r_[u, loose], pa.int64()), "v": pa.array(np.r_[v, np.full(len(loose), hub)], pa.int64()), "loose": pa.array(np.arange(len(u) + len(loose)) >= len(u), pa.bool_())})
+
+    return run
+
+
+def _list_task(percent: int):
+    """Links between the loose sets of a list and the sets of one of its blocks."""
 
     def run(table: pa.Table) -> pa.Table:
-        rep, size = table["rep"].to_numpy(), table["n_shingles"].to_numpy()
-        hub, blocks = table["hub"][0].as_py(), table["blocks"][0].as_py()
-        probe = table["probe"].to_numpy() if probing else np.zeros(len(rep), bool)
-        order = np.lexsort((rep, size, probe))
-        rep, size, probe = rep[order], size[order], probe[order]
-        raw = table["tokens"]
-        part = linked([np.frombuffer(raw[int(i)].as_py(), np.int64) for i in order], size, probe, percent)
-        least = np.full(len(rep), np.iinfo(np.int64).max)
-        np.minimum.at(least, part, rep)
-        least = least[part]
-        star = least != rep
-        loose = np.zeros(len(rep), bool)
-        if blocks > 1 and not probing:
-            loose = part != part[np.flatnonzero(rep == hub)[0]]
-        n = int(star.sum() + loose.sum())
-        return pa.table({"u": pa.array(np.r_[rep[star], rep[loose]], pa.int64()), "v": pa.array(np.r_[least[star], np.full(int(loose.sum()), hub)], pa.int64()), "loose": pa.array(np.arange(n) >= int(star.sum()), pa.bool_())})
+        rep, size, tokens, by = _sets_of(table, "probe")
+        n_own = int((~table["probe"].to_numpy(zero_copy_only=False)).sum())
+        part = linked_with_probes(tokens, size, n_own, percent)
+        u, v = _stars(rep, part)
+        return pa.table({"u": pa.array(u, pa.int64()), "v": pa.array(v, pa.int64())})
 
     return run
 
@@ -222,29 +238,34 @@ def _group_task(percent: int, probing: bool):
 def group_links(sets: DataFrame, percent: int, group: int = GROUP) -> DataFrame:
     """(u, v): links between representatives, from rows (rep, n_shingles, prefix, tokens) with distinct sets.
 
-    Two sets that link share a shingle of both prefixes, hence the hub (least id) of that shingle's list. A hub's group is searched by one
-    task if it is not over the given size. A larger one is cut into blocks; each block is searched together with the hub. What is then
-    in the hub's component needs no more comparing among itself, and only the rest is held against all blocks of its group.
+    Two sets that link share a shingle of both prefixes, hence its list and the list's hub (least id). A hub's group, the union of its
+    lists, is searched by one task if it is not over the given size. A larger one is cut into blocks, whose sets are held against the hub
+    alone: what links with it needs no more comparing among itself. Each set left loose is held against the lists that brought it
+    there, not against the whole group; lists over the size are cut into blocks, too. Lists with equal sets are searched once.
     """
     listed = sets.select("rep", F.explode("prefix").alias("token"))
-    hubs = listed.groupBy("token").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("token").alias("_token"), "hub")
-    member = cut(listed.join(hubs, F.col("token") == F.col("_token")).select("hub", "rep").distinct())
+    sums = [F.bit_xor(F.xxhash64("rep", F.lit(seed))).alias(name) for seed, name in ((1, "_a"), (2, "_b"))]
+    lists = listed.groupBy("token").agg(F.min("rep").alias("hub"), F.count(F.lit(1)).alias("n"), *sums).where("n > 1")
+    lists = lists.groupBy("hub", "n", "_a", "_b").agg(F.min("token").alias("_token")).select("_token", "hub", "n")
+    placed = cut(listed.join(lists, F.col("token") == F.col("_token")).select("token", "hub", "rep", "n"))
+    member = placed.select("hub", "rep").distinct()
     sized = member.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / group).cast("int").alias("blocks"))
-    placed = member.join(sized.withColumnRenamed("hub", "_hub"), F.col("hub") == F.col("_hub")).select("hub", "rep", "blocks")
-    one = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
-    placed = placed.withColumn("block", F.explode(F.when(F.col("hub") == F.col("rep"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(one))))
+    dealt = member.join(sized.withColumnRenamed("hub", "_hub"), F.col("hub") == F.col("_hub")).select("hub", "rep", "blocks")
+    block = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
+    dealt = dealt.withColumn("block", F.explode(F.when(F.col("hub") == F.col("rep"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(block(F.col("blocks"))))))
     body = sets.select(F.col("rep").alias("_rep"), "n_shingles", "tokens")
-    full = placed.join(body, F.col("rep") == F.col("_rep")).drop("_rep")
-    schema = "u long, v long, loose boolean"
-    first = cut(full.groupBy("hub", "block").applyInArrow(_group_task(percent, False), schema))
+    full = dealt.join(body, F.col("rep") == F.col("_rep")).drop("_rep")
+    first = cut(full.groupBy("hub", "block").applyInArrow(_group_task(percent), "u long, v long, loose boolean"))
     links = first.where(~F.col("loose")).select("u", "v")
-    loose = first.where("loose").select(F.col("v").alias("hub"), F.col("u").alias("rep")).distinct()
-    # against the blocks of their groups: rows of those groups only, and the loose ones once for each block
-    cut_groups = loose.select(F.col("hub").alias("_hub")).distinct()
-    again = placed.where("blocks > 1").join(cut_groups, F.col("hub") == F.col("_hub"), "left_semi").select("hub", "rep", "blocks", "block", F.lit(False).alias("probe"))
-    probes = loose.join(sized.withColumnRenamed("hub", "_hub"), F.col("hub") == F.col("_hub")).select("hub", "rep", "blocks", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"))
-    second = again.unionByName(probes).join(body, F.col("rep") == F.col("_rep")).drop("_rep").groupBy("hub", "block").applyInArrow(_group_task(percent, True), schema)
-    return links.unionByName(second.select("u", "v"))
+    loose = first.where("loose").select(F.col("v").alias("_hub"), F.col("u").alias("_loose")).distinct()
+    # the lists with loose sets: all their sets once, and the loose ones in each block
+    probes = placed.join(loose, (F.col("hub") == F.col("_hub")) & (F.col("rep") == F.col("_loose"))).select("token", "rep", F.ceil(F.col("n") / group).cast("int").alias("blocks"))
+    probes = cut(probes)
+    open_ = probes.select(F.col("token").alias("_token")).distinct()
+    held = placed.join(open_, F.col("token") == F.col("_token"), "left_semi").select("token", "rep", block(F.ceil(F.col("n") / group)).alias("block"), F.lit(False).alias("probe"))
+    asked = probes.select("token", "rep", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"))
+    second = held.unionByName(asked).join(body, F.col("rep") == F.col("_rep")).drop("_rep").groupBy("token", "block").applyInArrow(_list_task(percent), "u long, v long")
+    return links.unionByName(second)
 
 
 def components(docs: DataFrame, size: int = 4, percent: int = 85, n_blocks: int | None = None, group: int = GROUP) -> DataFrame:

@@ -3,11 +3,19 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import HASH, Docs, Kernel, by_bucket, mix, spread
+from suffix_engine.llm.blocks import BLOCK_BYTES, Docs, Items, Kernel, block_count, exchange, mix, numbered, own_columns, range_hashes, spread, text_bytes
+
+#: Bytes of pieces under one minimiser from which on it is avoided; one of so many contents is counted for that, in rounds.
+HOT_BYTES, ONE_OF, HOT_ROUNDS = BLOCK_BYTES // 4, 256, 3
+#: Bytes of pieces that are marked at once.
+BATCH = 1 << 20
 
 
 @dataclass
@@ -25,6 +33,16 @@ class Runs:
     key: np.ndarray  # hash of the minimiser
 
 
+@dataclass
+class Known:
+    """What a block remembers of its items: the item of each run, and the run that holds each item first."""
+
+    runs: Runs
+    item: np.ndarray
+    holder: np.ndarray
+
+
+@dataclass
 class SegmentKernel(Kernel):
     """A run with equal content goes to its bucket once for each block, under its first holder there.
 
@@ -32,109 +50,69 @@ class SegmentKernel(Kernel):
     Later holders in the block are covered in any case, so the answer is complete for all of them.
     """
 
+    #: Minimisers that come after all others, sorted.
+    avoid: np.ndarray = field(default_factory=lambda: np.zeros(0, np.uint64), kw_only=True)
     #: Whether an occurrence counts as earlier by its document alone.
-    by_document: bool
+    by_document = False
 
     def runs(self, docs: Docs) -> Runs:
         raise NotImplementedError
 
-    def mark(self, data: np.ndarray, begin: np.ndarray, count: np.ndarray, at: np.ndarray, doc: np.ndarray, start: np.ndarray) -> np.ndarray:
+    def mark(self, data: np.ndarray, begin: np.ndarray, count: np.ndarray, doc: np.ndarray, start: np.ndarray) -> np.ndarray:
         """For the windows of all given distinct pieces, one piece after another: also held by something earlier.
 
         begin has one more entry than there are pieces; doc are ids; all pieces with one minimiser are given.
         """
         raise NotImplementedError
 
-    def minimiser(self, data: np.ndarray, begin: np.ndarray, at: np.ndarray) -> np.ndarray:
-        """Hash of the minimiser of each piece, for grouping in a bucket."""
-        raise NotImplementedError
-
-    def _items(self, docs: Docs, n_buckets: int):
+    def items(self, docs, n_buckets):
         r = self.runs(docs)
-        content = mix(HASH.ranges(r.bytes, r.begin, r.end)) ^ (r.end - r.begin).astype(np.uint64)
-        bucket = ((r.key >> np.uint64(20)) % np.uint64(n_buckets)).astype(np.int32)
-        order = np.lexsort((np.arange(len(content)), content, bucket))
-        c, b = content[order], bucket[order]
-        new = np.r_[True, (c[1:] != c[:-1]) | (b[1:] != b[:-1])] if len(c) else np.zeros(0, bool)
-        item = np.empty(len(c), np.int64)
-        item[order] = np.cumsum(new) - 1
-        holder = order[new]  # the first run of each content, as runs come in order
+        number, holder = numbered(r.bytes.tobytes(), r.begin, r.end)
+        bucket = (mix(r.key[holder]) % np.uint64(n_buckets)).astype(np.int64)
         # the items of a bucket stand in order of their place: ids and starts then compress well
-        rank = np.lexsort((holder, bucket[holder]))
+        rank = np.argsort(bucket, kind="stable")
         place = np.empty(len(rank), np.int64)
         place[rank] = np.arange(len(rank))
-        return r, place[item], holder[rank], bucket[holder[rank]]
-
-    def emit(self, docs: Docs, n_buckets: int) -> Iterator[tuple[int, list[np.ndarray]]]:
-        r, _, holder, bucket = self._items(docs, n_buckets)
-        for k, i, j in by_bucket(bucket, n_buckets):
-            own = holder[i:j]
-            length = r.end[own] - r.begin[own]
-            docs_of, number = np.unique(r.doc[own], return_inverse=True)
-            yield k, [r.bytes[spread(r.begin[own], length)], length.astype(np.uint32), r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[docs_of], np.diff(number, prepend=0).astype(np.uint32), r.start[own].astype(np.uint32)]
-
-    def resolve(self, parts):
-        data = np.concatenate([p[0] for p in parts])
-        length, count, at = (np.concatenate([p[i] for p in parts]).astype(np.int64) for i in (1, 2, 3))
-        doc = np.concatenate([p[4][np.cumsum(p[5])] for p in parts])
-        start = np.concatenate([p[6] for p in parts]).astype(np.int64)
-        begin = np.r_[0, np.cumsum(length)]
-        shared = _shared(self.minimiser(data, begin[:-1], at))
-        flags = np.zeros(int(count.sum()), bool)
-        window = np.r_[0, np.cumsum(count)]
-        # equal pieces of several blocks: all but the first are covered whole
-        some = np.flatnonzero(shared)
-        if len(some):
-            content = mix(HASH.ranges(data, begin[:-1], begin[1:])) ^ length.astype(np.uint64)
-            order = some[np.lexsort((start[some], doc[some], content[some]))]
-            c, d, s = content[order], doc[order], start[order]
-            new = np.r_[True, c[1:] != c[:-1]]
-            first = np.flatnonzero(new)[np.cumsum(new) - 1]
-            later = (d > d[first]) if self.by_document else (d > d[first]) | (s > s[first])
-            own = order[new]
-            covered = order[later]
-            flags[spread(window[covered], count[covered])] = True
-            key = self.minimiser(data, begin[own], at[own])
-            many = _shared(key)
-            own, key = own[many], key[many]
-            if len(own):
-                own = own[np.argsort(key, kind="stable")]
-                key = np.sort(key)
-                for i, j in _batches(key, length[own]):
-                    k = own[i:j]
-                    got = self.mark(data[spread(begin[k], length[k])], np.r_[0, np.cumsum(length[k])], count[k], at[k], doc[k], start[k])
-                    flags[spread(window[k], count[k])] = got
-            # what holds for the first of equal pieces holds for one with the same holder, too
-            same = ~later & ~new
-            if same.any():
-                for x, f in zip(order[same], order[first[same]], strict=True):
-                    flags[window[x] : window[x + 1]] = flags[window[f] : window[f + 1]]
-        out, i = [], 0
-        for p in parts:
-            n = len(p[1])
-            bits = flags[window[i] : window[i + n]]
-            any_ = np.logical_or.reduceat(bits, window[i : i + n] - window[i]) if n else np.zeros(0, bool)
-            hit = np.flatnonzero(any_)
-            out.append([hit.astype(np.uint32), np.packbits(bits[spread(window[i + hit] - window[i], count[i + hit])])] if len(hit) else None)
-            i += n
-        return out
-
-    def starts(self, docs: Docs, n_buckets: int, answers: dict[int, list[np.ndarray]]) -> tuple[Runs, np.ndarray]:
-        """The runs, and the unit of each window start that is to go."""
-        r, item, holder, bucket = self._items(docs, n_buckets)
-        count = r.count[holder]
+        own = holder[rank]
+        size = r.end[own] - r.begin[own]
+        columns = [r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[r.doc[own]].view(np.uint64), r.start[own].astype(np.uint32), r.key[own]]
+        return Items(bucket[rank], columns, size, r.bytes[spread(r.begin[own], size)]), Known(r, place[number], own)
+
+    def answers(self, items):
+        return items.columns[0].astype(np.int64)
+
+    def resolve(self, items):
+        count, doc, start, key = items.columns[0].astype(np.int64), items.columns[2].view(np.int64), items.columns[3].astype(np.int64), items.columns[4]
+        data, begin = items.data, np.r_[0, np.cumsum(items.size)]
+        flags, window = np.zeros(int(count.sum()), np.uint8), np.r_[0, np.cumsum(count)]
+        # equal pieces of several blocks: all that come later than the first are covered whole
+        some = np.flatnonzero(_shared(key))
+        order = some[np.lexsort((start[some], doc[some]))]
+        number, first = numbered(data.tobytes(), begin[order], begin[order + 1])
+        own = order[first]
+        of = own[number]
+        later = doc[order] > doc[of] if self.by_document else (doc[order] > doc[of]) | (start[order] > start[of])
+        flags[spread(window[order[later]], count[order[later]])] = 1
+        many = _shared(key[own])
+        left = own[many][np.argsort(key[own[many]], kind="stable")]
+        for i, j in _batches(key[left], items.size[left]):
+            k = left[i:j]
+            got = self.mark(data[spread(begin[k], items.size[k])], np.r_[0, np.cumsum(items.size[k])], count[k], doc[k], start[k])
+            flags[spread(window[k], count[k])] = got
+        # what holds for the first of equal pieces holds for one at the same place, too
+        same = ~later & (order != of)
+        flags[spread(window[order[same]], count[order[same]])] = flags[spread(window[of[same]], count[order[same]])]
+        return flags
+
+    def starts(self, docs: Docs, items: Items, known: Known, answers: np.ndarray) -> np.ndarray:
+        """The unit of each window start that is to go."""
+        r, count = known.runs, items.columns[0].astype(np.int64)
         window = np.r_[0, np.cumsum(count)]
-        bits = np.zeros(int(window[-1]), bool)
-        for k, i, _ in by_bucket(bucket, n_buckets):
-            if k in answers:
-                hit, packed = answers[k]
-                own = i + hit.astype(np.int64)
-                bits[spread(window[own], count[own])] = np.unpackbits(packed, count=int(count[own].sum())).astype(bool)
-        own = holder[item]
+        own = known.holder[known.item]
         id_, id_first = docs.ids[r.doc], docs.ids[r.doc[own]]
         later = id_ > id_first if self.by_document else (id_ > id_first) | (r.start > r.start[own])
-        flags = bits[spread(window[item], r.count)] | np.repeat(later, r.count)
-        return r, spread(r.first, r.count)[flags]
+        gone = answers[spread(window[known.item], r.count)].astype(bool) | np.repeat(later, r.count)
+        return spread(r.first, r.count)[gone]
 
 
 def _shared(key: np.ndarray) -> np.ndarray:
@@ -143,17 +121,17 @@ def _shared(key: np.ndarray) -> np.ndarray:
     k = key[order]
     same = np.r_[False, k[1:] == k[:-1]] if len(k) else np.zeros(0, bool)
     out = np.empty(len(k), bool)
-    out[order] = same | np.r_[same[1:], False]
+    out[order] = same | np.r_[same[1:], False] if len(k) else same
     return out
 
 
-def _batches(key: np.ndarray, length: np.ndarray, most: int = 1 << 20) -> Iterator[tuple[int, int]]:
-    """Cuts sorted keys into batches of about most bytes, never inside a key."""
-    edges = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True])
+def _batches(key: np.ndarray, length: np.ndarray) -> Iterator[tuple[int, int]]:
+    """Cuts sorted keys into batches of about BATCH bytes, never inside a key; hot keys have been avoided before."""
+    edges = np.flatnonzero(np.r_[True, key[1:] != key[:-1], True]) if len(key) else np.zeros(1, np.int64)
     sums = np.r_[0, np.cumsum(length)][edges]
     i = 0
     while i < len(edges) - 1:
-        j = max(i + 1, int(np.searchsorted(sums, sums[i] + most, side="right")) - 1)
+        j = max(i + 1, int(np.searchsorted(sums, sums[i] + BATCH, side="right")) - 1)
         yield int(edges[i]), int(edges[j])
         i = j
 
@@ -164,3 +142,38 @@ def merged(starts: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
     cut = np.flatnonzero(np.diff(starts) > reach)
     return starts[np.r_[0, cut + 1]], starts[np.r_[cut, len(starts) - 1]] + reach
+
+
+def hot_minimisers(docs: DataFrame, kernel: SegmentKernel, hot_bytes: int, one_of: int) -> np.ndarray:
+    """Minimisers of pieces with over hot_bytes of different contents, estimated from the one in so many contents with the least hashes.
+
+    The estimate only decides which bucket a window goes to, and never whether it is found. At most text bytes / hot_bytes times the
+    few-fold overlap of pieces are over the bound: 8 bytes come to the driver for each 4 MB of a corpus at the very worst.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            r = kernel.runs(Docs(pa.Table.from_batches([batch])))
+            # the content's hash need not be exact here: its ends, its middle and its length
+            ends = [range_hashes(r.bytes, a, a + 8) for a in (r.begin, (r.begin + r.end) // 2 - 4, r.end - 8)]
+            content = mix(ends[0] * np.uint64(3) + ends[1] * np.uint64(5) + ends[2] * np.uint64(7) + (r.end - r.begin).astype(np.uint64))
+            own = np.flatnonzero(content % np.uint64(one_of) == 0)
+            both = np.unique(np.column_stack([r.key[own], content[own], (r.end - r.begin)[own].astype(np.uint64)]), axis=0).view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), pa.array(both[:, 2])], ["key", "content", "size"])
+
+    found = docs.mapInArrow(run, "key long, content long, size long").distinct().groupBy("key").agg(F.sum("size").alias("size"))
+    rows = found.where(F.col("size") * one_of > hot_bytes).select("key").collect()
+    return np.sort(np.array([r[0] for r in rows], np.int64).view(np.uint64))
+
+
+def exchange_runs(docs: DataFrame, kernel: SegmentKernel, n_blocks: int | None = None, hot_bytes: int = HOT_BYTES, one_of: int = ONE_OF) -> DataFrame:
+    """The exchange, after minimisers that would draw too much into one bucket have been set aside, in rounds, as the next best may be hot, too."""
+    own, _ = own_columns(docs)
+    size = text_bytes(own)
+    if size > hot_bytes:
+        for _ in range(HOT_ROUNDS):
+            hot = hot_minimisers(own, kernel, hot_bytes, one_of)
+            if not len(hot):
+                break
+            kernel.avoid = np.union1d(kernel.avoid, hot)
+    return exchange(docs, kernel, n_blocks or block_count(own, size), buckets_per_block=2)

@@ -9,8 +9,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import HASH, Docs, exchange, minimiser_runs, mix
-from suffix_engine.llm.segments import Runs, SegmentKernel, merged
+from suffix_engine.llm.blocks import Docs, minimiser_runs, mix, spread, words_at
+from suffix_engine.llm.segments import Runs, SegmentKernel, exchange_runs, merged
+
+#: Bytes of a gram: two words of eight.
+GRAM = 16
 
 #: Symbols that fit in a key of 63 bits at 9 bits each; code 0 stands for all that lies past a piece's end.
 _SEED = 7
@@ -20,24 +23,23 @@ _SEED = 7
 class RunLengthIndex:
     """Run-compressed transform of a collection of pieces, each ended by a terminator of its own.
 
-    heads and ends are text positions sampled at the first and last row of each run; lcp_heads is the length
-    that the suffix of a head shares with the suffix one row above.
+    A run of the transform is kept as its symbol and length, with the text positions sampled at its first and last row, and the length
+    that the suffix at its first row shares with the one a row above. The suffix order itself is not kept: between two sampled
+    positions, the suffix a row above is found by the same shift, and the length shared falls by one with each symbol.
     """
 
-    text: np.ndarray
-    piece_end: np.ndarray  # for each position
-    rows: np.ndarray  # suffix order; kept while the piece is being marked
+    size: int
+    symbols: np.ndarray
+    lengths: np.ndarray
     heads: np.ndarray
     ends: np.ndarray
-    symbols: np.ndarray
     lcp_heads: np.ndarray
 
     @classmethod
     def build(cls, text: np.ndarray, begin: np.ndarray) -> RunLengthIndex:
         n = len(text)
         piece = np.repeat(np.arange(len(begin) - 1), np.diff(begin))
-        piece_end = begin[1:][piece]
-        left = piece_end - np.arange(n)
+        left = begin[1:][piece] - np.arange(n)
         codes = np.r_[text.astype(np.int64) + 1, np.zeros(_SEED, np.int64)]
         key = np.zeros(n, np.int64)
         for j in range(_SEED):
@@ -59,11 +61,11 @@ class RunLengthIndex:
         first = np.zeros(n, bool)
         first[begin[:-1][np.diff(begin) > 0]] = True
         before = np.where(first[rows], -1, text[rows - 1].astype(np.int64))
-        head = np.r_[True, (before[1:] != before[:-1]) | (before[1:] < 0)]
-        at = np.flatnonzero(head)
+        at = np.flatnonzero(np.r_[True, (before[1:] != before[:-1]) | (before[1:] < 0)])
         lcp = np.zeros(len(at), np.int64)
         lcp[1:] = cls._shared(text, left, levels, rows[at[1:] - 1], rows[at[1:]])
-        return cls(text, piece_end, rows, rows[at], rows[np.r_[at[1:], n] - 1], before[at], lcp)
+        last = np.r_[at[1:], n]
+        return cls(n, before[at], last - at, rows[at], rows[last - 1], lcp)
 
     @staticmethod
     def _shared(text, left, levels, a, b) -> np.ndarray:
@@ -80,31 +82,39 @@ class RunLengthIndex:
             active = active[done[active] < most[active]]
         return done
 
-    def matching(self) -> np.ndarray:
-        """For each position, streamed in text order, the length shared with the suffix one row above.
+    def matching(self) -> tuple[np.ndarray, np.ndarray]:
+        """Matching statistics, streamed in text order: for each position the longest match that stands a row above, as its place and length.
 
-        Only the heads of runs carry a length; inside a run, the one at the next position is less by one.
+        Place and length are known at the heads of runs: the last row of the run above, and what is shared with it. Within
+        a run both suffixes go on alike, so the next position's match is the next place, one symbol shorter.
         """
-        n = len(self.text)
-        known = np.full(n, -1, np.int64)
-        known[self.heads] = self.heads
-        last = np.maximum.accumulate(known)
-        at_head = np.zeros(n, np.int64)
-        at_head[self.heads] = self.lcp_heads
-        return at_head[last] - (np.arange(n) - last)
+        above = np.r_[-1, self.ends[:-1]]
+        order = np.argsort(self.heads)
+        head = self.heads[order]
+        gap = np.diff(np.r_[head, self.size])
+        step = spread(np.zeros(len(gap), np.int64), gap)
+        length = np.repeat(self.lcp_heads[order], gap) - step
+        place = np.where(length > 0, np.repeat(above[order], gap) + step, -1)
+        return place, np.maximum(length, 0)
+
+
+def chain_ends(to: np.ndarray) -> np.ndarray:
+    """Where each chain of pointers ends (an end points to itself), by jumps of doubled length."""
+    while not np.array_equal(to, to[to]):
+        to = to[to]
+    return to
 
 
 @dataclass
 class SubstringKernel(SegmentKernel):
-    """Runs of window starts whose leftmost least gram is the same one; grams of 16 bytes, windows of any length from there on."""
+    """Runs of window starts whose leftmost least gram is the same one; grams of 16 bytes, windows of any length from GRAM on."""
 
     length: int = 100
-    gram: int = 16
-    by_document = False
     schema = "doc_id long, n_bytes long, spans array<struct<begin:bigint,end:bigint>>, kept binary"
 
     def runs(self, docs: Docs) -> Runs:
         b, n = docs.bytes, len(docs.bytes)
+        word = words_at(b)
 
         def valid(low: int, high: int) -> np.ndarray:
             ok = np.ones(high - low, bool)
@@ -114,36 +124,28 @@ class SubstringKernel(SegmentKernel):
             return ok
 
         def hashes(low: int, high: int) -> np.ndarray:
-            return mix(HASH.grams(b[low : high + self.gram - 1], self.gram))
+            high = min(high, n - GRAM + 1)
+            return mix(mix(word[low:high]) + word[low + 8 : max(low, high) + 8]) if high > low else np.zeros(0, np.uint64)
 
-        first, count, at, key = minimiser_runs(n, self.length - self.gram + 1, hashes, valid)
+        first, count, at, key = minimiser_runs(n, self.length - GRAM + 1, hashes, valid, self.avoid)
         doc = np.searchsorted(docs.bounds, first, side="right") - 1
         return Runs(b, first, first + count + self.length - 1, first, count, doc, first - docs.bounds[doc], at - first, key)
 
-    def minimiser(self, data, begin, at):
-        place = begin + at
-        order = np.argsort(place, kind="stable")
-        out = np.empty(len(place), np.uint64)
-        out[order] = HASH.ranges(data, place[order], place[order] + self.gram)
-        return mix(out)
-
-    def mark(self, data, begin, count, at, doc, start):
-        index = RunLengthIndex.build(data, begin)
-        lengths = index.matching()
+    def mark(self, data, begin, count, doc, start):
+        match, length = RunLengthIndex.build(data, begin).matching()
         piece = np.repeat(np.arange(len(count)), np.diff(begin))
         offset = np.arange(len(data)) - begin[piece]
         whole = offset < count[piece]  # a window starts here
-        rows = index.rows
-        group = np.cumsum(np.r_[True, lengths[rows[1:]] < self.length]) - 1
         order = np.unique(doc, return_inverse=True)[1].astype(np.int64)
-        place = np.where(whole, (order[piece] << 40) | (start[piece] + offset), np.iinfo(np.int64).max)
-        earliest = np.minimum.reduceat(place[rows], np.flatnonzero(np.r_[True, group[1:] != group[:-1]]))
-        out = np.zeros(len(data), bool)
-        out[rows] = place[rows] > earliest[group]
-        return out[whole]
-
-    def apply(self, docs, n_buckets, answers):
-        r, gone = self.starts(docs, n_buckets, answers)
+        place = (order[piece] << 40) | (start[piece] + offset)
+        # equal windows are a chain of long matches
+        group = chain_ends(np.where(length >= self.length, match, np.arange(len(data))))
+        least = np.full(len(data), np.iinfo(np.int64).max)
+        np.minimum.at(least, group[whole], place[whole])
+        return (place > least[group])[whole]
+
+    def apply(self, docs, items, known, answers):
+        gone = self.starts(docs, items, known, answers)
         begin, end = merged(gone, self.length)
         # ranges that touch in the buffer but lie in different documents are apart
         doc = np.searchsorted(docs.bounds, gone, side="right") - 1
@@ -171,7 +173,7 @@ def dedup_substrings(docs: DataFrame, length: int = 100, n_blocks: int | None =
     Null and empty texts have no bytes. A row that repeats an id and its text is at the same place, not earlier;
     a null id counts as the largest. An empty table gives an empty result. Other columns aren't read.
     """
-    return exchange(docs, SubstringKernel(length), n_blocks, buckets_per_block=2)
+    return exchange_runs(docs, SubstringKernel(length), n_blocks)
 
 
 def substring_digests(docs: DataFrame) -> DataFrame:

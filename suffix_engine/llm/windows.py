@@ -9,12 +9,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import HASH, HASH2, Docs, exchange, minimiser_runs, mix
+from suffix_engine.llm.blocks import Docs, chained, minimiser_runs, range_hashes, spread
 from suffix_engine.llm.lines import _SPACE
-from suffix_engine.llm.segments import Runs, SegmentKernel, merged
-
-#: Odd multiplier of the hashes over words.
-_STEP = np.uint64(0x9FB21C651E98DF25)
+from suffix_engine.llm.segments import Runs, SegmentKernel, exchange_runs, merged
 
 
 def word_ranges(b: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -56,7 +53,7 @@ class WindowKernel(SegmentKernel):
 
     def runs(self, docs: Docs) -> Runs:
         begin, end, first_word = word_ranges(docs.bytes, docs.bounds)
-        word = mix(HASH.ranges(docs.bytes, begin, end)) + (end - begin).astype(np.uint64)
+        word = range_hashes(docs.bytes, begin, end)
         text, at = packed_words(docs.bytes, begin, end)
         n = len(word)
 
@@ -68,43 +65,38 @@ class WindowKernel(SegmentKernel):
             return ok
 
         def hashes(low: int, high: int) -> np.ndarray:
-            h = word[low : high + self.gram - 1]
-            return mix(_combine(h, self.gram))
+            return chained(word[low : high + self.gram - 1], self.gram)
 
-        first, count, place, key = minimiser_runs(n, self.size - self.gram + 1, hashes, valid)
+        first, count, place, key = minimiser_runs(n, self.size - self.gram + 1, hashes, valid, self.avoid)
         edge = np.r_[at, len(text)]
         doc = np.searchsorted(first_word, first, side="right") - 1
         run = Runs(text, edge[first], edge[first + count + self.size - 1], first, count, doc, first - first_word[doc], edge[place] - edge[first], key)
         run.words, run.first_word = (begin, end), first_word
         return run
 
-    def minimiser(self, data, begin, at):
-        # the words of the gram end at the third space after its place
-        spaces = np.flatnonzero(data == 32)
-        place = begin + at
-        order = np.argsort(place, kind="stable")
-        last = spaces[np.searchsorted(spaces, place[order]) + self.gram - 1]
-        out = np.empty(len(place), np.uint64)
-        out[order] = HASH.ranges(data, place[order], last)
-        return mix(out)
-
-    def mark(self, data, begin, count, at, doc, start):
+    def mark(self, data, begin, count, doc, start):
+        """Words are numbered by their bytes and windows by their words, in steps of doubled length, so equal numbers are equal windows."""
+        words = data.tobytes().split(b" ")[:-1]
+        seen: dict[bytes, int] = {}
+        name = np.fromiter((seen.setdefault(w, len(seen)) for w in words), np.int64, len(words))
         ends = np.flatnonzero(data == 32) + 1
-        first = np.r_[0, ends[:-1]]  # of each word
-        own = np.searchsorted(first, begin[:-1])
-        window = np.repeat(own - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
-        a, z = first[window], ends[window + self.size - 1]
-        one, two = mix(HASH.ranges(data, a, z)), mix(HASH2.ranges(data, a, z)) + (z - a).astype(np.uint64)
+        own = np.searchsorted(np.r_[0, ends[:-1]], begin[:-1])
+        reach = 1
+        while reach < self.size:
+            step = min(reach, self.size - reach)
+            pair = name[: len(name) - step] * (int(name.max()) + 1) + name[step:]
+            name, reach = np.unique(pair, return_inverse=True)[1], reach + step
+        window = name[spread(own, count)]
         holder = np.repeat(doc, count)
-        order = np.lexsort((holder, two, one))
-        x, y, d = one[order], two[order], holder[order]
-        new = np.r_[True, (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
+        order = np.lexsort((holder, window))
+        x, d = window[order], holder[order]
+        new = np.r_[True, x[1:] != x[:-1]]
         out = np.empty(len(order), bool)
         out[order] = d > d[np.flatnonzero(new)[np.cumsum(new) - 1]]
         return out
 
-    def apply(self, docs, n_buckets, answers):
-        r, gone = self.starts(docs, n_buckets, answers)
+    def apply(self, docs, items, known, answers):
+        r, gone = known.runs, self.starts(docs, items, known, answers)
         begin, end = r.words
         low, high = merged(gone, self.size)
         edge = np.zeros(len(begin) + 1, np.int64)
@@ -123,15 +115,6 @@ class WindowKernel(SegmentKernel):
         return {"n_words": pa.array(words, pa.int64()), "n_removed": pa.array(removed, pa.int64()), "text": pa.array(texts, pa.binary()).cast(pa.string())}
 
 
-def _combine(h: np.ndarray, k: int) -> np.ndarray:
-    if len(h) < k:
-        return np.zeros(0, np.uint64)
-    out = np.zeros(len(h) - k + 1, np.uint64)
-    for j in range(k):
-        out = out * _STEP + h[j : len(h) - k + 1 + j]
-    return out
-
-
 def dedup_windows(docs: DataFrame, size: int = 13, n_blocks: int | None = None) -> DataFrame:
     """doc_id, n_words, n_removed and the kept words joined by one space, one row for each document.
 
@@ -139,7 +122,7 @@ def dedup_windows(docs: DataFrame, size: int = 13, n_blocks: int | None = None)
     words. Repeats inside a document, or in rows that repeat its id, don't count. A null id counts as the largest.
     An empty table gives an empty result. Other columns aren't read.
     """
-    return exchange(docs, WindowKernel(size), n_blocks, buckets_per_block=2)
+    return exchange_runs(docs, WindowKernel(size), n_blocks)
 
 
 def window_digests(docs: DataFrame) -> DataFrame:

@@ -11,6 +11,12 @@ def sha(x):
     return hashlib.sha256(x if isinstance(x, bytes) else x.encode()).hexdigest()
 
 
+def thue_morse(n=1024, a="a", b="b"):
+    """The sequence and its complement: equal under every hash that sums powers modulo a power of two."""
+    bits = [bin(i).count("1") & 1 for i in range(n)]
+    return "".join((a, b)[x] for x in bits), "".join((b, a)[x] for x in bits)
+
+
 def sample_texts(seed=1, n=60):
     """(doc_id, text) with shared passages, near and exact copies, nulls, empties, ties and odd characters."""
     r = random.Random(seed)
@@ -32,7 +38,11 @@ def sample_texts(seed=1, n=60):
                 base[r.randrange(len(base))] = r.choice(words)
             text = " ".join(base)
         out.append((i, text))
-    return out
+    s, t = thue_morse()
+    twelve = "one two three four five six seven eight nine ten eleven twelve "
+    structured = [s, s, t, t, t, twelve + s, twelve + t, f"{s}\n{t}", f"{t}\n{s}", "a" * 700, "a" * 701, "ab" * 350, "ba" * 350, "abc " * 90, "bca " * 90, "abc\n" * 90]
+    structured += [" ".join(thue_morse(256, "x", "y")[i]) for i in (0, 1, 0)]
+    return out + [(1000 + i, x) for i, x in enumerate(structured)]
 
 
 def lines(rows, min_chars=20, min_docs=3):

@@ -59,3 +59,30 @@ def test_connected_components(spark):
         root[y] = x
     want = {x: find(x) for e in edges for x in e if e[0] != e[1]}
     assert dict(map(tuple, graph.connected(spark.createDataFrame(edges, "u long, v long")).collect())) == want
+
+
+def test_template_texts_meet_in_lists_and_not_in_whole_groups(spark, monkeypatch):
+    """Texts of few sentences hang together by common shingles and hardly link: what a set is held against follows its lists."""
+    r = random.Random(1)
+    sentences = [" ".join("".join(r.choice("abcdefgh") for _ in range(5)) for _ in range(8)) for _ in range(20)]
+    rows = [(i, " ".join(r.sample(sentences, 6))) for i in range(300)]
+    rows += [(1000 + i, rows[i][1] + " end") for i in range(0, 300, 7)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert result(ngram_join.components(docs, group=16)) == brute.jaccard_components(rows)
+
+
+def test_hub_first_finds_the_same_components():
+    r = np.random.default_rng(5)
+    for _ in range(20):
+        base = [np.unique(r.integers(0, 400, 40)) for _ in range(3)]
+        sets = sorted((np.unique(np.r_[r.permutation(base[r.integers(0, 3)])[: r.integers(34, 41)], r.integers(400, 500, r.integers(0, 4))]) for _ in range(30)), key=len)
+        size = np.array([len(x) for x in sets])
+        part = ngram_join.linked(sets, size, int(r.integers(0, 30)), 80)
+        root = list(range(30))
+        for i in range(30):
+            for j in range(i):
+                both = len(np.intersect1d(sets[i], sets[j]))
+                if 100 * both >= 80 * (size[i] + size[j] - both):
+                    a, b = root[i], root[j]
+                    root = [b if x == a else x for x in root]
+        assert len({(int(p), q) for p, q in zip(part, root, strict=True)}) == len(set(part.tolist())) == len(set(root))
