@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import re
 from collections.abc import Iterator
 
@@ -15,8 +16,8 @@ from pyspark.sql import types as T
 #: Bytes that are not in words become spaces, A-Z becomes a-z; bytes from 0x80 on are parts of words.
 _CLEAN = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
-#: Characters of windows that one automaton holds at most; items beyond that get a scan of their own.
-AUTOMATON_CHARS = 8_000_000
+#: Bytes of benchmark text that one automaton takes, checked before anything is read to the driver; what lies beyond gets one of its own.
+AUTOMATON_BYTES = 64 << 20
 
 
 def words_of(text: str | None) -> list[str]:
@@ -27,47 +28,83 @@ def normalised(text: str | None) -> list[str]:
     return [w for w in words_of(text) if w]
 
 
-def item_windows(items: list[tuple[object, str | None]], size: int) -> dict[str, set[str]]:
-    """Each window's words, with a space around, and the items that hold it; shorter items are one window."""
-    out: dict[str, set[str]] = {}
-    for key, text in items:
-        w = normalised(text)
-        for i in range(max(1, len(w) - size + 1) if w else 0):
-            out.setdefault(f" {' '.join(w[i : i + size])} ", set()).add("" if key is None else str(key))
-    return out
-
-
-def automaton(windows: dict[str, set[str]]) -> ahocorasick.Automaton:
-    out = ahocorasick.Automaton()
-    for window, keys in windows.items():
-        out.add_word(window, (window.count(" ") - 1, tuple(sorted(keys))))
-    if windows:
-        out.make_automaton()
-    return out
+class Items:
+    """One automaton over benchmark items, of a size in proportion to their text.
 
+    Of a window's size words, any window holds a whole block of (size + 1) // 2 words that starts at a multiple of that in its item.
+    The automaton has these blocks, each with the different contexts it stands in (up to as many words on either side as a window can
+    reach) and the items that have them. Where a block occurs, a context that agrees far enough makes up windows, and
+    no window occurs without its block. Items of fewer words than a window are one block without a context.
+    """
 
-def chunks(rows: Iterator[tuple[object, str | None]], size: int) -> Iterator[list[tuple[object, str | None]]]:
-    """Items, by as many as fit in one automaton."""
-    own: list[tuple[object, str | None]] = []
+    def __init__(self, items: list[tuple[str, str]], size: int):
+        self.size, anchor = size, (size + 1) // 2
+        reach = size - anchor
+        blocks: dict[str, dict[tuple[tuple[str, ...], tuple[str, ...]], set[str]]] = {}
+        for key, text in items:
+            w = text.split(" ") if text else []
+            n = anchor if len(w) >= size else max(len(w), 1)
+            for i in range(0, len(w) - n + 1, n):
+                context = (tuple(w[max(0, i - reach) : i][::-1]), tuple(w[i + n : i + n + reach])) if len(w) >= size else ((), ())
+                blocks.setdefault(f" {' '.join(w[i : i + n])} ", {}).setdefault(context, set()).add(key)
+        self.find = ahocorasick.Automaton()
+        for block, contexts in blocks.items():
+            self.find.add_word(block, (block.count(" ") - 1, [(*c, tuple(keys)) for c, keys in contexts.items()]))
+        self.empty = not blocks
+        if blocks:
+            self.find.make_automaton()
+
+    def occurrences(self, line: str) -> tuple[list[tuple[int, int]], set[str]]:
+        """The ranges of words that lie in windows, and the items of these; line: words with a space around each."""
+        spans: list[tuple[int, int]] = []
+        own: set[str] = set()
+        found = [] if self.empty else list(self.find.iter(line))
+        if not found:
+            return spans, own
+        spaces = np.flatnonzero(np.frombuffer(line.encode("utf-32-le"), np.uint32) == 32)
+        words = line[1:-1].split(" ")
+        for end, (n, contexts) in found:
+            last = int(np.searchsorted(spaces, end))
+            first = last - n
+            for before, after, keys in contexts:
+                a, z = first, last
+                for w in before:
+                    if not a or words[a - 1] != w:
+                        break
+                    a -= 1
+                for w in after:
+                    if z == len(words) or words[z] != w:
+                        break
+                    z += 1
+                # a block of a longer item counts as part of a window only; that of a short item is one
+                if z - a >= self.size or not (before or after):
+                    spans.append((a, z))
+                    own.update(keys)
+        return _union(spans), own
+
+
+def portions(rows: Iterator[tuple[object, str | None]], most: int) -> Iterator[list[tuple[str, str]]]:
+    """Normalised items, by as many as one automaton takes."""
+    own: list[tuple[str, str]] = []
     chars = 0
     for key, text in rows:
-        if chars > AUTOMATON_CHARS:
+        if chars > most:
             yield own
             own, chars = [], 0
-        own.append((key, text))
-        chars += len(text or "") * size
+        own.append(("" if key is None else str(key), " ".join(normalised(text))))
+        chars += len(text or "")
     if own:
         yield own
 
 
-_BUILT: dict[int, ahocorasick.Automaton] = {}
+_BUILT: dict[bytes, Items] = {}
 
 
 def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str, ...] = (), rename: bool = True) -> DataFrame:
     """doc_id, n_words, the words hit (begin, end in word numbers), their spans in the original text (in characters) and the item ids.
 
-    The benchmark is read through an iterator and broadcast in automata of bounded size; documents are scanned once for each, which
-    is once unless the benchmark has over AUTOMATON_CHARS characters of windows. Null and empty texts have no words; an item
+    The benchmark's bytes are counted first. Up to AUTOMATON_BYTES of them are one broadcast, one automaton and one scan; a larger benchmark is
+    read through an iterator in portions of that size, each with a scan of its own, and the results are united. Null and empty texts have no words; an item
     without words never occurs; items with one id count as one, a null id as the empty string. All rows stay, repeated ones too.
     Empty tables are fine on both sides. Of the other columns only those to keep are read.
     """
@@ -78,39 +115,36 @@ def scan(docs: DataFrame, benchmark: DataFrame, size: int = 13, keep: tuple[str,
     for k, _, kind_ in kept:
         schema = schema.add(k, kind_)
     out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), F.lit(0).cast("long").alias("n_words"), F.lit(None).cast(hit).alias("words"), F.lit(None).cast("array<string>").alias("items"), *(F.col(c).alias(k) for k, c, _ in kept))
-    rows = ((r[0], r[1]) for r in benchmark.select(F.col("item_id"), F.col("text")).toLocalIterator())
+    given = benchmark.select(F.col("item_id"), F.col("text").cast("string").alias("text"))
+    small = given.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0] <= AUTOMATON_BYTES
+    rows = given.collect() if small else given.toLocalIterator()
     kind = pa.list_(pa.struct([("begin", pa.int64()), ("end", pa.int64())]))
 
     def pass_over(shared):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            key = hash(frozenset((window, frozenset(keys)) for window, keys in shared.value.items()))
-            if key not in _BUILT:
+            digest, own_items = shared.value
+            if digest not in _BUILT:
                 _BUILT.clear()
-                _BUILT[key] = automaton(shared.value)
-            find = _BUILT[key].iter if shared.value else lambda _: ()
+                _BUILT[digest] = Items(own_items, size)
+            index = _BUILT[digest]
             for batch in batches:
                 n_words, ranges, items = [], [], []
                 for text, old, names in zip(batch["text"], batch["words"], batch["items"], strict=True):
                     w = text.as_py().encode().translate(_CLEAN).split()
-                    line = f" {b' '.join(w).decode()} "
+                    spans, own = index.occurrences(f" {b' '.join(w).decode()} ")
                     n_words.append(len(w))
-                    found, own = list(find(line)), set(names.as_py() or ())
-                    spans = [(x["begin"], x["end"]) for x in old.as_py() or ()]
-                    if found:
-                        spaces = np.flatnonzero(np.frombuffer(line.encode("utf-32-le"), np.uint32) == 32)
-                        for end, (n, keys) in found:
-                            last = int(np.searchsorted(spaces, end))
-                            spans.append((last - n, last))
-                            own.update(keys)
-                        spans = _union(spans)
+                    if old.is_valid:
+                        spans = _union([*spans, *((x["begin"], x["end"]) for x in old.as_py())])
+                        own = own.union(names.as_py())
                     ranges.append([{"begin": a, "end": b} for a, b in spans])
                     items.append(sorted(own))
                 yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["text"], pa.array(n_words, pa.int64()), pa.array(ranges, kind), pa.array(items, pa.list_(pa.string())), *(batch[k] for k, _, _ in kept)], ["doc_id", "text", "n_words", "words", "items", *(k for k, _, _ in kept)])
 
         return run
 
-    for own in [*chunks(rows, size)] or [[]]:
-        out = out.mapInArrow(pass_over(sc.broadcast(item_windows(own, size))), schema)
+    for own in [*portions(((r[0], r[1]) for r in rows), AUTOMATON_BYTES)] or [[]]:
+        digest = hashlib.blake2b(repr((size, own)).encode(), digest_size=16).digest()
+        out = out.mapInArrow(pass_over(sc.broadcast((digest, own))), schema)
     return out.withColumnsRenamed({k: c for k, c, _ in kept}) if rename else out
 
 
