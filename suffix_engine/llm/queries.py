@@ -101,14 +101,17 @@ FROM d LEFT JOIN k USING (doc_id)
 """
 
 
-def _url_sql(rules=urls.RULES, branches: int = urls.BRANCHES, depth: int = urls.DEPTH, weight: float = urls.WEIGHT, reject: float = urls.REJECT, different: float = urls.DIFFERENT) -> str:
+def _url_sql(rules=urls.RULES, branches: int = urls.BRANCHES, depth: int = urls.DEPTH, weight: float = urls.WEIGHT, reject: float = urls.REJECT, different: float = urls.DIFFERENT, support: int = urls.SUPPORT) -> str:
     pick = lambda values: "CASE " + " ".join(f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{v}'" for (h, p, _), v in values) + " END"
     ordered = sorted(rules, key=lambda r: -len(r[0] + r[1]))
     rule, verdict = pick([(r, r[0] + r[1]) for r in ordered]), pick([(r, r[2]) for r in ordered])
     levels = "".join(
         f"""
-m{i} AS (SELECT host AS h, template AS t FROM l{i} WHERE len(s) > {i} GROUP BY ALL HAVING count(DISTINCT s[{i + 1}]) > {branches}),
-l{i + 1} AS (SELECT l{i}.* EXCLUDE template, template || CASE WHEN len(s) <= {i} THEN '' WHEN h IS NOT NULL THEN '/*' ELSE '/' || s[{i + 1}] END AS template FROM l{i} LEFT JOIN m{i} ON host = h AND template = t),"""
+s{i} AS (SELECT host AS h, template AS t, s[{i + 1}] AS x, (count(*) FILTER (WHERE ruled = 'block'))::DOUBLE AS b, count(ruled)::DOUBLE AS l FROM l{i} WHERE len(s) > {i} GROUP BY ALL),
+n{i} AS (SELECT *, count(*) OVER w AS n, sum(b) OVER w / sum(l) OVER w AS share FROM s{i} WINDOW w AS (PARTITION BY h, t)),
+a{i} AS (SELECT *, l > 0 AND abs(b / l - share) <= {different} * sqrt(share * (1 - share) / l) AS alike FROM n{i}),
+m{i} AS (SELECT h, t, x, count(*) FILTER (WHERE alike) OVER (PARTITION BY h, t) AS m, n > {branches} OR (alike AND m >= 2) OR (l = 0 AND m >= {support}) AS wild FROM a{i}),
+l{i + 1} AS (SELECT l{i}.* EXCLUDE template, template || CASE WHEN len(s) <= {i} THEN '' WHEN wild THEN '/*' ELSE '/' || s[{i + 1}] END AS template FROM l{i} LEFT JOIN m{i} ON host = h AND template = t AND s[{i + 1}] = x),"""
         for i in range(depth)
     )
     return rf"""
@@ -116,11 +119,9 @@ WITH u AS (SELECT page_id, CASE WHEN contains(url, '://') THEN substr(url, strpo
 a AS (SELECT page_id, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM u),
 l0 AS (SELECT *, {rule} AS rule, {verdict} AS ruled, list_filter(string_split(path, '/'), lambda x: x <> '') AS s, '' AS template FROM a),{levels}
 z AS (SELECT page_id, host, path, rule, ruled, template || CASE WHEN len(s) > {depth} THEN '/**' ELSE '' END AS template FROM l{depth}),
-f AS (SELECT host, template, regexp_extract(template, '^(.*)/[^/]*$', 1) AS parent, count(*) FILTER (WHERE ruled = 'block')::DOUBLE AS b, count(*)::DOUBLE AS n FROM z WHERE ruled IS NOT NULL GROUP BY host, template),
-w AS (SELECT *, sum(b) OVER o / sum(n) OVER o AS share, coalesce(sum(b) OVER () / sum(n) OVER (), 0) AS prior FROM f WINDOW o AS (PARTITION BY host, parent)),
-y AS (SELECT *, abs(b / n - share) <= {different} * sqrt(share * (1 - share) / n) AS alike FROM w),
-v AS (SELECT host, template, prior, CASE WHEN alike THEN sum(b) FILTER (WHERE alike) OVER o ELSE b END AS b, CASE WHEN alike THEN sum(n) FILTER (WHERE alike) OVER o ELSE n END AS n FROM y WINDOW o AS (PARTITION BY host, parent)),
-bad AS (SELECT host AS h, template AS t FROM v WHERE (b + {weight} * prior) / (n + {weight}) >= {reject})
+f AS (SELECT host AS h, template AS t, (count(*) FILTER (WHERE ruled = 'block'))::DOUBLE AS b, count(*)::DOUBLE AS n FROM z WHERE ruled IS NOT NULL GROUP BY host, template),
+p AS (SELECT coalesce(sum(b) / sum(n), 0) AS prior FROM f),
+bad AS (SELECT h, t FROM f, p WHERE (b + {weight} * prior) / (n + {weight}) >= {reject})
 SELECT page_id, host, path, rule, coalesce(ruled, CASE WHEN h IS NOT NULL THEN 'block' ELSE 'allow' END) AS verdict, template FROM z LEFT JOIN bad ON host = h AND template = t
 """
 

@@ -1,4 +1,5 @@
 import hashlib
+import random
 import zlib
 
 import brute
@@ -42,12 +43,13 @@ def test_every_character_counts_as_in_the_library():
         tokens.MEMO = small
 
 
-@pytest.mark.parametrize("bound", [8_000_000, 50])
+@pytest.mark.parametrize("bound", [64 << 20, 50])
 def test_contamination(spark, monkeypatch, bound):
-    monkeypatch.setattr(decontaminate, "AUTOMATON_CHARS", bound)
+    monkeypatch.setattr(decontaminate, "AUTOMATON_BYTES", bound)
     rows = brute.sample_texts(7)
     text = rows[20][1].split()
-    items = [("b", " ".join(text[:30])), ("a", " ".join(text[5:25])), ("c", "abc, É!"), ("d", ""), ("e", None), ("b", "zz yy " * 8), ("f", rows[30][1])]
+    items = [("b", " ".join(text[:30])), ("a", " ".join(text[5:25])), ("c", "abc, É!"), ("d", ""), ("e", None), ("b", "zz yy " * 8), ("f", rows[30][1]), ("g", "ha " * 400), ("h", " ".join(text[:13])), ("i", "ab " * 7 + "cd " * 7)]
+    rows += [(510, "ha " * 12), (511, "ha " * 13 + "no " * 30), (512, "ha " * 3000), (513, "ab " * 40 + "cd " * 6), (514, "ab " * 8 + "cd " * 9), (515, " ".join(text[6:19])), (516, " ".join(text[6:18]))]
     rows += [(500, "x " * 300 + " ".join(text[2:17]) + " y" * 200), (501, "ABC! é."), (502, "abc é"), (503, "ABC\u00a0É")]
     docs = spark.createDataFrame([(*r, "k") for r in rows], "doc_id long, text string, items string")
     bench = spark.createDataFrame([(*i, 1) for i in items], "item_id string, text string, doc_id int")
@@ -62,6 +64,27 @@ def test_contamination(spark, monkeypatch, bound):
     assert decontaminate.contamination(docs.limit(0), bench).collect() == []
 
 
+@pytest.mark.parametrize("size", [1, 2, 5, 13])
+def test_blocks_and_contexts_find_what_windows_find(size):
+    r = random.Random(size)
+    word = lambda: r.choice("abc")
+    items = [(str(i), " ".join(word() for _ in range(r.randint(0, 40)))) for i in range(12)]
+    rows = [(i, " ".join(word() for _ in range(r.randint(0, 120)))) for i in range(40)]
+    index = decontaminate.Items(items, size)
+    want = brute.contaminated(rows, items, size)
+    for d, t in rows:
+        spans, own = index.occurrences(f" {t} ")
+        assert (sum(z - a for a, z in spans), len(own), brute.sha(",".join(sorted(own)))) == want[d][1:4]
+
+
+def test_contamination_of_repeated_rows_and_long_texts(spark):
+    item = " ".join(f"w{i}" for i in range(20))
+    docs = spark.createDataFrame([(1, item)] * 3 + [(None, item), (2, "pad " * 200_000 + item)], "doc_id long, text string")
+    bench = spark.createDataFrame([(7, item), (7, item), (None, item)], "item_id int, text string")
+    got = [tuple(r) for r in decontaminate.contamination(docs, bench).select("n_words", "n_hit", "n_items", "contaminated").collect()]
+    assert sorted(got) == [(20, 20, 2, True)] * 4 + [(200_020, 20, 2, False)]
+
+
 def test_a_worker_does_not_mix_up_benchmarks(spark):
     docs = spark.createDataFrame([(1, "one two three")], "doc_id long, text string").coalesce(1)
     for key in ("a", "b"):
@@ -132,6 +155,25 @@ def test_templates_and_purity(spark):
     assert bad == {("h", "/b/*")}  # 30 of 30, smoothed; 30 of 40 is under the limit
 
 
+def test_alike_branches_merge_and_take_unlabelled_ones_along(spark):
+    long = "/z" * 40000
+    rows = [(f"/b/{i}", 1) for i in range(10)] + [("/b/new", None), ("/b/fine", 0), ("/b/fine", 0), ("/b/fine", 0)] + [(f"/few/{i}", 1) for i in range(3)] + [("/few/new", None)] + [("/ok/1", 0)] * 9 + [(long, None)] * 2
+    pages = spark.createDataFrame([(i, f"http://{p[1]}.org{p}") for i, (p, _) in enumerate(rows)], "page_id long, url string")
+    labels = spark.createDataFrame([(i, b) for i, (_, b) in enumerate(rows)] + [(None, 1), (0, None)], "page_id long, blocked int")
+    got = {rows[r.page_id][0]: (r.template, r.verdict) for r in urls.judge(pages, labels=labels).collect()}
+    assert got["/b/new"] == got["/b/3"] == ("/b/*", "block") and got["/b/fine"] == ("/b/fine", "allow")
+    assert got["/few/new"] == ("/few/new", "allow") and got["/few/1"][0] == "/few/*" and got["/ok/1"] == ("/ok/1", "allow")
+    assert got[long][1] == "allow"
+    # without labels nothing is learned, and all is allowed
+    assert {r.verdict for r in urls.judge(pages).collect()} == {"allow"}
+
+
+def test_rules_of_one_length_are_tried_in_order_and_repeated_pages_stay(spark):
+    pages = spark.createDataFrame([(1, "http://a.b/c/")] * 3 + [(None, None)] * 2, "page_id long, url string")
+    got = urls.judge(pages, rules=(("a.b", "/c/", "allow"), ("a.b", "/c/", "block"))).collect()
+    assert sorted((r.page_id or 0, r.verdict) for r in got) == [(0, "allow")] * 2 + [(1, "allow")] * 3
+
+
 def test_given_pages(spark):
     pages = spark.read.parquet(f"{SF}/pages.parquet")
     rows = {r.page_id: r.url for r in pages.select("page_id", "url").collect()}
