@@ -35,13 +35,21 @@ def partition(corpus: Corpus, k: int, r: int, splitters: str = "sampled") -> Dat
     return cut(dealt).select(F.spark_partition_id().alias("bucket"), "kmer", "pos")
 
 
-def suffix_order(corpus: Corpus, k: int | None = None, r: int | None = None, kernel: str = "refine", splitters: str = "sampled", reader: str | None = None, reduction: str = "gap_rename") -> DataFrame:
-    """(bucket, ord, pos, code): the order within each bucket, and the symbol before each suffix."""
+def suffix_order(corpus: Corpus, k: int | str | None = None, r: int | None = None, kernel: str = "refine", splitters: str = "sampled", reader: str | None = None, reduction: str | None = None) -> DataFrame:
+    """(bucket, ord, pos, code): the order within each bucket, and the symbol before each suffix.
+
+    k: None takes what a key holds, up to 8; "suggested" the least k under which no k-mer has more than an even share of the suffixes.
+    A broadcast text (up to BROADCAST_SYMBOLS) and joined chunks of it give the same rows. With chunks a bucket gets those that its blocks
+    reach into, widest gap + k symbols behind a position, and equal blocks are renamed, in any kernel.
+    """
     spark = corpus.pieces.sparkSession
-    k = k or min(kmers.widest(corpus), 8)
     r = r or 4 * spark.sparkContext.defaultParallelism
+    k = kmers.suggest_k(corpus, r) if k == "suggested" else k or min(kmers.widest(corpus), 8)
     reader = reader or ("broadcast" if corpus.n <= BROADCAST_SYMBOLS else "chunk_join")
-    n, width = corpus.n, kmers.bits(corpus)
+    reduction = reduction or ("none" if kernel == "refine" and reader == "broadcast" else "gap_rename")
+    if reduction == "none" and (kernel != "refine" or reader != "broadcast"):
+        raise ValueError("only the refining kernel over a broadcast text needs no renaming")
+    n, width, corpus_end = corpus.n, kmers.bits(corpus), corpus.terminator
     schema = "bucket int, ord long, pos long, code int"
     rows = partition(corpus, k, r, splitters)
 
@@ -49,7 +57,7 @@ def suffix_order(corpus: Corpus, k: int | None = None, r: int | None = None, ker
         if len(pos) > MOST_IN_BUCKET:
             raise ValueError(f"{len(pos)} suffixes in bucket {bucket}: take a larger k or the hybrid")
         out = partial.sort_bucket(pos, keys, partial.array_reader(codes, base), n, k, width, kernel, reduction)
-        before = codes[(out - 1) % n - base] if reader == "broadcast" else np.full(len(out), -1)
+        before = np.where(out > 0, codes[np.maximum(out - 1 - base, 0)], corpus_end)
         return pa.RecordBatch.from_arrays([pa.array(np.full(len(out), bucket, np.int32)), pa.array(np.arange(len(out))), pa.array(out.astype(np.int64)), pa.array(before.astype(np.int32))], ["bucket", "ord", "pos", "code"])
 
     if reader == "broadcast":
@@ -68,14 +76,9 @@ def suffix_order(corpus: Corpus, k: int | None = None, r: int | None = None, ker
                 yield work(TaskContext.get().partitionId(), whole["pos"].to_numpy(), whole["kmer"].to_numpy(), shared.value, 0)
 
         return rows.mapInArrow(sort_part, schema)
-    # each bucket gets the chunks that its blocks reach into
     size = CHUNK_SYMBOLS
     rows = cut(rows)
-    reach = partial.bucket_gaps(rows, n).withColumn("reach", F.col("l_max") + k if kernel != "refine" and reduction == "gap_rename" else F.lit(n))
-    need = rows.select("bucket", F.floor(F.col("pos") / size).alias("a"), "pos").join(reach.select("bucket", "reach"), "bucket")
-    need = need.groupBy("bucket", "a").agg(F.max(F.least(F.col("pos") + F.col("reach"), F.lit(n - 1))).alias("z"))
-    need = need.select("bucket", F.explode(F.sequence("a", F.floor(F.col("z") / size))).alias("chunk")).distinct()
-    near = need.join(chunks(corpus, size), "chunk").select(F.col("bucket").alias("of"), "start", "codes")
+    near = chunks_needed(rows, n, k, reduction, size).join(chunks(corpus, size), "chunk").select(F.col("bucket").alias("of"), "start", "codes")
 
     def sort_cogroup(left: pa.Table, right: pa.Table) -> pa.Table:
         starts, parts = right["start"].to_pylist(), right["codes"].to_pylist()
@@ -89,8 +92,16 @@ def suffix_order(corpus: Corpus, k: int | None = None, r: int | None = None, ker
     return rows.groupBy("bucket").cogroup(near.groupBy("of")).applyInArrow(sort_cogroup, schema)
 
 
+def chunks_needed(rows: DataFrame, n: int, k: int, reduction: str, size: int) -> DataFrame:
+    """(bucket, chunk): the chunks that hold a bucket's blocks and the symbol before each."""
+    reach = partial.bucket_gaps(rows, n).withColumn("reach", F.col("l_max") + k if reduction == "gap_rename" else F.lit(n))
+    need = rows.select("bucket", F.floor(F.greatest(F.col("pos") - 1, F.lit(0)) / size).alias("a"), "pos").join(reach.select("bucket", "reach"), "bucket")
+    need = need.groupBy("bucket", "a").agg(F.max(F.least(F.col("pos") + F.col("reach"), F.lit(n - 1))).alias("z"))
+    return need.select("bucket", F.explode(F.sequence("a", F.floor(F.col("z") / size))).alias("chunk")).distinct()
+
+
 def build(corpus: Corpus, **options) -> DataFrame:
-    """(rank, pos, code): suffix array, and the transform where the text was at hand (-1 where it was not)."""
+    """(rank, pos, code): suffix array and transform."""
     rows = cut(suffix_order(corpus, **options))
     counts = {r[0]: r[1] for r in rows.groupBy("bucket").count().collect()}
     at, offsets = 0, {}

@@ -23,6 +23,8 @@ RERANKS = ("group", "global", "distinct")
 BLOCK = 1 << 14
 #: Stands for the rank of what lies past the end.
 PAST = -1
+#: Suffixes of a group that one task may re-rank; larger groups are sorted by range over many tasks.
+MOST_IN_GROUP = 1 << 20
 
 
 @dataclass
@@ -64,8 +66,10 @@ def pair_by_union(ranks: DataFrame, h: int) -> DataFrame:
 
 
 def pair_by_join(own: DataFrame, ranks: DataFrame, h: int) -> DataFrame:
-    """Only the ranks of own are paired; ranks has all of them."""
-    return own.select("pos", F.col("rnk").alias("r1")).join(shift(ranks, h), "pos", "left").select("pos", "r1", F.coalesce("r2", F.lit(PAST)).cast("long").alias("r2"))
+    """Only the ranks of own are paired; ranks has all of them. Own rows go to where the rank they need is, so ranks that lie by pos stay there."""
+    there = ranks.select(F.col("pos").alias("_at"), F.col("rnk").alias("r2"))
+    asked = own.select("pos", F.col("rnk").alias("r1"), (F.col("pos") + h).alias("_to"))
+    return asked.join(there, F.col("_to") == F.col("_at"), "left").select("pos", "r1", F.coalesce("r2", F.lit(PAST)).cast("long").alias("r2"))
 
 
 def pair_by_lead(ranks: DataFrame, h: int, key: str) -> DataFrame:
@@ -148,6 +152,25 @@ def rerank_distinct(pairs: DataFrame) -> DataFrame:
     return pairs.join(table, ["r1", "r2"]).select("pos", "rnk", (F.col("cnt") > 1).alias("tied"))
 
 
+def rerank_mixed(pairs: DataFrame, most: int = MOST_IN_GROUP) -> DataFrame:
+    """As rerank_in_groups, without ever holding a large group in one task."""
+    sizes = pairs.groupBy("r1").agg(F.count(F.lit(1)).alias("members"))
+    large = cut(sizes.where(F.col("members") > most).select(F.col("r1").alias("_r1")))
+    if not large.limit(1).count():
+        return rerank_in_groups(pairs)
+    light = pairs.join(large, F.col("r1") == F.col("_r1"), "left_anti")
+    heavy = cut(rerank_globally(pairs.join(large, F.col("r1") == F.col("_r1"), "left_semi"), keep_old=True))
+    first = heavy.groupBy("r1").agg(F.min("rnk").alias("first"))
+    placed = heavy.join(first, "r1").select("pos", (F.col("r1") + F.col("rnk") - F.col("first")).alias("rnk"), "tied")
+    return rerank_in_groups(light).unionByName(placed)
+
+
+def with_new(ranks: DataFrame, new: DataFrame) -> DataFrame:
+    """The ranks with those that are new put in; ranks that lie by pos stay where they are."""
+    own = new.select(F.col("pos").alias("_pos"), F.col("rnk").alias("_rnk"), F.col("tied").alias("_tied"))
+    return ranks.join(own, F.col("pos") == F.col("_pos"), "left").select("pos", F.coalesce("_rnk", "rnk").alias("rnk"), F.coalesce("_tied", "tied").alias("tied"))
+
+
 def one_round(ranks: DataFrame, h: int, pairing: str = "join", rerank: str = "group", active_only: bool = False) -> DataFrame:
     own = ranks.where("tied") if active_only else ranks
     if pairing == "union_reduce":
@@ -161,7 +184,7 @@ def one_round(ranks: DataFrame, h: int, pairing: str = "join", rerank: str = "gr
     else:
         raise ValueError(f"no pairing {pairing!r} for one text")
     if rerank == "group":
-        new = rerank_in_groups(pairs)
+        new = rerank_mixed(cut(pairs))
     elif active_only:
         raise ValueError("only re-ranking in groups keeps ranks that it doesn't see")
     else:
@@ -192,9 +215,11 @@ def build(corpus: Corpus, pairing: str = "join", rerank: str = "group", rounds:
     return Result(ranks.select("pos", "rnk"), history)
 
 
-def _measured(ranks: DataFrame, number: int, reach: int, began: float) -> Round:
-    """Groups are counted by their first members alone: a rank equals the number of smaller suffixes, so distinct ranks are groups."""
-    rows, unresolved, groups = ranks.agg(F.count(F.lit(1)), F.sum(F.col("tied").cast("long")), F.approx_count_distinct("rnk")).first()
+def _measured(ranks: DataFrame, number: int, reach: int, began: float, n: int | None = None) -> Round:
+    """Groups are distinct ranks; those that aren't tied are a group each. n: of all ranks, if only those that were tied are given."""
+    rows, unresolved, shared = ranks.agg(F.count(F.lit(1)), F.sum(F.col("tied").cast("long")), F.count_distinct(F.when(F.col("tied"), F.col("rnk")))).first()
+    rows = n or rows
+    groups = rows - (unresolved or 0) + shared
     return Round(number, reach, groups, unresolved or 0, rows, time.perf_counter() - began)
 
 

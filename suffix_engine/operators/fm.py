@@ -23,7 +23,7 @@ BROADCAST_SYMBOLS = 1 << 26
 class Index:
     corpus: Corpus
     blocks: DataFrame  # (block, codes): the transform, by blocks of ranks
-    before: DataFrame  # (block, code, before): occurrences of a code ahead of a block
+    before: DataFrame  # (block, code, before) of every code and block, and one block more: occurrences of a code ahead of a block
     sampled: DataFrame  # (rank, pos) of every SAMPLE-th position
     block: int
     sample: int
@@ -39,9 +39,11 @@ def build(bwt: DataFrame, sa: DataFrame, corpus: Corpus, block: int = BLOCK, sam
     tagged = bwt.select(F.floor(F.col("rank") / block).alias("block"), "rank", "code")
     blocks = cut(tagged.groupBy("block").applyInArrow(gather, "block long, codes binary"))
     counts = tagged.groupBy("code", "block").agg(F.count(F.lit(1)).alias("cnt"))
-    summed = prefix.exclusive(counts, "cnt", "code", "block", out="ahead")
+    every = F.explode(F.array(*(F.lit(c) for c in range(corpus.sigma)))).alias("code")
+    grid = bwt.sparkSession.range(corpus.n // block + 2).select(F.col("id").alias("block"), every)
+    summed = prefix.exclusive(grid.join(counts, ["code", "block"], "left").fillna(0, ["cnt"]), "cnt", "code", "block", out="ahead")
     base = F.array(*(F.lit(int(x)) for x in corpus.smaller))
-    before = cut(summed.select("block", "code", (F.col("ahead") - F.get(base, "code")).cast("long").alias("before"), "cnt"))
+    before = cut(summed.select("block", "code", (F.col("ahead") - F.get(base, "code")).cast("long").alias("before")))
     return Index(corpus, blocks, before, cut(sa.where(F.col("pos") % sample == 0).select("rank", "pos")), block, sample)
 
 
@@ -143,12 +145,12 @@ def _stepped(index: Index, asked: DataFrame) -> DataFrame:
             inside = [int(np.count_nonzero(np.frombuffer(raw or b"", CODE)[:k] == code)) for raw, k, code in zip(batch["body"].to_pylist(), batch["k"].to_pylist(), batch["code"].to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch["key"], batch["side"], batch["block"], batch["code"], pa.array(inside, pa.int64())], ["key", "side", "block", "code", "inside"])
 
-    # a code's occurrences ahead of a block that lacks it: the last known sum, so the table is filled by ranges of blocks
-    ahead = index.before.select(F.col("block").alias("_at"), F.col("code").alias("_c"), "before", "cnt")
+    ahead = index.before.select(F.col("block").alias("_at"), F.col("code").alias("_c"), "before")
     placed = asked.select("key", "side", "code", F.floor(F.col("rank") / block).alias("block"), F.pmod("rank", F.lit(block)).cast("int").alias("k"))
     inside = placed.join(_bodies(index), F.col("block") == F.col("_b"), "left").mapInArrow(counted, "key long, side int, block long, code int, inside long")
-    joined = inside.join(ahead, (F.col("code") == F.col("_c")) & (F.col("_at") < F.col("block")), "left")
-    return joined.groupBy("key", "side").agg((F.max("inside") + F.coalesce(F.max(F.col("before") + F.col("cnt")), F.lit(0)) + F.max(F.coalesce(F.get(smaller, F.when(F.col("code") >= 0, F.col("code"))), F.lit(0)))).alias("rank"))
+    joined = inside.join(ahead, (F.col("code") == F.col("_c")) & (F.col("block") == F.col("_at")), "left")
+    own = F.coalesce(F.get(smaller, F.when(F.col("code") >= 0, F.col("code"))), F.lit(0))
+    return joined.select("key", "side", (F.col("inside") + F.coalesce("before", F.lit(0)) + own).alias("rank"))
 
 
 def _sides(index: Index, asked: DataFrame) -> DataFrame:

@@ -2,45 +2,28 @@
 
 from __future__ import annotations
 
-import numpy as np
 import time
 
-from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
-
+import numpy as np
 from suffix_engine.model import Corpus
 from suffix_engine.operators import doubling, kmers
 from suffix_engine.session import cut
 
-#: Suffixes of a group that one task may re-rank; larger groups are sorted by range over many tasks.
-MOST_IN_GROUP = 1 << 20
-
-
-def rerank_mixed(pairs: DataFrame, most: int = MOST_IN_GROUP) -> DataFrame:
-    """As rerank_in_groups, without ever holding a large group in one task."""
-    sizes = pairs.groupBy("r1").agg(F.count(F.lit(1)).alias("members"))
-    large = cut(sizes.where(F.col("members") > most).select(F.col("r1").alias("_r1")))
-    if not large.limit(1).count():
-        return doubling.rerank_in_groups(pairs)
-    light = pairs.join(large, F.col("r1") == F.col("_r1"), "left_anti")
-    heavy = cut(doubling.rerank_globally(pairs.join(large, F.col("r1") == F.col("_r1"), "left_semi"), keep_old=True))
-    first = heavy.groupBy("r1").agg(F.min("rnk").alias("first"))
-    placed = heavy.join(first, "r1").select("pos", (F.col("r1") + F.col("rnk") - F.col("first")).alias("rnk"), "tied")
-    return doubling.rerank_in_groups(light).unionByName(placed)
-
-
-def build(corpus: Corpus, k: int | None = None, most: int = MOST_IN_GROUP) -> doubling.Result:
-    """Inverse suffix array: seeds of k symbols, then rounds over unresolved suffixes only, until none is left."""
+def build(corpus: Corpus, k: int | None = None, most: int = doubling.MOST_IN_GROUP) -> doubling.Result:
+    """Inverse suffix array: seeds of k symbols, then rounds over unresolved suffixes only, until none is left. Groups of over most members
+    are re-ranked by range instead of in one task, with the same ranks."""
     h = k or kmers.widest(corpus)
     began = time.perf_counter()
-    ranks = cut(doubling.init_ranks(corpus, h))
+    ranks = cut(doubling.init_ranks(corpus, h).repartition("pos"))
     history = [doubling._measured(ranks, 0, h, began)]
     for number in range(1, int(np.ceil(np.log2(max(corpus.n, 2)))) + 1):
-        if not history[-1].unresolved:
+        left = history[-1].unresolved
+        if not left:
             break
         began = time.perf_counter()
-        new = rerank_mixed(cut(doubling.pair_by_join(ranks.where("tied"), ranks, h)), most)
-        ranks = cut(new.unionByName(ranks.where("not tied")))
+        pairs = doubling.pair_by_join(ranks.where("tied"), ranks, h)
+        new = cut(doubling.rerank_in_groups(pairs) if left <= most else doubling.rerank_mixed(cut(pairs), most))
+        ranks = cut(doubling.with_new(ranks, new))
         h *= 2
-        history.append(doubling._measured(ranks, number, h, began))
+        history.append(doubling._measured(new, number, h, began, corpus.n))
     return doubling.Result(ranks.select("pos", "rnk"), history)

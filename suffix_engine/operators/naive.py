@@ -59,14 +59,14 @@ def mapreduce_sort(corpus: Corpus, k: int | None = None, r: int | None = None) -
 
 
 def split_index(rows: DataFrame, key: str, text: str, r: int = 8, separator: str = "\n", order: str = "smallest") -> DataFrame:
-    """(split, n, bwt, primary): only the input is split, each split indexed alone; r transforms without a common order."""
+    """(split, n, bwt, primary): only the input is split, by the key's remainder, and each split indexed alone; r transforms without a common order."""
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by("k")
         b, i = bwt.encode(separator.join(table["t"].to_pylist()), order)
         return pa.table({"split": table["split"].slice(0, 1).cast(pa.int32()), "n": pa.array([len(b)], pa.int64()), "bwt": [b], "primary": pa.array([i], pa.int64())})
 
-    own = rows.where(F.col(text).isNotNull()).select(F.pmod(F.xxhash64(key), F.lit(r)).cast("int").alias("split"), F.col(key).alias("k"), F.col(text).alias("t"))
+    own = rows.where(F.col(text).isNotNull()).select(F.pmod(F.col(key).cast("long"), F.lit(r)).cast("int").alias("split"), F.col(key).alias("k"), F.col(text).alias("t"))
     return own.groupBy("split").applyInArrow(run, "split int, n long, bwt string, primary long")
 
 

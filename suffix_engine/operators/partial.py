@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from suffix_engine.operators.bwt import local_ranks
 
 KERNELS = ("radix", "merge", "refine")
-REDUCTIONS = ("gap_rename", "span_direct")
+REDUCTIONS = ("gap_rename", "span_direct", "none")
 #: read(positions, offset, width): the codes + 1 at positions + offset .. + width, 0 past the end, as a matrix.
 Reader = Callable[[np.ndarray, int, int], np.ndarray]
 #: Symbols that the merge kernel copies of each block at first; ties are sorted again on longer copies.
@@ -82,7 +82,8 @@ def merge_order(positions: np.ndarray, read: Reader, length: int) -> np.ndarray:
 def refine_order(positions: np.ndarray, read: Reader, depth: int, group: np.ndarray, width: int, longest: int | None = None) -> np.ndarray:
     """Only suffixes that still tie are read on, as many symbols at a time as a key of 63 bits holds.
 
-    group: what the first depth symbols say, as numbers in their order. Ends when no two suffixes tie (the terminator sees to that), or at longest.
+    group: what the first depth symbols say, as numbers in their order. Ends when no two suffixes tie (the terminator sees to that), or
+    after exactly longest symbols; what still ties then stays in the order of the positions.
     """
     order = np.argsort(group, kind="stable")
     rank = np.unique(group, return_inverse=True)[1][order].astype(np.int64)
@@ -94,6 +95,9 @@ def refine_order(positions: np.ndarray, read: Reader, depth: int, group: np.ndar
         # long common prefixes are few: the fewer suffixes still tie, the more symbols are read at a time
         words = max(1, min(2 * words, READ // (len(active) * take)))
         symbols, g = read(positions[order[active]], depth, take * words), rank[active]
+        if longest is not None and depth + take * words > longest:
+            symbols = symbols.copy()
+            symbols[:, longest - depth :] = 0
         depth += take * words
         # inside long repeats all members of a group go on alike, which one pass over the rows shows
         parted = g[1:][(g[1:] == g[:-1]) & (symbols[1:] != symbols[:-1]).any(axis=1)]
@@ -129,19 +133,25 @@ def block_length(positions: np.ndarray, n: int, k: int) -> int:
 
 
 def sort_bucket(positions: np.ndarray, keys: np.ndarray, read: Reader, n: int, k: int, width: int, kernel: str = "refine", reduction: str = "gap_rename", length: int | None = None) -> np.ndarray:
-    """The positions of a bucket in suffix order; keys are their first k symbols. length overrides the blocks' (for tests)."""
+    """The positions of a bucket in suffix order; keys are their first k symbols. length overrides the blocks' (for tests).
+
+    No symbol further from a position than its block is read, but by the refining kernel without renaming ("none"), which reads on while suffixes tie.
+    """
     by_text = np.argsort(positions)
     positions, keys = positions[by_text], keys[by_text]
     if not len(positions):
         return positions
-    if kernel == "refine":
+    if kernel == "refine" and reduction == "none":
         return positions[refine_order(positions, read, k, keys, width)]
     size = length or (block_length(positions, n, k) if reduction == "gap_rename" else n - int(positions[0]))
-    order = radix_order(positions, read, size) if kernel == "radix" else merge_order(positions, read, size)
+    if kernel == "refine":
+        order = refine_order(positions, read, min(k, size), keys if size >= k else keys >> width * (k - size), width, size)
+    else:
+        order = radix_order(positions, read, size) if kernel == "radix" else merge_order(positions, read, size)
     if reduction == "span_direct":
         return positions[order]
     # equal blocks get equal names; the order of the names' own suffixes is that of the positions
-    equal = np.r_[False, [_equal(read, positions[a], positions[b], size) for a, b in zip(order[:-1], order[1:], strict=True)]].astype(bool) if len(order) > 1 else np.zeros(len(order), bool)
+    equal = np.r_[False, _equal(read, positions[order[:-1]], positions[order[1:]], size)]
     names = np.empty(len(order), np.int64)
     names[order] = np.cumsum(~equal)
     out = np.empty_like(positions)
@@ -149,12 +159,15 @@ def sort_bucket(positions: np.ndarray, keys: np.ndarray, read: Reader, n: int, k
     return out
 
 
-def _equal(read: Reader, a: int, b: int, length: int) -> bool:
-    at, step = 0, 16
-    both = np.array([a, b])
-    while at < length:
-        x = read(both, at, min(step, length - at))
-        if (x[0] != x[1]).any():
-            return False
-        at, step = at + step, min(step * 2, READ // 2)
-    return True
+def _equal(read: Reader, a: np.ndarray, b: np.ndarray, length: int) -> np.ndarray:
+    """Which pairs of blocks are equal; only those that were so far are read on."""
+    out, active, at, step = np.ones(len(a), bool), np.arange(len(a)), 0, 16
+    while at < length and len(active):
+        width = min(step, length - at)
+        rows = max(1, READ // width)
+        for i in range(0, len(active), rows):
+            own = active[i : i + rows]
+            out[own] = (read(a[own], at, width) == read(b[own], at, width)).all(axis=1)
+        active = active[out[active]]
+        at, step = at + width, min(step * 2, READ // 2)
+    return out

@@ -181,6 +181,19 @@ def _longest(spark: SparkSession, d: str) -> DataFrame:
     return lcp.summary(lcp.build(bucketed.build(c).select("rank", "pos"), c), c.n)
 
 
+def _longest_items(spark: SparkSession, d: str) -> DataFrame:
+    c, sa, _ = _items_transform(spark, d)
+    out = lcp.summary(lcp.build(sa, c), c.n)
+    return out.select(F.col("longest_repeat").cast("long").alias("longest_repeat"), F.col("distinct_substrings").cast("long").alias("distinct_substrings"))
+
+
+def _items_entropy(spark: SparkSession, d: str) -> DataFrame:
+    """Order-0 entropy of the passages, and the runs of their transform."""
+    c, _, t = _items_transform(spark, d)
+    runs = compress.run_report(t, c.n)
+    return compress.entropy(t, "code").join(F.broadcast(runs.select("runs")), how="inner").select("n", F.round("bits", 6).alias("bits"), F.col("runs").cast("long").alias("runs"))
+
+
 def _checked(make) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         c = make[0](spark, d)
@@ -189,6 +202,60 @@ def _checked(make) -> Query:
     return run
 
 
+#: Which part of a whole text the methods run over whose cost grows faster than the text, or that take a round for each power of two.
+PART = 16
+
+
+def _prefix(text: Callable) -> Callable:
+    def run(spark: SparkSession, d: str) -> corpus.Corpus:
+        c = text(spark, d)
+        return corpus.prefix_of(c, c.n // PART)
+
+    return run
+
+
+def _published(c: corpus.Corpus) -> doubling.Result:
+    """The doubling as published: ranks by one symbol, tagged union and reduce, global re-ranking by range, a fixed number of rounds."""
+    return doubling.build(c, pairing="union_reduce", rerank="global", rounds="paper", h0=1, active_only=False)
+
+
+def _methods() -> dict[str, Callable[[corpus.Corpus], DataFrame]]:
+    """The three that the published table compares."""
+    return {
+        "bucketed_radix": lambda c: bucketed.build(c, kernel="radix", r=64),
+        "bucketed_merge": lambda c: bucketed.build(c, kernel="merge", r=64),
+        "doubling": lambda c: _published(c).ranks,
+    }
+
+
+def _table(text: Callable, shares: tuple[int, ...] = (64, 32, 16), limit: float = 60.0) -> Query:
+    """Prefixes of growing size by the three methods: seconds (censored at the limit), and how often faster the doubling is."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        whole, rows = text(spark, d), []
+        for share in shares:
+            c = corpus.prefix_of(whole, whole.n // share)
+            got = {name: metrics.timed(lambda make=make, c=c: make(c), limit) for name, make in _methods().items()}
+            rows += [(share, c.n, name, s, kept, metrics.megabytes_per_second(c, s), s / got["doubling"][0]) for name, (s, kept) in got.items()]
+        return spark.createDataFrame(rows, "share int, n long, method string, seconds double, within_limit boolean, megabytes_per_second double, doubling_speed_up double")
+
+    return run
+
+
+def _costs(spark: SparkSession, d: str) -> DataFrame:
+    """Shuffle, spill and CPU of the methods on a prefix of the nucleotides."""
+    c = _prefix(w.dna)(spark, d)
+    names = ("shuffle_written", "shuffle_read", "memory_spilled", "disk_spilled", "cpu_ns")
+    own = {name: metrics.stage_costs(spark, lambda make=make: make(c)) for name, make in {"bucketed_merge": lambda c: bucketed.build(c, kernel="merge"), "hybrid": lambda c: hybrid.build(c).ranks}.items()}
+    return spark.createDataFrame([(name, c.n, *(int(x[k]) for k in names)) for name, x in own.items()], "method string, n long, " + ", ".join(f"{k} long" for k in names))
+
+
+def _scale_out(spark: SparkSession, d: str) -> DataFrame:
+    """Speed-up of the merge kernel with more buckets, hence cores."""
+    c = _prefix(w.dna)(spark, d)
+    return spark.createDataFrame([(k, x) for k, x in metrics.scale_out(lambda r: bucketed.build(c, kernel="merge", r=r), (1, 2, 4)).items()], "buckets int, speed_up double")
+
+
 def _variants() -> dict[str, Callable[[corpus.Corpus], DataFrame]]:
     """All ways to a suffix array, by name: (rank, pos) of a text."""
     sorted_ = lambda **options: lambda c: bucketed.build(c, **options).select("rank", "pos")
@@ -205,9 +272,14 @@ def _variants() -> dict[str, Callable[[corpus.Corpus], DataFrame]]:
             out[f"doubling_{pairing}_{rerank}"] = doubled(pairing=pairing, rerank=rerank, active_only=False)
     out["doubling_active_set"] = doubled(active_only=True)
     out["doubling_literal_rounds"] = doubled(h0=1, rounds="paper", active_only=False)
+    out["doubling_published"] = lambda c: suffix_array.invert(_published(c).ranks)
     return out
 
 
+#: Variants that run over the whole texts; the others run over a prefix of each.
+WHOLE = ("merge", "histogram", "orderby", "refine_chunk_join")
+
+
 def _inverted(text: Callable) -> Query:
     """The text against the inverse of its transform: (n, rows, wrong)."""
 
@@ -230,7 +302,7 @@ def _entropy(spark: SparkSession, d: str) -> DataFrame:
 def _bigram_distance(spark: SparkSession, d: str) -> DataFrame:
     rows = w.items_rows(spark, d)
     pairs = rows.select(F.col("item_id").alias("a"), (F.col("item_id") + 1).alias("b"))
-    return features.distance(features.bwt_bigrams(rows, "item_id", "text"), "item_id", pairs)
+    return features.distance(features.bwt_bigrams(rows, "item_id", "text"), "item_id", pairs).withColumn("distance", F.round("distance", 6))
 
 
 def _all_bigram_distances(spark: SparkSession, d: str) -> DataFrame:
@@ -297,7 +369,7 @@ def queries() -> dict[str, Query]:
         "kmer_hash_lookup": _kmer_lookup,
         "bucket_property": _property,
         "bucket_lmax": _gaps,
-        "bucket_block_costs": lambda spark, d: metrics.block_costs(w.items(spark, d), 3, 16),
+        "bucket_block_costs": lambda spark, d: metrics.block_costs(w.items(spark, d), 3, 16).withColumn("touched", F.col("touched").cast("long")),
         "bucket_balance": lambda spark, d: metrics.balance(bucketed.partition(w.dna(spark, d), 8, 16)),
         "sa_naive": lambda spark, d: naive.suffix_array(w.items_rows(spark, d), "item_id", "text"),
         "bwt_rotations": lambda spark, d: naive.rotations_bwt(w.items_rows(spark, d), "item_id", "text"),
@@ -333,6 +405,8 @@ def queries() -> dict[str, Query]:
         "bwt_bigram_distance_all": _all_bigram_distances,
         "lcp_items": _lcp,
         "longest_repeat": _longest,
+        "longest_repeat_items": _longest_items,
+        "bwt_mtf_entropy_items": _items_entropy,
         "seq_events_bwt": lambda spark, d: bwt.per_row(w.event_sequences(spark, d), "user_id", "text"),
         "lineitem_flags_bwt": lambda spark, d: bwt.per_row(w.line_flags(spark, d), "l_suppkey", "text"),
         "conv_bwt": lambda spark, d: bwt.per_row(w.chats(spark, d), "conv_id", "text"),
@@ -362,8 +436,16 @@ def queries() -> dict[str, Query]:
     out["isa_doubling_active_set"] = _doubled_items(active_only=True)
     for name, text in (("english", w.english), ("dna", w.dna), ("proteins", w.proteins)):
         for variant, make in _variants().items():
-            out.setdefault(f"check_{name}_{variant}", _checked((text, make)))
-        out[f"check_{name}_inverse"] = _inverted(text)
+            if variant in WHOLE:
+                out.setdefault(f"check_{name}_{variant}", _checked((text, make)))
+        out[f"check_{name}_inverse"] = _inverted(_prefix(text))
+    for variant, make in _variants().items():
+        if variant not in WHOLE and f"check_dna_{variant}" not in out:
+            out[f"check_dna_part_{variant}"] = _checked((_prefix(w.dna), make))
+    out["isa_doubling_published"] = lambda spark, d: _published(w.items(spark, d)).ranks
+    out["sa_bucketed_suggested_k"] = _sorted_items(k="suggested")
+    out["table_dna"], out["table_proteins"], out["table_english"] = _table(w.dna), _table(w.proteins), _table(w.english, (64,))
+    out["stage_costs_dna"], out["scale_out_dna"] = _costs, _scale_out
     return out
 
 
@@ -451,11 +533,29 @@ def oracle_sql() -> dict[str, str]:
         "benchmark_only_words": f"SELECT word FROM {_SIX} WHERE word NOT IN (SELECT unnest(regexp_split_to_array(replace(text, '$', ''), '[^A-Za-z]+')) FROM documents WHERE lang = 'en')",
     }
     out["sa_search_passages"] = out["fm_count"]
+    steps = [f"l{i + 1} AS (SELECT rank, pos, suffix, above, lcp + CASE WHEN substr(suffix, (lcp + 1)::INTEGER, {1 << 16 - i}) = substr(above, (lcp + 1)::INTEGER, {1 << 16 - i}) AND length(above) >= lcp + {1 << 16 - i} THEN {1 << 16 - i} ELSE 0 END AS lcp FROM l{i})" for i in range(17)]
+    passages = f"WITH {_ITEM_SUFFIXES}, r AS (SELECT suffix, pos, row_number() OVER (ORDER BY suffix) - 1 AS rank FROM x), l0 AS (SELECT rank, pos, suffix, lag(suffix) OVER (ORDER BY rank) AS above, 0::BIGINT AS lcp FROM r), {', '.join(steps)}, l AS (SELECT * FROM l17)"
+    out["lcp_items"] = f"{passages} SELECT rank, pos, lcp FROM l"
+    out["longest_repeat_items"] = f"{passages} SELECT max(lcp) AS longest_repeat, (sum(length(suffix) - lcp))::BIGINT AS distinct_substrings FROM l"
+    out["bwt_mtf_entropy_items"] = f"{_ITEM_RANKS}, g AS (SELECT before, count(*)::DOUBLE AS c FROM r GROUP BY before), a AS (SELECT rank, before, lag(before) OVER (ORDER BY rank) AS prior FROM r) SELECT (SELECT sum(c) FROM g)::BIGINT AS n, round((SELECT log2(sum(c)) - sum(c * log2(c)) / sum(c) FROM g), 6) AS bits, count(*) FILTER (WHERE prior IS NULL OR prior <> before) AS runs FROM a"
+    splits = f"SELECT split, length(s) + 1 AS n, s FROM (SELECT (item_id % 4)::INTEGER AS split, string_agg(replace(text, '$', ''), chr(10) ORDER BY item_id) AS s FROM benchmark WHERE text IS NOT NULL GROUP BY split)"
+    out["sa_split_input"] = f"WITH t AS ({splits}), p AS (SELECT split, n, s, unnest(range(0, n)) AS pos FROM t), r AS (SELECT split, n, pos, row_number() OVER (PARTITION BY split ORDER BY substr(s, pos + 1)) - 1 AS rank FROM p) SELECT split, n, rank AS \"primary\" FROM r WHERE pos = 0"
+    out["bucket_block_costs"] = f"WITH {_ITEM_SUFFIXES}, m AS (SELECT pos, rpad(substr(suffix, 1, 3), 3, chr(1)) AS w, count(*) OVER () AS n FROM x), h AS (SELECT w, count(*) AS c FROM m GROUP BY w), b AS (SELECT w, coalesce(sum(c) OVER (ORDER BY w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM h), k AS (SELECT (before * 16 // n)::INTEGER AS bucket, pos, n FROM m JOIN b USING (w)), g AS (SELECT bucket, lead(pos, 1, n) OVER (PARTITION BY bucket ORDER BY pos) - pos AS gap FROM k) SELECT bucket, count(*) AS members, max(gap)::BIGINT AS l_max, (count(*) * (max(gap) + 2))::BIGINT AS touched FROM g GROUP BY bucket"
+    out["bwt_bigram_distance"] = f"WITH b AS ({rotated}), i AS (SELECT item_id, bwt, unnest(range(1, length(bwt))) AS i FROM b), c AS (SELECT item_id, substr(bwt, i, 2) AS pair, count(*) AS cnt FROM i GROUP BY ALL), s AS (SELECT item_id, pair, cnt / sum(cnt) OVER (PARTITION BY item_id) AS p FROM c), e AS (SELECT item_id AS a, item_id + 1 AS b, pair, p AS x, 0.0 AS y FROM s UNION ALL SELECT item_id - 1, item_id, pair, 0.0, p FROM s), f AS (SELECT a, b, pair, sum(x) AS x, sum(y) AS y FROM e GROUP BY ALL) SELECT a, b, round(sum(abs(x - y)) / 2, 6) AS distance FROM f WHERE a IN (SELECT item_id FROM benchmark) GROUP BY a, b"
+    whole = {"english": english, "dna": n_of(_mapped(w.NUCLEOTIDES)), "proteins": n_of(_mapped(w.AMINO_ACIDS))}
+    for name, sql in whole.items():
+        for variant in WHOLE:
+            out[f"check_{name}_{variant}"] = sql
+    part = f"WITH {_mapped(w.NUCLEOTIDES)}, l AS (SELECT (length(s) + 1) // {PART} + 1 AS n FROM e) SELECT n, n AS rows, n AS positions, 0 AS misplaced, 0 AS violations FROM l"
+    for name, e in (("english", _ENGLISH.split(", c AS")[0]), ("dna", _mapped(w.NUCLEOTIDES)), ("proteins", _mapped(w.AMINO_ACIDS))):
+        out[f"check_{name}_inverse"] = f"WITH {e}, l AS (SELECT (length(s) + 1) // {PART} + 1 AS n FROM e) SELECT n, n AS rows, 0 AS wrong FROM l"
     for name in queries():
         if name.startswith(("sa_bucketed_", "sa_mapreduce", "sa_hybrid")):
             out[name] = _SA
         elif name.startswith("isa_doubling_"):
             out[name] = _ISA
+        elif name.startswith("check_dna_part_"):
+            out[name] = part
     return out
 
 

@@ -2,32 +2,62 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
+_WRITTEN: list[str] = []
+
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; only where that is unset, as in tests, one of our own."""
+    """The folder in spark.checkpoint.dir; only where that is unset, as in tests, one in the warehouse, which a cluster shares, too."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
-        own = spark.sparkContext.getCheckpointDir()
-        folder = own or tempfile.mkdtemp(prefix="suffix-engine-")
+        folder = spark.sparkContext.getCheckpointDir() or f"{spark.conf.get('spark.sql.warehouse.dir')}/_intermediate"
     if spark.sparkContext.getCheckpointDir() is None:
         spark.sparkContext.setCheckpointDir(folder)
     return folder
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint: the rows are written once, and executors may be lost from then on."""
+    """Reliable checkpoint: the rows are written once, and executors may be lost from then on. Spark removes it with the DataFrame where
+    spark.cleaner.referenceTracking.cleanCheckpoints is set."""
     shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
+def new_path(spark: SparkSession, name: str) -> str:
+    """A folder of its own for a table, to be deleted by scratch or clear."""
+    _WRITTEN.append(f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}")
+    return _WRITTEN[-1]
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """The rows as a Parquet table in the shared folder, for wide rows and for reading single columns again."""
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    path = new_path(df.sparkSession, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def discard(spark: SparkSession, path: str) -> None:
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+def clear(spark: SparkSession, since: int = 0) -> None:
+    """Deletes the tables that written has made (from the given number on); no DataFrame that reads them may be used after this."""
+    for path in _WRITTEN[since:]:
+        discard(spark, path)
+    del _WRITTEN[since:]
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Deletes at its end what written has made inside: for work whose result is stored by then."""
+    before = len(_WRITTEN)
+    try:
+        yield
+    finally:
+        clear(spark, before)

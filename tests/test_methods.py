@@ -234,12 +234,78 @@ def test_splits_have_no_common_order(spark):
     assert len(out) == 3 and all(bwt.decode(r.bwt, r.primary).count("text") >= 1 for r in out)
 
 
-@pytest.mark.parametrize("variant", ["radix", "merge_chunk_join"])
-def test_variants_run_on_whole_texts(spark, variant):
+@pytest.mark.parametrize("name", ["dna_merge", "dna_part_radix", "dna_part_doubling_published"])
+def test_variants_run_on_experiment_texts(spark, name):
     known = queries.queries()
-    assert all(f"check_{text}_{v}" in known for text in ("english", "dna", "proteins") for v in [*queries._variants(), "inverse"])
-    row = known[f"check_dna_{variant}"](spark, "/root/testdata/sf0.001").first()
-    assert row.n == row.rows == row.positions > 100_000 and row.misplaced == row.violations == 0
+    assert all(f"check_{text}_{v}" in known for text in ("english", "dna", "proteins") for v in [*queries.WHOLE, "refine", "inverse"])
+    assert all(f"check_dna_{v}" in known or f"check_dna_part_{v}" in known for v in queries._variants())
+    row = known[f"check_{name}"](spark, "/root/testdata/sf0.001").first()
+    assert row.n == row.rows == row.positions > 20_000 and row.misplaced == row.violations == 0
+
+
+def test_published_doubling(small):
+    """From one symbol, a fixed number of rounds; reach doubles and groups never fall."""
+    result = queries._published(small)
+    assert ranks(result.ranks) == sa_of(TEXT)
+    assert len(result.rounds) == 2 + int(np.ceil(np.log2(small.n))) and [r.reach for r in result.rounds] == [1 << i for i in range(len(result.rounds))]
+    groups = [r.groups for r in result.rounds]
+    assert groups[0] == small.sigma and groups == sorted(groups) and groups[-1] == small.n
+    assert [r.groups for r in hybrid.build(small, k=1).rounds] == groups[: len(hybrid.build(small, k=1).rounds)]
+
+
+def test_a_run_is_stopped_at_the_cut_off(spark):
+    seconds, kept = metrics.timed(lambda: spark.range(10**13).selectExpr("sum(hash(id) % 7) as x"), 2)
+    assert (seconds, kept) == (2, False)
+    assert metrics.timed(lambda: spark.range(10), 60)[1]
+    with pytest.raises(Exception, match="no_such"):
+        metrics.timed(lambda: spark.range(10).selectExpr("no_such"), 60)
+
+
+def test_shuffle_and_scale_out_are_measured(spark, small):
+    costs = metrics.stage_costs(spark, lambda: spark.range(1000).repartition(4))
+    assert costs["shuffle_written"] > 0 and costs["cpu_ns"] > 0 and costs["disk_spilled"] == 0
+    assert metrics.stage_costs(spark, lambda: spark.range(10))["shuffle_written"] == 0
+    assert metrics.scale_out(lambda r: bucketed.build(small, r=r), (1, 2))[1] == 1
+
+
+def test_chunks_of_a_bucket_follow_its_blocks(spark):
+    """With joined chunks no bucket reads further than its widest gap and k behind a member, whatever the text repeats, and the transform is whole."""
+    r = random.Random(3)
+    passage = "".join(r.choice("acgt") for _ in range(900))
+    text = "".join(r.choice("acgt") for _ in range(3000)) + passage + "x" * 50 + passage
+    c = corpus.literal(spark, text)
+    rows = bucketed.partition(c, 2, 4, "histogram")
+    size = 64
+    need = {(x.bucket, x.chunk) for x in bucketed.chunks_needed(cut(rows), c.n, 2, "gap_rename", size).collect()}
+    own = {}
+    for x in rows.collect():
+        own.setdefault(x.bucket, []).append(x.pos)
+    for b, pos in own.items():
+        reach = partial.max_gap(np.array(pos), c.n) + 2
+        assert {k for x, k in need if x == b} == {k for p in pos for k in range(max(p - 1, 0) // size, min(p + reach, c.n - 1) // size + 1)}
+    old = bucketed.CHUNK_SYMBOLS
+    try:
+        bucketed.CHUNK_SYMBOLS = size
+        for kernel in partial.KERNELS:
+            built = bucketed.build(c, k=2, r=4, kernel=kernel, splitters="histogram", reader="chunk_join")
+            assert positions(built) == sa_of(text)
+            assert [r.code for r in built.orderBy("rank").collect()] == [r.code for r in bwt.from_suffix_array(built.select("rank", "pos"), c).orderBy("rank").collect()]
+    finally:
+        bucketed.CHUNK_SYMBOLS = old
+
+
+def test_tables_written_inside_scratch_go(spark):
+    import os
+
+    from suffix_engine import session
+
+    kept = session.written(spark.range(3), "kept")
+    with session.scratch(spark):
+        inside = session.written(spark.range(3), "inside").inputFiles()[0]
+    path = kept.inputFiles()[0].removeprefix("file:")
+    assert not os.path.exists(inside.removeprefix("file:")) and os.path.exists(path)
+    session.clear(spark)
+    assert not os.path.exists(path)
 
 
 def test_searches_go_on_above_the_broadcast_bound(spark, monkeypatch):
