@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Bytes of text aimed at for a block, and bundles that it sends at most.
-BLOCK_BYTES, FAN = 16 << 20, 8192
+BLOCK_BYTES, FAN = 12 << 20, 8192
 #: Stands for a null document id: it sorts after all others.
 NO_ID = np.int64(2**63 - 1)
 
@@ -162,6 +162,19 @@ def spread(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
     return np.repeat(starts - (ends - lengths), lengths) + np.arange(int(ends[-1]) if len(ends) else 0)
 
 
+def gathered(raw: bytes, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """The bytes of all ranges, one range after another, without an index of every byte."""
+    return np.frombuffer(b"".join([raw[a:z] for a, z in zip(begin.tolist(), end.tolist(), strict=True)]), np.uint8)
+
+
+def portions(batch: pa.RecordBatch, column: str, most: int) -> Iterator[pa.RecordBatch]:
+    """A batch by rows of about that many bytes in a column, one row at least."""
+    size = pc.fill_null(pc.binary_length(batch[column].cast(pa.large_binary())), 0).to_numpy(zero_copy_only=False)
+    part = np.cumsum(size) // most
+    for i, j in runs_in(part):
+        yield batch.slice(i, j - i)
+
+
 @dataclass
 class Items:
     """What is asked, an entry for each item: its bucket, columns of numbers, and bytes of any length."""
@@ -176,7 +189,7 @@ class Items:
 
     def taken(self, at: np.ndarray) -> Items:
         begin = np.cumsum(self.size) - self.size
-        data = self.data[spread(begin[at], self.size[at])] if len(self.data) else self.data
+        data = gathered(self.data.tobytes(), begin[at], begin[at] + self.size[at]) if len(self.data) else self.data
         return Items(self.bucket[at], [c[at] for c in self.columns], self.size[at], data)
 
     def between(self, i: int, j: int) -> Items:

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import BLOCK_BYTES, Docs, Items, Kernel, block_count, exchange, mix, numbered, own_columns, range_hashes, spread, text_bytes
+from suffix_engine.llm.blocks import BLOCK_BYTES, Docs, Items, Kernel, block_count, exchange, gathered, mix, numbered, own_columns, portions, range_hashes, spread, text_bytes
 
 #: Bytes of pieces under one minimiser from which on it is avoided; one of so many contents is counted for that, in rounds.
 HOT_BYTES, ONE_OF, HOT_ROUNDS = BLOCK_BYTES // 4, 256, 3
@@ -67,7 +67,8 @@ class SegmentKernel(Kernel):
 
     def items(self, docs, n_buckets):
         r = self.runs(docs)
-        number, holder = numbered(r.bytes.tobytes(), r.begin, r.end)
+        raw = r.bytes.tobytes()
+        number, holder = numbered(raw, r.begin, r.end)
         bucket = (mix(r.key[holder]) % np.uint64(n_buckets)).astype(np.int64)
         # the items of a bucket stand in order of their place: ids and starts then compress well
         rank = np.argsort(bucket, kind="stable")
@@ -76,7 +77,7 @@ class SegmentKernel(Kernel):
         own = holder[rank]
         size = r.end[own] - r.begin[own]
         columns = [r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[r.doc[own]].view(np.uint64), r.start[own].astype(np.uint32), r.key[own]]
-        return Items(bucket[rank], columns, size, r.bytes[spread(r.begin[own], size)]), Known(r, place[number], own)
+        return Items(bucket[rank], columns, size, gathered(raw, r.begin[own], r.end[own])), Known(r, place[number], own)
 
     def answers(self, items):
         return items.columns[0].astype(np.int64)
@@ -88,7 +89,8 @@ class SegmentKernel(Kernel):
         # equal pieces of several blocks: all that come later than the first are covered whole
         some = np.flatnonzero(_shared(key))
         order = some[np.lexsort((start[some], doc[some]))]
-        number, first = numbered(data.tobytes(), begin[order], begin[order + 1])
+        raw = data.tobytes()
+        number, first = numbered(raw, begin[order], begin[order + 1])
         own = order[first]
         of = own[number]
         later = doc[order] > doc[of] if self.by_document else (doc[order] > doc[of]) | (start[order] > start[of])
@@ -97,7 +99,7 @@ class SegmentKernel(Kernel):
         left = own[many][np.argsort(key[own[many]], kind="stable")]
         for i, j in _batches(key[left], items.size[left]):
             k = left[i:j]
-            got = self.mark(data[spread(begin[k], items.size[k])], np.r_[0, np.cumsum(items.size[k])], count[k], doc[k], start[k])
+            got = self.mark(gathered(raw, begin[k], begin[k + 1]), np.r_[0, np.cumsum(items.size[k])], count[k], doc[k], start[k])
             flags[spread(window[k], count[k])] = got
         # what holds for the first of equal pieces holds for one at the same place, too
         same = ~later & (order != of)
@@ -152,7 +154,7 @@ def hot_minimisers(docs: DataFrame, kernel: SegmentKernel, hot_bytes: int, one_o
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part for whole in batches for part in portions(whole, "text", BLOCK_BYTES // 4)):
             r = kernel.runs(Docs(pa.Table.from_batches([batch])))
             # the content's hash need not be exact here: its ends, its middle and its length
             ends = [range_hashes(r.bytes, a, a + 8) for a in (r.begin, (r.begin + r.end) // 2 - 4, r.end - 8)]
