@@ -16,12 +16,14 @@ from suffix_engine.llm.features import CLASSES, class_shares, word_slots
 from suffix_engine.llm.quality import _buffer
 from suffix_engine.session import written
 
-#: The labelled table's domains, and by what their expected shares of tokens are multiplied for the default targets; the first takes the rest.
+#: The labelled table's domains, and the share of all tokens that the production mix takes of each at most: a domain within its share keeps
+#: what it has, so that nothing is weighed up for being scarce. The first domain takes the rest.
 DOMAINS = ("good", "poor", "toxic")
-FACTORS = (1.0, 0.5, 0.5)
-#: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses; rounds of the
+AT_MOST = (1.0, 0.05, 0.01)
+#: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses, and how many it uses at most (those
+#: with the greatest values); rounds of the
 #: descent, and the part of its own target by which a domain may miss it; what a target of 0 may be missed by.
-SLOTS, MOST_LABELLED, TELLING = 1 << 14, 9000, 4.5
+SLOTS, MOST_LABELLED, TELLING, MOST_TELLING = 1 << 14, 9000, 4.5, 2048
 ROUNDS, PRECISION, NOTHING = 40, 1e-3, 1e-6
 #: Added to the posteriors' second moments: the descent approaches domains of which there is hardly any in small steps, so that its
 #: first ones don't overshoot on noise in their posteriors. What it is slow at is left to settle.
@@ -56,7 +58,7 @@ def domain(quality, toxic):
 
 def fit(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, steps: int = 200, rate: float = 0.03, decay: float = 1e-3) -> DomainModel:
     """A linear classifier over telling words and byte classes, fitted on the labelled documents with the least hashes of their ids
-    (most of them at most, which bounds what comes to the driver). Labels with a null count for nothing."""
+    (most of them at most, which bounds what comes to the driver; of rows that repeat an id, one). Labels with a null count for nothing."""
     marked = labels.select("doc_id", domain(F.col("quality"), F.col("toxic")).alias("y")).where("y is not null and doc_id is not null")
     own = marked.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id", F.lit(29)), "doc_id").limit(most)
     joined = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(own), "doc_id")
@@ -69,16 +71,15 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, steps: in
             shares = class_shares(d.bytes, d.bounds).astype(np.float16)
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["y"], pa.array([slot[i:j].astype(np.uint16).tobytes() for i, j in zip(edge[:-1], edge[1:], strict=True)], pa.binary()), pa.array([x.tobytes() for x in shares], pa.binary())], ["doc_id", "y", "slots", "shares"])
 
-    got = sorted(joined.mapInArrow(run, "doc_id long, y int, slots binary, shares binary").collect(), key=lambda r: (r["doc_id"], bytes(r["slots"])))
+    one = joined.mapInArrow(run, "doc_id long, y int, slots binary, shares binary").groupBy("doc_id").agg(F.min(F.struct("y", "slots", "shares")).alias("x"))
+    got = [r["x"] for r in sorted(one.collect(), key=lambda r: r["doc_id"])]
     n, k = len(got), len(DOMAINS)
     y = np.array([r["y"] for r in got], np.int64)
-    words = np.zeros((n, SLOTS), bool)
-    for i, r in enumerate(got):
-        words[i, np.frombuffer(r["slots"], np.uint16)] = True
+    words = [np.frombuffer(r["slots"], np.uint16).astype(np.int64) for r in got]
     slots = _telling(words, y)
     x = np.zeros((n, len(slots) + CLASSES), np.float32)
-    x[:, : len(slots)] = words[:, slots]
     for i, r in enumerate(got):
+        x[i, np.flatnonzero(np.isin(slots, words[i]))] = 1
         x[i, len(slots) :] = np.frombuffer(r["shares"], np.float16)
     if not n:
         return DomainModel(slots, np.zeros(CLASSES, np.float32), np.ones(CLASSES, np.float32), np.zeros((CLASSES + 1, k), np.float32))
@@ -96,22 +97,24 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, steps: in
     return DomainModel(slots, mean, scale, w)
 
 
-def _telling(words: np.ndarray, y: np.ndarray) -> np.ndarray:
+def _telling(words: list[np.ndarray], y: np.ndarray) -> np.ndarray:
     """Slots whose share of documents differs between a domain and the rest."""
-    use = np.zeros(words.shape[1], bool)
+    value = np.zeros(SLOTS)
+    held = lambda which: np.bincount(np.concatenate([np.zeros(0, np.int64), *(words[i] for i in np.flatnonzero(which))]), minlength=SLOTS)
     for k in range(len(DOMAINS)):
         inside = y == k
         if not inside.any() or inside.all():
             continue
-        a, b, na, nb = words[inside].sum(0), words[~inside].sum(0), inside.sum(), (~inside).sum()
+        a, b, na, nb = held(inside), held(~inside), inside.sum(), (~inside).sum()
         p = (a + b) / (na + nb)
         z = (a / na - b / nb) / np.sqrt(p * (1 - p) * (1 / na + 1 / nb) + 1e-9)
-        use |= (np.abs(z) > TELLING) & (a + b >= 5)
-    return np.flatnonzero(use)
+        value = np.maximum(value, np.where(a + b >= 5, np.abs(z), 0))
+    best = np.argsort(-value, kind="stable")[:MOST_TELLING]
+    return np.sort(best[value[best] > TELLING])
 
 
-def with_posteriors(docs: DataFrame, model: DomainModel, text: str = "text") -> DataFrame:
-    """All rows and columns of docs, with n_tokens (words) and posteriors; an empty text has no tokens."""
+def with_posteriors(docs: DataFrame, model: DomainModel, text: str = "text", keep_text: bool = True) -> DataFrame:
+    """All rows and columns of docs (the text only if it is to be kept), with n_tokens (words) and posteriors; an empty text has no tokens."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -121,9 +124,10 @@ def with_posteriors(docs: DataFrame, model: DomainModel, text: str = "text") ->
                 bounds = d.bounds[i : i + _ROWS + 1]
                 parts.append(shared.value.posteriors(d.bytes[bounds[0] : bounds[-1]], bounds - bounds[0]))
             p, n = (np.concatenate(x) for x in zip(*parts, strict=True))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(n, pa.int64()), pa.array(list(p), pa.list_(pa.float64()))], [*batch.schema.names, "n_tokens", "posteriors"])
+            yield pa.RecordBatch.from_arrays([*(batch[c] for c in names), pa.array(n, pa.int64()), pa.array(list(p), pa.list_(pa.float64()))], [*names, "n_tokens", "posteriors"])
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("n_tokens", T.LongType()), T.StructField("posteriors", T.ArrayType(T.DoubleType()))]))
+    names = [c for c in docs.columns if keep_text or c != text]
+    return docs.mapInArrow(run, T.StructType([*(docs.schema[c] for c in names), T.StructField("n_tokens", T.LongType()), T.StructField("posteriors", T.ArrayType(T.DoubleType()))]))
 
 
 def _rates(p: np.ndarray, steps: np.ndarray) -> np.ndarray:
@@ -170,8 +174,9 @@ class _Sums:
         return self.known[key]
 
 
-def _default_targets(totals: np.ndarray) -> np.ndarray:
-    targets = totals / totals.sum() * FACTORS
+def targets_within(totals: np.ndarray, at_most=AT_MOST) -> np.ndarray:
+    """Target shares: what each domain has, but no more than its bound; the first domain takes what the others leave."""
+    targets = np.minimum(totals / totals.sum(), at_most)
     targets[0] += 1 - targets.sum()
     return targets
 
@@ -186,7 +191,7 @@ def descend(scored: DataFrame | _Sums, targets=None, rounds: int = ROUNDS, preci
 
     Weighting by the inverse second moment of the posteriors makes the step 1 safe and the pace even in all domains. A document's
     rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates. Without targets, those
-    of FACTORS hold: fixed shares could ask for more of a domain than there is, and weigh up what merely resembles it. It ends when
+    of AT_MOST hold. It ends when
     every domain is within precision of its own target, after the rounds, or when a round leaves more than pace of the worst miss.
     """
     k = len(DOMAINS)
@@ -195,7 +200,7 @@ def descend(scored: DataFrame | _Sums, targets=None, rounds: int = ROUNDS, preci
     tokens = totals.sum()
     if tokens <= 0:
         return steps
-    targets = _default_targets(totals) if targets is None else np.asarray(targets, float)
+    targets = targets_within(totals) if targets is None else np.asarray(targets, float)
     weight, before = np.linalg.inv(moment / tokens + RIDGE * np.eye(k)), np.inf
     for _ in range(rounds):
         residual = totals / tokens - targets
@@ -256,34 +261,50 @@ def with_rates(scored: DataFrame, steps: np.ndarray) -> DataFrame:
     return scored.withColumn("rate", F.aggregate(array, rate, lambda r, s: F.greatest(F.lit(0.0), r - dot(s))))
 
 
-def mix(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
-    """All columns of docs, n_tokens, posteriors of DOMAINS and rate: how often each document is to be taken, on average.
+@dataclass
+class Plan:
+    """Steps that give each document its rate, the target shares of tokens, those reached, and whether each is met within PRECISION of itself."""
 
-    Targets are shares of all tokens of docs (None: by FACTORS), each met within PRECISION of itself. Targets that the documents can't meet
-    with rates from 0 on are met as nearly as least squares allow, with a warning that tells by how much. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of their own.
-    """
-    model = fit(docs, labels)
-    rest = [c for c in docs.columns if c not in ("n_tokens", "posteriors", "rate")]
-    scored = with_posteriors(docs.select(rest), model)
-    return with_rates(scored, _steps(written(scored.select("n_tokens", "posteriors"), "posteriors"), targets))
+    steps: np.ndarray
+    targets: np.ndarray
+    reached: np.ndarray
+    met: bool
 
 
-def _steps(scored: DataFrame, targets=None) -> np.ndarray:
-    """The descent while it is quick, then what it left; the whole descent where the targets can't be met."""
+def plan(scored: DataFrame, targets=None) -> Plan:
+    """The descent while it is quick, then what it left; the whole descent, and a warning, where the targets can't be met."""
     sums, steps = _Sums(scored), np.zeros((0, len(DOMAINS)))
     totals = sums(steps)[0]
     if totals.sum() <= 0:
-        return steps
-    targets = _default_targets(totals) if targets is None else np.asarray(targets, float)
+        return Plan(steps, np.zeros(len(DOMAINS)), np.zeros(len(DOMAINS)), True)
+    targets = targets_within(totals) if targets is None else np.asarray(targets, float)
     steps, shares = settle(sums, descend(sums, targets, pace=0.5), targets)
-    if _miss(shares - targets, targets, PRECISION) > 1:
+    met = _miss(shares - targets, targets, PRECISION) <= 1
+    if not met:
         steps = descend(sums, targets)
         shares = sums(steps)[0] / totals.sum()
         unmet = ", ".join(f"{d} {x:.3g} of {t:.3g}" for d, x, t in zip(DOMAINS, shares, targets, strict=True))
         warnings.warn(f"targets not met, shares of tokens reached: {unmet}", stacklevel=2)
-    return steps
+    return Plan(steps, targets, shares, met)
+
 
+def mix(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
+    """All columns of docs, n_tokens, posteriors of DOMAINS, rate (how often each document is to be taken, on average) and targets_met.
 
-def mixing_rates(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    out = mix(docs.select("doc_id", "text"), labels)
-    return out.select("doc_id", "n_tokens", *(F.get("posteriors", F.lit(i)).alias(f"p_{d}") for i, d in enumerate(DOMAINS)), "rate")
+    Targets are shares of all tokens of docs (None: what there is, within AT_MOST), each met within PRECISION of itself. Targets that the
+    documents can't meet with rates from 0 on are met as nearly as least squares allow; targets_met is then false in all rows, and a warning tells by
+    how much. Every text is scored once. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of
+    their own. Columns of docs with the names of the new ones are replaced. An empty table gives an empty result.
+    """
+    rest = [c for c in docs.columns if c not in ("n_tokens", "posteriors", "rate", "targets_met")]
+    scored = written(with_posteriors(docs.select(rest), fit(docs, labels)), "posteriors")
+    found = plan(scored.select("n_tokens", "posteriors"), targets)
+    return with_rates(scored, found.steps).withColumn("targets_met", F.lit(found.met))
+
+
+def mixing_rates(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
+    """doc_id, n_tokens, the posteriors, rate and targets_met of each row of docs; other columns aren't read. Cases as in mix."""
+    scored = written(with_posteriors(docs.select("doc_id", F.col("text").cast("string").alias("text")), fit(docs, labels), keep_text=False), "posteriors")
+    found = plan(scored.select("n_tokens", "posteriors"), targets)
+    out = with_rates(scored, found.steps).withColumn("targets_met", F.lit(found.met))
+    return out.select("doc_id", "n_tokens", *(F.get("posteriors", F.lit(i)).alias(f"p_{d}") for i, d in enumerate(DOMAINS)), "rate", "targets_met")

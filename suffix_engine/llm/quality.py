@@ -69,6 +69,36 @@ def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps:
     return Model(mean.astype(np.float32), scale.astype(np.float32), weights, float(w[-1]), prior)
 
 
+def estimated_prior(positive: np.ndarray, unlabelled: np.ndarray, steps: int = 150, least: float = 0.3) -> float:
+    """The share of positives among unlabelled texts, from these two samples alone.
+
+    Positives against unlabelled texts is a task without negatives; where its scores are high there are hardly any, so the
+    share of unlabelled texts there over that of positives comes down to the prior. The least such ratio is taken, over regions that hold
+    at least that share of the positives. Each half of the texts is scored by what the other half taught.
+    """
+    if len(positive) < 2 or len(unlabelled) < 2:
+        return 0.5
+    mean, scale = unlabelled.mean(0), unlabelled.std(0) + np.float32(0.02)
+    p, u = (np.clip((x - mean) / scale, -5, 5) for x in (positive, unlabelled))
+    scores: list[list[np.ndarray]] = [[], []]
+    for half in (0, 1):
+        a = np.vstack([p[half::2], u[half::2]])
+        y = np.r_[np.ones(len(p[half::2])), np.zeros(len(u[half::2]))].astype(np.float32)
+        weight = np.where(y > 0, 0.5 / max(y.sum(), 1), 0.5 / max((1 - y).sum(), 1)).astype(np.float32)
+        w, first, second = np.zeros(a.shape[1] + 1, np.float32), 0.0, 0.0
+        for t in range(1, steps + 1):
+            d = weight * (_sigmoid(a @ w[:-1] + w[-1]) - y)
+            g = np.append(a.T @ d + 1e-3 * w[:-1], d.sum())
+            first, second = 0.9 * first + 0.1 * g, 0.999 * second + 0.001 * g * g
+            w -= (0.01 * (first / (1 - 0.9**t)) / (np.sqrt(second / (1 - 0.999**t)) + 1e-8)).astype(np.float32)
+        for out, x in zip(scores, (p[1 - half :: 2], u[1 - half :: 2]), strict=True):
+            out.append(x @ w[:-1] + w[-1])
+    sp, su = np.sort(np.concatenate(scores[0])), np.sort(np.concatenate(scores[1]))
+    at = sp[: max(1, int((1 - least) * len(sp)))]
+    above = lambda s, t: 1 - np.searchsorted(s, t) / len(s)
+    return float(np.clip((above(su, at) / above(sp, at)).min(), 0.01, 0.99))
+
+
 def _buffer(batch: pa.RecordBatch, text: str) -> Docs:
     """The texts of a batch in their own order."""
     n = batch.num_rows
@@ -82,7 +112,7 @@ def _features(batch: pa.RecordBatch, text: str) -> Iterator[np.ndarray]:
 
 
 def sampled_features(docs: DataFrame, ids: DataFrame, n_ids: int) -> tuple[list, np.ndarray]:
-    """Rows of ids (doc_id and others) and the features of their documents; n_ids bounds what comes to the driver."""
+    """Rows of ids (doc_id and others) and the features of their documents, of rows that repeat an id one; n_ids bounds what comes to the driver."""
     assert n_ids <= 100_000
     names = ids.columns
     joined = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(ids.hint("broadcast")), "doc_id")
@@ -93,16 +123,15 @@ def sampled_features(docs: DataFrame, ids: DataFrame, n_ids: int) -> tuple[list,
             yield pa.RecordBatch.from_arrays([batch[c] for c in names] + [pa.array(rows, pa.binary())], [*names, "x"])
 
     schema = T.StructType([*ids.schema.fields, T.StructField("x", T.BinaryType())])
-    got = sorted(joined.mapInArrow(run, schema).collect(), key=lambda r: (r["doc_id"], bytes(r["x"])))
+    one = joined.mapInArrow(run, schema).groupBy(*names).agg(F.min("x").alias("x"))
+    got = sorted(one.collect(), key=lambda r: (r["doc_id"], bytes(r["x"])))
     return got, np.array([np.frombuffer(r["x"], np.float16) for r in got], np.float32)
 
 
 def fit(docs: DataFrame, labels: DataFrame, most_positive: int = MOST_POSITIVE, most_unlabelled: int = MOST_UNLABELLED) -> Model:
-    """Trusted positives: rows of the fold with label 1. Unlabelled: any rows of documents in the fold. The prior is the smoothed
-    share of label 1 in the fold. Both samples are the ids with the least hashes, so they don't depend on the order of rows."""
-    fold = labels.where(~held_out(F.col("doc_id")) & F.col("quality").isNotNull() & F.col("doc_id").isNotNull())
-    ones, n = fold.agg(F.coalesce(F.sum(F.when(F.col("quality") == 1, 1).otherwise(0)), F.lit(0)), F.count(F.lit(1))).first()
-    prior = (ones + 1) / (n + 2)
+    """Trusted positives: rows of the fold with label 1; no label 0 is read. Unlabelled: any documents of the fold. The prior is estimated from
+    these two. Both samples are the ids with the least hashes, so they don't depend on the order of rows."""
+    fold = labels.where(~held_out(F.col("doc_id")) & F.col("doc_id").isNotNull())
     order = F.xxhash64("doc_id", F.lit(17))
     p = fold.where("quality = 1").select("doc_id").distinct().orderBy(order).limit(most_positive).withColumn("positive", F.lit(True))
     u = docs.where(F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id").distinct().orderBy(order).limit(most_unlabelled).withColumn("positive", F.lit(False))
@@ -110,22 +139,26 @@ def fit(docs: DataFrame, labels: DataFrame, most_positive: int = MOST_POSITIVE,
     kind = np.array([r["positive"] for r in rows], bool)
     if not len(rows):
         x = np.zeros((0, shape_features(np.zeros(0, np.uint8), np.zeros(2, np.int64)).shape[1]), np.float32)
-    return fit_nnpu(x[kind], x[~kind], prior)
+    return fit_nnpu(x[kind], x[~kind], estimated_prior(x[kind], x[~kind]))
 
 
-def with_score(docs: DataFrame, model: Model, text: str = "text", score: str = "score") -> DataFrame:
-    """All columns and rows of docs and the score of its text: the estimated probability of label 1. Null and empty texts
-    score as texts without any feature. Only the text is an input of the score."""
+def with_score(docs: DataFrame, model: Model, text: str = "text", score: str = "score", keep_text: bool = True) -> DataFrame:
+    """All rows and columns of docs (the text only if it is to be kept) and the score of its text: the estimated probability of label 1. Null and empty texts
+    score as texts without any feature. Only the text is an input of the score. A column with the score's name is replaced."""
+    docs = docs.select([c for c in docs.columns if c != score])
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         for batch in batches:
             s = np.concatenate([np.zeros(0)] + [shared.value.score(x) for x in _features(batch, text)])
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(s, pa.float64())], [*batch.schema.names, score])
+            yield pa.RecordBatch.from_arrays([*(batch[c] for c in names), pa.array(s, pa.float64())], [*names, score])
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(score, T.DoubleType())]))
+    names = [c for c in docs.columns if keep_text or c != text]
+    return docs.mapInArrow(run, T.StructType([*(docs.schema[c] for c in names), T.StructField(score, T.DoubleType())]))
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    out = with_score(docs.select("doc_id", "text"), fit(docs, labels))
+    """doc_id, held_out, score and predicted of each row, repeated ones too; other columns aren't read. An empty table gives an empty
+    result; without any positive or unlabelled text in the fold, all scores are one half."""
+    out = with_score(docs.select("doc_id", F.col("text").cast("string").alias("text")), fit(docs, labels), keep_text=False)
     return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
