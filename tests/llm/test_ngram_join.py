@@ -86,3 +86,10 @@ def test_hub_first_finds_the_same_components():
                     a, b = root[i], root[j]
                     root = [b if x == a else x for x in root]
         assert len({(int(p), q) for p, q in zip(part, root, strict=True)}) == len(set(part.tolist())) == len(set(root))
+
+
+def test_long_texts_and_ties(spark):
+    long = " ".join(f"w{i % 4999}" for i in range(100_000))
+    rows = [(2, long), (9, long + " end"), (5, "z " + long), (7, "x " * 50_000), (8, "x " * 3)]
+    got = result(ngram_join.components(spark.createDataFrame([(*r, "k") for r in rows], "doc_id long, text string, component_id string")))
+    assert got == brute.jaccard_components(rows)

@@ -182,3 +182,50 @@ def test_given_pages(spark):
     for r in got:
         host, path, rule, verdict = rule_of(rows[r.page_id])
         assert (r.host, r.path, r.rule) == (host, path, rule) and r.verdict in ("allow", "block") and (verdict is None or r.verdict == verdict)
+
+
+def plain_png(stored):
+    """Samples of an 8-bit grey image by the public format alone, with all five row filters."""
+    assert stored[:8] == bytes([137, 80, 78, 71, 13, 10, 26, 10])
+    at, body, head = 8, b"", None
+    while at < len(stored):
+        size = int.from_bytes(stored[at : at + 4], "big")
+        kind, data = stored[at + 4 : at + 8], stored[at + 8 : at + 8 + size]
+        assert zlib.crc32(kind + data) == int.from_bytes(stored[at + 8 + size : at + 12 + size], "big")
+        head, body = (data if kind == b"IHDR" else head), body + (data if kind == b"IDAT" else b"")
+        at += 12 + size
+    width, height = int.from_bytes(head[:4], "big"), int.from_bytes(head[4:8], "big")
+    assert head[8:] == bytes([8, 0, 0, 0, 0])
+    raw, above, out = zlib.decompress(body), bytes(width), bytearray()
+    for y in range(height):
+        kind, row = raw[y * (width + 1)], bytearray(raw[y * (width + 1) + 1 : (y + 1) * (width + 1)])
+        for x in range(width):
+            a, b, c = row[x - 1] if x else 0, above[x], above[x - 1] if x else 0
+            near = min((abs(b - c), 0, a), (abs(a - c), 1, b), (abs(a + b - 2 * c), 2, c))[2]
+            row[x] = (row[x] + (0, a, b, (a + b) // 2, near)[kind]) % 256
+        above = bytes(row)
+        out += above
+    return bytes(out)
+
+
+def test_stored_media_are_images_of_the_public_format():
+    for payload in (b"\0" * 64, bytes(range(256)) * 2, "é\n".encode() * 64):
+        assert plain_png(media.encode_image(payload)) == payload == media.decode_image(media.encode_image(payload))
+
+
+def test_sequences_of_given_pages(spark):
+    """Titles, headings and paragraphs come in the order of the page, without scripts and styles."""
+    pages = spark.read.parquet(f"{SF}/pages.parquet")
+    html = {r.page_id: r.html for r in pages.collect()}
+    for r in media.sequences(pages, "page_id", "html").collect():
+        texts = [x.text for x in r.sequence if x.kind == "text"]
+        assert [x.pos for x in r.sequence] == list(range(len(r.sequence))) and texts
+        assert not any("track(" in t or "margin:0" in t for t in texts)
+        title = html[r.page_id].split("<title>")[1].split("</title>")[0] if "<title>" in html[r.page_id] else None
+        assert title is None or "&" in title or texts[0] == " ".join(title.split())
+
+
+def test_token_counts_of_repeated_rows_and_clashing_columns(spark):
+    docs = spark.createDataFrame([(1, "two words", 5, "x")] * 2 + [(None, None, None, None)], "doc_id long, text string, n_tokens int, n_bytes string")
+    got = sorted((r.n_bytes, r.n_tokens) for r in tokens.token_report(docs, public_tokenizers.path("byte_bpe_50k.json")).collect())
+    assert got[0] == (0, 0) and got[1] == got[2] and got[1][0] == 9
