@@ -16,10 +16,10 @@ from suffix_engine.llm.features import CLASSES, class_shares, word_slots
 from suffix_engine.llm.quality import _buffer
 from suffix_engine.session import written
 
-#: The labelled table's domains, and the share of all tokens that the production mix takes of each at most: a domain within its share keeps
-#: what it has, so that nothing is weighed up for being scarce. The first domain takes the rest.
+#: The labelled table's domains, and the share of all tokens that the production mix takes of each at most. Domains within their bound keep
+#: their proportions, so that nothing is weighed up for being scarce.
 DOMAINS = ("good", "poor", "toxic")
-AT_MOST = (1.0, 0.05, 0.01)
+AT_MOST = (1.0, 0.05, 0.05)
 #: Hashed words; bound of the labelled sample; least test value of a word that the classifier uses, and how many it uses at most (those
 #: with the greatest values); rounds of the
 #: descent, and the part of its own target by which a domain may miss it; what a target of 0 may be missed by.
@@ -162,23 +162,39 @@ def _totals(scored: DataFrame, steps: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 class _Sums:
-    """The totals of a table under any steps, each computed once."""
+    """The totals of a table under any steps, each computed once. Domains may be taken together: merged has a row for each domain and
+    a column with a 1 for each group of them, and steps, totals and moments are those of groups."""
 
-    def __init__(self, scored: DataFrame):
+    def __init__(self, scored: DataFrame, merged: np.ndarray | None = None):
         self.scored, self.known = scored, {}
+        self.merged = np.eye(len(DOMAINS)) if merged is None else merged
+        self.k = self.merged.shape[1]
 
     def __call__(self, steps: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
-        key = steps.tobytes()
+        own = steps @ self.merged.T
+        key = own.tobytes()
         if key not in self.known:
-            self.known[key] = _totals(self.scored, steps)
-        return self.known[key]
-
-
-def targets_within(totals: np.ndarray, at_most=AT_MOST) -> np.ndarray:
-    """Target shares: what each domain has, but no more than its bound; the first domain takes what the others leave."""
-    targets = np.minimum(totals / totals.sum(), at_most)
-    targets[0] += 1 - targets.sum()
-    return targets
+            self.known[key] = _totals(self.scored, own)
+        totals, moment, norm = self.known[key]
+        return totals @ self.merged, self.merged.T @ moment @ self.merged, norm
+
+    def grouped(self, merged: np.ndarray) -> _Sums:
+        out = _Sums(self.scored, merged)
+        out.known = self.known
+        return out
+
+
+def over_bounds(totals: np.ndarray, at_most=AT_MOST) -> np.ndarray:
+    """Which domains must come down to their bounds, also after the others have taken what is left in the proportions that they have."""
+    shares, bounds = totals / totals.sum(), np.asarray(at_most, float)
+    over = np.zeros(len(shares), bool)
+    while not over.all():
+        targets = shares * (1 - bounds[over].sum()) / max(shares[~over].sum(), 1e-300)
+        more = ~over & (targets > bounds)
+        if not more.any():
+            break
+        over |= more
+    return over if not over.all() else np.zeros(len(shares), bool)
 
 
 def _miss(residual: np.ndarray, targets: np.ndarray, precision: float) -> float:
@@ -186,21 +202,21 @@ def _miss(residual: np.ndarray, targets: np.ndarray, precision: float) -> float:
     return float((np.abs(residual) / np.where(targets > 0, precision * targets, NOTHING)).max())
 
 
-def descend(scored: DataFrame | _Sums, targets=None, rounds: int = ROUNDS, precision: float = PRECISION, pace: float | None = None) -> np.ndarray:
+def descend(scored: DataFrame | _Sums, targets, rounds: int = ROUNDS, precision: float = PRECISION, pace: float | None = None) -> np.ndarray:
     """Steps of projected gradient descent on the weighted squares of (expected totals - target totals) / tokens.
 
     Weighting by the inverse second moment of the posteriors makes the step 1 safe and the pace even in all domains. A document's
-    rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates. Without targets, those
-    of AT_MOST hold. It ends when
+    rate follows from its posteriors and these few vectors, so a round ships one row of sums per task and no rates. It ends when
     every domain is within precision of its own target, after the rounds, or when a round leaves more than pace of the worst miss.
     """
-    k = len(DOMAINS)
-    steps, sums = np.zeros((0, k)), scored if isinstance(scored, _Sums) else _Sums(scored)
+    sums = scored if isinstance(scored, _Sums) else _Sums(scored)
+    k = sums.k
+    steps = np.zeros((0, k))
     totals, moment, _ = sums(steps)
     tokens = totals.sum()
     if tokens <= 0:
         return steps
-    targets = targets_within(totals) if targets is None else np.asarray(targets, float)
+    targets = np.asarray(targets, float)
     weight, before = np.linalg.inv(moment / tokens + RIDGE * np.eye(k)), np.inf
     for _ in range(rounds):
         residual = totals / tokens - targets
@@ -219,7 +235,7 @@ def settle(sums: _Sums, steps: np.ndarray, targets, rounds: int = ROUNDS, precis
     point of a convex function of as many variables as there are domains, found by Newton's method with shortened steps whatever the
     domains' sizes. Targets that no rates from 0 on meet have no such step; then the one that misses least is returned.
     """
-    k = len(DOMAINS)
+    k = sums.k
     targets = np.asarray(targets, float)
     tokens = sums(np.zeros((0, k)))[0].sum()
 
@@ -263,35 +279,49 @@ def with_rates(scored: DataFrame, steps: np.ndarray) -> DataFrame:
 
 @dataclass
 class Plan:
-    """Steps that give each document its rate, the target shares of tokens, those reached, and whether each is met within PRECISION of itself."""
+    """Steps that give each document its rate, the target shares of tokens by group of domains, those reached, and whether each is met
+    within PRECISION of itself."""
 
     steps: np.ndarray
-    targets: np.ndarray
-    reached: np.ndarray
+    targets: dict[str, float]
+    reached: dict[str, float]
     met: bool
 
 
-def plan(scored: DataFrame, targets=None) -> Plan:
-    """The descent while it is quick, then what it left; the whole descent, and a warning, where the targets can't be met."""
-    sums, steps = _Sums(scored), np.zeros((0, len(DOMAINS)))
-    totals = sums(steps)[0]
+def plan(scored: DataFrame, targets=None, at_most=AT_MOST) -> Plan:
+    """The descent while it is quick, then what it left; the whole descent, and a warning, where the targets can't be met.
+
+    Without targets, each domain over its bound has the bound as its target, and the others are one group with the rest: what
+    is scarce anyway gets no target of its own, which little but the noise in the posteriors could meet.
+    """
+    sums, none = _Sums(scored), np.zeros((0, len(DOMAINS)))
+    totals = sums(none)[0]
     if totals.sum() <= 0:
-        return Plan(steps, np.zeros(len(DOMAINS)), np.zeros(len(DOMAINS)), True)
-    targets = targets_within(totals) if targets is None else np.asarray(targets, float)
+        return Plan(none, {}, {}, True)
+    names = list(DOMAINS)
+    if targets is None:
+        over = over_bounds(totals, at_most)
+        columns = [~over, *(np.arange(len(over)) == i for i in np.flatnonzero(over))]
+        sums = sums.grouped(np.column_stack(columns).astype(float))
+        names = ["+".join(d for d, x in zip(DOMAINS, c, strict=True) if x) for c in columns]
+        bounds = np.asarray(at_most, float)[over]
+        targets = np.r_[1 - bounds.sum(), bounds]
+    targets = np.asarray(targets, float)
     steps, shares = settle(sums, descend(sums, targets, pace=0.5), targets)
     met = _miss(shares - targets, targets, PRECISION) <= 1
     if not met:
         steps = descend(sums, targets)
         shares = sums(steps)[0] / totals.sum()
-        unmet = ", ".join(f"{d} {x:.3g} of {t:.3g}" for d, x, t in zip(DOMAINS, shares, targets, strict=True))
+        unmet = ", ".join(f"{d} {x:.3g} of {t:.3g}" for d, x, t in zip(names, shares, targets, strict=True))
         warnings.warn(f"targets not met, shares of tokens reached: {unmet}", stacklevel=2)
-    return Plan(steps, targets, shares, met)
+    given = lambda x: dict(zip(names, map(float, x), strict=True))
+    return Plan(steps @ sums.merged.T, given(targets), given(shares), met)
 
 
 def mix(docs: DataFrame, labels: DataFrame, targets=None) -> DataFrame:
     """All columns of docs, n_tokens, posteriors of DOMAINS, rate (how often each document is to be taken, on average) and targets_met.
 
-    Targets are shares of all tokens of docs (None: what there is, within AT_MOST), each met within PRECISION of itself. Targets that the
+    Targets are shares of all tokens of docs (None: the domains over AT_MOST come down to it), each met within PRECISION of itself. Targets that the
     documents can't meet with rates from 0 on are met as nearly as least squares allow; targets_met is then false in all rows, and a warning tells by
     how much. Every text is scored once. Null and empty texts have no tokens and get a rate, too. Rows that repeat an id are documents of
     their own. Columns of docs with the names of the new ones are replaced. An empty table gives an empty result.
