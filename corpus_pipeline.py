@@ -56,10 +56,10 @@ def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def mix_domains(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Adds the rate at which each document is to be taken, on average, so that poor and toxic text keeps within its share of the tokens
-    (mixing.AT_MOST). Documents at rate 0 are never to be taken, and go."""
+    """Adds the rate at which each document is to be taken, on average, 0 for never, so that poor and toxic text keeps within its share of
+    the tokens (mixing.AT_MOST). The rate is the decision: this stage weighs documents and drops none, as some clean ones get rate 0, too."""
     mixed = mixing.mix(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return mixed.where("rate > 0").select(*(c for c in docs.columns if c not in ("n_tokens", "rate")), "n_tokens", "rate")
+    return mixed.select(*(c for c in docs.columns if c not in ("n_tokens", "rate")), "n_tokens", "rate")
 
 
 STAGES = [
