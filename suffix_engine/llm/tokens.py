@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 #: How byte-level vocabularies split a text before merging, and the code points over which
 #: the local regular expressions are compared with the library's own splitting.
 SPLIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-PROVEN = 0x3000
+PROVEN = 0x10000
 #: Entries of a worker's memo of merged pre-tokens; it starts anew beyond that.
 MEMO = 400_000
 
@@ -37,12 +37,17 @@ def prove_whole_tokens(source: str) -> tuple[list[str], str, list[str]]:
     special = sorted((x["content"] for x in json.loads(source)["added_tokens"]), key=len, reverse=True)
     alone = [s for s in dict.fromkeys(strings) if s not in special and split.findall(s) == [s]]
     whole = [s for s, e in zip(alone, t.encode_batch(alone, add_special_tokens=False), strict=True) if len(e.ids) == 1]
-    odd = []
-    for c in (chr(i) for i in range(PROVEN)):
-        probe = f"a{c}b1{c} {c}{c}.{c}\n"
-        if [(i, j) for _, (i, j) in t.pre_tokenizer.pre_tokenize_str(probe)] != [m.span() for m in split.finditer(probe)]:
-            odd.append(c)
-    return whole, "".join(odd), special
+    odd, left = [], [[chr(i) for i in range(low, low + 512) if not 0xD800 <= i < 0xE000] for low in range(0, PROVEN, 512)]
+    while left:  # many characters in one probe, which is halved where it shows a difference
+        own = left.pop()
+        probe = "".join(f"a{c}b1{c} {c}{c}.{c}\n" for c in own)
+        if [x for _, x in t.pre_tokenizer.pre_tokenize_str(probe)] == [m.span() for m in split.finditer(probe)]:
+            continue
+        if len(own) == 1:
+            odd += own
+        else:
+            left += [own[: len(own) // 2], own[len(own) // 2 :]]
+    return whole, "".join(sorted(odd)), special
 
 
 class Counter:
