@@ -28,6 +28,20 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def cut_by(df: DataFrame, column: str | None = None) -> DataFrame:
+    """cut, with equal values of a column in one partition (None: the rows stay where the plan leaves them), which joins on it then know.
+
+    For columns without a hot value: it is planned without adaptive execution, whose plans don't tell how they leave their rows.
+    """
+    spark, n = df.sparkSession, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    adaptive = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return cut(df.repartition(n, column) if column else df)
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+
+
 def new_path(spark: SparkSession, name: str) -> str:
     """A folder of its own for a table, to be deleted by scratch or clear."""
     _WRITTEN.append(f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}")
