@@ -65,6 +65,14 @@ class SegmentKernel(Kernel):
         """
         raise NotImplementedError
 
+    def minimiser(self, data: np.ndarray, begin: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """A hash of the minimiser of each piece, for grouping in a bucket."""
+        raise NotImplementedError
+
+    def may_match(self, data: np.ndarray, begin: np.ndarray, end: np.ndarray, at: np.ndarray, key: np.ndarray) -> np.ndarray:
+        """Which of the distinct pieces may share a window with another one, as far as a glance tells: none that does is left out."""
+        return shared_keys(key)
+
     def items(self, docs, n_buckets):
         r = self.runs(docs)
         raw = r.bytes.tobytes()
@@ -76,18 +84,19 @@ class SegmentKernel(Kernel):
         place[rank] = np.arange(len(rank))
         own = holder[rank]
         size = r.end[own] - r.begin[own]
-        columns = [r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[r.doc[own]].view(np.uint64), r.start[own].astype(np.uint32), r.key[own]]
+        columns = [r.count[own].astype(np.uint16), r.at[own].astype(np.uint32), docs.ids[r.doc[own]].view(np.uint64), r.start[own].astype(np.uint32)]
         return Items(bucket[rank], columns, size, gathered(raw, r.begin[own], r.end[own])), Known(r, place[number], own)
 
     def answers(self, items):
         return items.columns[0].astype(np.int64)
 
     def resolve(self, items):
-        count, doc, start, key = items.columns[0].astype(np.int64), items.columns[2].view(np.int64), items.columns[3].astype(np.int64), items.columns[4]
+        count, at, doc, start = items.columns[0].astype(np.int64), items.columns[1].astype(np.int64), items.columns[2].view(np.int64), items.columns[3].astype(np.int64)
         data, begin = items.data, np.r_[0, np.cumsum(items.size)]
+        key = self.minimiser(data, begin[:-1], at)
         flags, window = np.zeros(int(count.sum()), np.uint8), np.r_[0, np.cumsum(count)]
         # equal pieces of several blocks: all that come later than the first are covered whole
-        some = np.flatnonzero(_shared(key))
+        some = np.flatnonzero(shared_keys(key))
         order = some[np.lexsort((start[some], doc[some]))]
         raw = data.tobytes()
         number, first = numbered(raw, begin[order], begin[order + 1])
@@ -95,7 +104,7 @@ class SegmentKernel(Kernel):
         of = own[number]
         later = doc[order] > doc[of] if self.by_document else (doc[order] > doc[of]) | (start[order] > start[of])
         flags[spread(window[order[later]], count[order[later]])] = 1
-        many = _shared(key[own])
+        many = self.may_match(data, begin[own], begin[own + 1], at[own], key[own])
         left = own[many][np.argsort(key[own[many]], kind="stable")]
         for i, j in _batches(key[left], items.size[left]):
             k = left[i:j]
@@ -117,7 +126,7 @@ class SegmentKernel(Kernel):
         return spread(r.first, r.count)[gone]
 
 
-def _shared(key: np.ndarray) -> np.ndarray:
+def shared_keys(key: np.ndarray) -> np.ndarray:
     """Which entries have a key that another one has, too."""
     order = np.argsort(key, kind="stable")
     k = key[order]

@@ -9,8 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from suffix_engine.llm.blocks import Docs, minimiser_runs, mix, spread, words_at
-from suffix_engine.llm.segments import Runs, SegmentKernel, exchange_runs, merged
+from suffix_engine.llm.blocks import Docs, minimiser_runs, mix, range_hashes, spread, words_at
+from suffix_engine.llm.segments import Runs, SegmentKernel, exchange_runs, merged, shared_keys
 
 #: Bytes of a gram: two words of eight.
 GRAM = 16
@@ -105,6 +105,10 @@ def chain_ends(to: np.ndarray) -> np.ndarray:
     return to
 
 
+def gram_hashes(word: np.ndarray, first, second) -> np.ndarray:
+    return mix(mix(word[first]) + word[second])
+
+
 @dataclass
 class SubstringKernel(SegmentKernel):
     """Runs of window starts whose leftmost least gram is the same one; grams of 16 bytes, windows of any length from GRAM on."""
@@ -124,13 +128,23 @@ class SubstringKernel(SegmentKernel):
             return ok
 
         def hashes(low: int, high: int) -> np.ndarray:
-            high = min(high, n - GRAM + 1)
-            return mix(mix(word[low:high]) + word[low + 8 : max(low, high) + 8]) if high > low else np.zeros(0, np.uint64)
+            return gram_hashes(word, slice(low, max(low, min(high, n - GRAM + 1))), slice(low + 8, max(low, min(high, n - GRAM + 1)) + 8))
 
         first, count, at, key = minimiser_runs(n, self.length - GRAM + 1, hashes, valid, self.avoid)
         doc = np.searchsorted(docs.bounds, first, side="right") - 1
         return Runs(b, first, first + count + self.length - 1, first, count, doc, first - docs.bounds[doc], at - first, key)
 
+    def minimiser(self, data, begin, at):
+        return gram_hashes(words_at(data), begin + at, begin + at + 8)
+
+    def may_match(self, data, begin, end, at, key):
+        """Of two equal windows, what lies around the gram is the same, and half of it or more lies on one side."""
+        half, gram = (self.length - GRAM) // 2, begin + at
+        out = np.zeros(len(begin), bool)
+        for own, a in ((np.flatnonzero(at >= half), gram - half), (np.flatnonzero(end - gram - GRAM >= half), gram + GRAM)):
+            out[own] |= shared_keys(mix(range_hashes(data, a[own], a[own] + half) + key[own]))
+        return out
+
     def mark(self, data, begin, count, doc, start):
         match, length = RunLengthIndex.build(data, begin).matching()
         piece = np.repeat(np.arange(len(count)), np.diff(begin))

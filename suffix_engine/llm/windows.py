@@ -74,6 +74,12 @@ class WindowKernel(SegmentKernel):
         run.words, run.first_word = (begin, end), first_word
         return run
 
+    def minimiser(self, data, begin, at):
+        # the words of the gram end at the third space after its place
+        spaces = np.flatnonzero(data == 32)
+        place = begin + at
+        return range_hashes(data, place, spaces[np.searchsorted(spaces, place) + self.gram - 1])
+
     def mark(self, data, begin, count, doc, start):
         """Words are numbered by their bytes and windows by their words, in steps of doubled length, so equal numbers are equal windows."""
         words = data.tobytes().split(b" ")[:-1]
