@@ -53,7 +53,9 @@ def templates(pages: DataFrame, branches: int = BRANCHES, depth: int = DEPTH, di
         seen = out.where(F.col("_x").isNotNull()).groupBy("host", "template", "_x").agg(F.coalesce(F.sum("blocked"), F.lit(0)).cast("double").alias("b"), F.count("blocked").cast("double").alias("l"))
         node = seen.groupBy("host", "template").agg(F.count(F.lit(1)).alias("_n"), F.sum("b").alias("pb"), F.sum("l").alias("pl")).where((F.col("_n") > branches) | (F.col("pl") > 0))
         few = node.where(F.col("_n") <= branches).select(F.col("host").alias("_h"), F.col("template").alias("_t"), (F.col("pb") / F.col("pl")).alias("share"))
-        child = seen.join(few, (F.col("host") == F.col("_h")) & (F.col("template") == F.col("_t")))
+        # a variable node's many segments must not meet in one task for a join that keeps none of them
+        dealt = few.withColumn("_few_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        child = seen.withColumn("_part", F.pmod(F.xxhash64("_x"), F.lit(SALTS)).cast("int")).join(dealt, (F.col("host") == F.col("_h")) & (F.col("template") == F.col("_t")) & (F.col("_part") == F.col("_few_salt")))
         alike = (F.col("l") > 0) & (F.abs(F.col("b") / F.col("l") - F.col("share")) <= different * F.sqrt(F.col("share") * (1 - F.col("share")) / F.col("l")))
         pooled = child.withColumn("alike", alike).groupBy("_h", "_t").agg(F.collect_list(F.when(F.col("alike"), F.col("_x"))).alias("same"), F.collect_list(F.when(F.col("l") == 0, F.col("_x"))).alias("rest"))
         merge = F.when(F.size("same") >= support, F.concat("same", "rest")).otherwise(F.col("same"))
