@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
 import numpy as np
 
 from suffix_engine.llm.blocks import range_hashes
@@ -27,22 +29,20 @@ def shape_features(b: np.ndarray, bounds: np.ndarray) -> np.ndarray:
         c = _CLASS[t]
         pairs = np.bincount(c[:-1] * np.uint16(CLASSES) + c[1:], minlength=CLASSES * CLASSES)
         out[i, : CLASSES * CLASSES] = np.sqrt(pairs / len(t))
-        begin, end, _ = word_ranges(t, np.array([0, len(t)]))
-        if not len(begin):
+        raw = t.tobytes()
+        words = raw.split()
+        if not words:
             continue
-        words = range_hashes(t, begin, end)
-        counts = np.unique(words, return_counts=True)[1]
-        line = np.flatnonzero(t == 10)
-        edges_a, edges_z = np.r_[0, line + 1], np.r_[line, len(t)]
-        lines = range_hashes(t, edges_a, edges_z)
-        length = end - begin
+        counts = Counter(words)
+        lines = raw.split(b"\n")
+        length = np.fromiter(map(len, words), np.int64, len(words))
         out[i, CLASSES * CLASSES :] = (
-            np.log1p(len(begin)) / 10,
+            np.log1p(len(words)) / 10,
             length.mean() / 10,
             length.std() / 10,
-            len(counts) / len(begin),
-            counts.max() / len(begin),
-            len(np.unique(lines)) / len(lines),
+            len(counts) / len(words),
+            max(counts.values()) / len(words),
+            len(set(lines)) / len(lines),
             min(len(t) / len(lines) / 500, 2),
             1.0,
         )
