@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import hashlib
-import heapq
-from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -21,6 +19,8 @@ from suffix_engine.session import cut, written
 
 #: Documents that a task searches at once; larger candidate groups are cut into blocks of about that size.
 GROUP = 512
+#: By what share the sizes of sets differ at most in a block of a list or a group that is cut.
+CLASS = 0.02
 #: Weight of a list's length in the choice of how many lists are probed instead of merged.
 PROBE_WEIGHT = 0.0085
 
@@ -30,6 +30,16 @@ def needed(percent: int, size):
     return -(-percent * size // 100)
 
 
+def both_needed(percent: int, a, b):
+    """Least overlap of two sets of these sizes that link."""
+    return -(-percent * (a + b) // (100 + percent))
+
+
+def reach(percent: int, size, shared):
+    """Greatest size of a set that one of this size links with, when only so many of its shingles are in others, too."""
+    return (100 + percent) * shared // percent - size
+
+
 _LOW = np.uint64(0xFFFFFFFF)
 
 
@@ -111,6 +121,7 @@ class Lists:
 
     def __init__(self, tokens: list[np.ndarray]):
         self.n = len(tokens)
+        self.lengths = np.array([len(t) for t in tokens], np.int64)
         flat = np.concatenate(tokens) if tokens else np.zeros(0, np.int64)
         owner = np.repeat(np.arange(self.n), [len(t) for t in tokens])
         _, number = np.unique(flat, return_inverse=True)
@@ -122,8 +133,8 @@ class Lists:
 
     def _merge(self, first: np.ndarray, last: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """The sets on the given short lists, and on how many each is."""
-        seen = Counter(heapq.merge(*(self.sets[a:z].tolist() for a, z in zip(first, last, strict=True))))
-        return np.fromiter(seen.keys(), np.int64, len(seen)), np.fromiter(seen.values(), np.int64, len(seen))
+        n = last - first
+        return np.unique(self.sets[np.repeat(first - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))], return_counts=True)
 
     def search(self, query: int, need: int, low: int, high: int, skip) -> Iterator[tuple[int, int]]:
         """(set, overlap) of the sets in [low, high) whose overlap with the query's is at least need; sets that skip(sets) marks are left out,
@@ -159,16 +170,22 @@ class Lists:
                     yield int(x), int(o)
 
 
-def _join(index: Lists, part: np.ndarray, query: int, size: np.ndarray, window: tuple[int, int], percent: int, skip: Callable) -> None:
-    """Puts a query and the sets that it links with into one component; sets already there aren't compared again."""
-    for x, overlap in index.search(query, int(needed(percent, int(size[query]))), *window, lambda found: skip(found) | (part[found] == part[query])):
-        if part[x] != part[query] and 100 * overlap >= percent * (size[query] + size[x] - overlap):
+def _join(index: Lists, part: np.ndarray, query: int, size: np.ndarray, n_own: int, percent: int, skip: Callable) -> None:
+    """Puts a query and those of the first n_own sets, which come by size, that it links with into one component; sets already there
+    aren't compared again, nor those that the shingles which either shares with others can't reach."""
+    own, most = int(size[query]), reach(percent, size, index.lengths)
+    low, high = _window(size[:n_own], own, int(most[query]), percent)
+    if low >= high:
+        return
+    far = most < own
+    for x, overlap in index.search(query, int(both_needed(percent, own, int(size[low]))), low, high, lambda found: skip(found) | far[found] | (part[found] == part[query])):
+        if part[x] != part[query] and overlap >= both_needed(percent, own, int(size[x])):
             part[part == part[query]] = part[x]
 
 
-def _window(sizes: np.ndarray, size: int, percent: int) -> tuple[int, int]:
-    """Which of the ascending sizes a set of that size can link with."""
-    return int(np.searchsorted(sizes, needed(percent, size))), int(np.searchsorted(sizes, 100 * size // percent, side="right"))
+def _window(sizes: np.ndarray, size: int, most: int, percent: int) -> tuple[int, int]:
+    """Which of the ascending sizes a set of that size and reach can link with."""
+    return int(np.searchsorted(sizes, needed(percent, size))), int(np.searchsorted(sizes, min(100 * size // percent, most), side="right"))
 
 
 def linked(tokens: list[np.ndarray], size: np.ndarray, hub: int, percent: int, hub_only: bool = False) -> np.ndarray:
@@ -178,9 +195,9 @@ def linked(tokens: list[np.ndarray], size: np.ndarray, hub: int, percent: int, h
     component and the rest before it. hub_only: only links with the hub are looked for.
     """
     index, part = Lists(tokens), np.arange(len(tokens))
-    _join(index, part, hub, size, _window(size, int(size[hub]), percent), percent, lambda found: found == hub)
+    _join(index, part, hub, size, len(tokens), percent, lambda found: found == hub)
     for q in () if hub_only else np.flatnonzero(part != part[hub]).tolist():
-        _join(index, part, q, size, _window(size, int(size[q]), percent), percent, lambda found, q=q: (found >= q) & (part[found] != part[hub]))
+        _join(index, part, q, size, len(tokens), percent, lambda found, q=q: (found >= q) & (part[found] != part[hub]))
     return part
 
 
@@ -188,7 +205,7 @@ def linked_with_probes(tokens: list[np.ndarray], size: np.ndarray, n_own: int, p
     """Component numbers of the links between a probe and a set that is none; the first n_own sets are none, and come by size."""
     index, part = Lists(tokens), np.arange(len(tokens))
     for q in range(n_own, len(tokens)):
-        _join(index, part, q, size, _window(size[:n_own], int(size[q]), percent), percent, lambda found: np.zeros(len(found), bool))
+        _join(index, part, q, size, n_own, percent, lambda found: np.zeros(len(found), bool))
     return part
 
 
@@ -223,7 +240,7 @@ def _group_task(percent: int):
 
 
 def _list_task(percent: int):
-    """Links between the loose sets of a list and the sets of one of its blocks."""
+    """Links between loose sets and the sets of one block of a list or of a group."""
 
     def run(table: pa.Table) -> pa.Table:
         rep, size, tokens, by = _sets_of(table, "probe")
@@ -241,7 +258,9 @@ def group_links(sets: DataFrame, percent: int, group: int = GROUP) -> DataFrame:
     Two sets that link share a shingle of both prefixes, hence its list and the list's hub (least id). A hub's group, the union of its
     lists, is searched by one task if it is not over the given size. A larger one is cut into blocks, whose sets are held against the hub
     alone: what links with it needs no more comparing among itself. Each set left loose is held against the lists that brought it
-    there, not against the whole group; lists over the size are cut into blocks, too. Lists with equal sets are searched once.
+    there, or against the group if it is no longer than these lists together (copies of one text share them all). Those over the size are
+    cut into blocks by the size of their sets, and a set is only held against blocks that it can reach. Lists with equal sets are
+    searched once.
     """
     listed = sets.select("rep", F.explode("prefix").alias("token"))
     sums = [F.bit_xor(F.xxhash64("rep", F.lit(seed))).alias(name) for seed, name in ((1, "_a"), (2, "_b"))]
@@ -249,8 +268,8 @@ def group_links(sets: DataFrame, percent: int, group: int = GROUP) -> DataFrame:
     lists = lists.groupBy("hub", "n", "_a", "_b").agg(F.min("token").alias("_token")).select("_token", "hub", "n")
     placed = cut(listed.join(lists, F.col("token") == F.col("_token")).select("token", "hub", "rep", "n"))
     member = placed.select("hub", "rep").distinct()
-    sized = member.groupBy("hub").agg(F.ceil(F.count(F.lit(1)) / group).cast("int").alias("blocks"))
-    dealt = member.join(sized.withColumnRenamed("hub", "_hub"), F.col("hub") == F.col("_hub")).select("hub", "rep", "blocks")
+    sized = member.groupBy(F.col("hub").alias("_hub")).agg(F.count(F.lit(1)).alias("members"))
+    dealt = member.join(sized, F.col("hub") == F.col("_hub")).select("hub", "rep", F.ceil(F.col("members") / group).cast("int").alias("blocks"))
     block = lambda n: F.pmod(F.xxhash64("rep"), n).cast("int")
     dealt = dealt.withColumn("block", F.explode(F.when(F.col("hub") == F.col("rep"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(block(F.col("blocks"))))))
     body = sets.select(F.col("rep").alias("_rep"), "n_shingles", "tokens")
@@ -258,13 +277,23 @@ def group_links(sets: DataFrame, percent: int, group: int = GROUP) -> DataFrame:
     first = cut(full.groupBy("hub", "block").applyInArrow(_group_task(percent), "u long, v long, loose boolean"))
     links = first.where(~F.col("loose")).select("u", "v")
     loose = first.where("loose").select(F.col("v").alias("_hub"), F.col("u").alias("_loose")).distinct()
-    # the lists with loose sets: all their sets once, and the loose ones in each block
-    probes = placed.join(loose, (F.col("hub") == F.col("_hub")) & (F.col("rep") == F.col("_loose"))).select("token", "rep", F.ceil(F.col("n") / group).cast("int").alias("blocks"))
-    probes = cut(probes)
-    open_ = probes.select(F.col("token").alias("_token")).distinct()
-    held = placed.join(open_, F.col("token") == F.col("_token"), "left_semi").select("token", "rep", block(F.ceil(F.col("n") / group)).alias("block"), F.lit(False).alias("probe"))
-    asked = probes.select("token", "rep", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(True).alias("probe"))
-    second = held.unionByName(asked).join(body, F.col("rep") == F.col("_rep")).drop("_rep").groupBy("token", "block").applyInArrow(_list_task(percent), "u long, v long")
+    # what each loose set is held against: lists by their token, or the group by its hub
+    asks = placed.join(loose, (F.col("hub") == F.col("_hub")) & (F.col("rep") == F.col("_loose"))).groupBy("hub", "rep").agg(F.sum("n").alias("total"), F.collect_list("token").alias("lists"))
+    asks = asks.join(sized, F.col("hub") == F.col("_hub")).withColumn("whole", F.col("members") <= F.col("total"))
+    asks = cut(asks.select("rep", "whole", F.explode(F.when(F.col("whole"), F.array("hub")).otherwise(F.col("lists"))).alias("list")))
+    facts = sets.select(F.col("rep").alias("_rep"), "n_shingles", F.expr(f"{100 + percent} * (octet_length(tokens) div 8) div {percent}").alias("_far")).withColumn("_far", F.col("_far") - F.col("n_shingles"))
+    keys = ["whole", "list", "class", "block"]
+    open_ = asks.select(F.col("whole").alias("_w"), F.col("list").alias("_l")).distinct()
+    held = placed.select(F.lit(False).alias("whole"), F.col("token").alias("list"), "rep", "n").unionByName(member.join(sized, F.col("hub") == F.col("_hub")).select(F.lit(True).alias("whole"), F.col("hub").alias("list"), "rep", F.col("members").alias("n")))
+    held = held.join(open_, (F.col("whole") == F.col("_w")) & (F.col("list") == F.col("_l")), "left_semi").join(facts, F.col("rep") == F.col("_rep"))
+    held = cut(held.select("whole", "list", "rep", "n_shingles", "_far", F.when(F.col("n") > group, F.floor(F.log("n_shingles") / F.log(F.lit(1 + CLASS)))).otherwise(0).cast("long").alias("class")))
+    classes = held.groupBy(F.col("whole").alias("_w"), F.col("list").alias("_l"), F.col("class").alias("_c")).agg(F.min("n_shingles").alias("_least"), F.max("n_shingles").alias("_most"), F.max("_far").alias("_farthest"), F.ceil(F.count(F.lit(1)) / group).cast("int").alias("blocks"))
+    met = (F.col("whole") == F.col("_w")) & (F.col("list") == F.col("_l")) & (F.col("_least") <= F.col("_far")) & (100 * F.col("_most") >= percent * F.col("n_shingles")) & (F.col("_farthest") >= F.col("n_shingles"))
+    asked = asks.join(facts, F.col("rep") == F.col("_rep")).join(classes, met)
+    asked = cut(asked.select("whole", "list", F.col("_c").alias("class"), F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "rep", F.lit(True).alias("probe")))
+    dealt = held.join(classes, (F.col("whole") == F.col("_w")) & (F.col("list") == F.col("_l")) & (F.col("class") == F.col("_c"))).select("whole", "list", "class", block(F.col("blocks")).alias("block"), "rep", F.lit(False).alias("probe"))
+    dealt = dealt.join(asked.select(*keys).distinct(), keys, "left_semi")
+    second = dealt.unionByName(asked).join(body, F.col("rep") == F.col("_rep")).drop("_rep").groupBy(*keys).applyInArrow(_list_task(percent), "u long, v long")
     return links.unionByName(second)
 
 

@@ -93,3 +93,30 @@ def test_long_texts_and_ties(spark):
     rows = [(2, long), (9, long + " end"), (5, "z " + long), (7, "x " * 50_000), (8, "x " * 3)]
     got = result(ngram_join.components(spark.createDataFrame([(*r, "k") for r in rows], "doc_id long, text string, component_id string")))
     assert got == brute.jaccard_components(rows)
+
+
+def test_sets_out_of_reach_are_not_searched(monkeypatch):
+    """Copies that share with others too little of their sets for a link with sets of their size."""
+    searched, search = [], ngram_join.Lists.search
+    monkeypatch.setattr(ngram_join.Lists, "search", lambda self, query, *rest: searched.append(query) or search(self, query, *rest))
+    r = np.random.default_rng(2)
+    far = [np.sort(r.permutation(400)[:360]) for _ in range(12)]
+    part = ngram_join.linked_with_probes(far + far[:4], np.full(16, 400), 12, 85)
+    assert not searched and len(set(part.tolist())) == 16
+    near = [np.sort(r.permutation(400)[:398]) for _ in range(3)]
+    part = ngram_join.linked_with_probes(far + near + near[:1], np.full(16, 400), 15, 85)
+    assert searched == [15] and part[12] == part[13] == part[14] == part[15] and len(set(part.tolist())) == 13
+
+
+def test_far_copies_of_one_text(spark):
+    """Copies with many changes each, in a group that is cut: the least id is not the text that they are copies of."""
+    r = random.Random(6)
+    base = ["".join(r.choice("abcdefgh") for _ in range(6)) for _ in range(200)]
+    rows = []
+    for i in range(120):
+        words = list(base)
+        for at in r.sample(range(200), r.randrange(1, 12)):
+            words[at] = f"x{i}y{at if r.random() < 0.5 else 0}"
+        rows.append((i, " ".join(words[: r.choice((200, 200, 190, 170))])))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    assert result(ngram_join.components(docs, group=8)) == brute.jaccard_components(rows)
