@@ -1,6 +1,7 @@
 """The kernels on one bucket, and the encoder, against sorted suffixes."""
 
 import random
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -113,3 +114,15 @@ def test_block_traces():
 def test_round_trip(text, order):
     transform, primary = bwt.encode(text, order)
     assert len(transform) == len(text) + 1 and bwt.decode(transform, primary, order) == text
+
+
+def test_merge_kernel_copies_within_a_bound():
+    """Many copies of one text tie for long: what is copied of them at once must not grow with both."""
+    r = np.random.default_rng(3)
+    codes = np.r_[np.tile(r.integers(1, 5, 2000), 10), 0]
+    positions, read = np.arange(len(codes)), partial.array_reader(codes)
+    tracemalloc.start()
+    order = partial.merge_order(positions, read, len(codes))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert np.array_equal(order, np.argsort(bwt.local_ranks(codes))) and peak < 100e6
