@@ -8,7 +8,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from suffix_engine.operators import bwt, kmers, partial
+from suffix_engine.operators import bwt, kmers, naive as baselines, partial
 
 GOLDEN = [
     ("BANANA", "smallest", [6, 5, 3, 1, 0, 4, 2], "ANNB$AA", 4),
@@ -126,3 +126,14 @@ def test_merge_kernel_copies_within_a_bound():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert np.array_equal(order, np.argsort(bwt.local_ranks(codes))) and peak < 100e6
+
+
+def test_whole_suffixes_are_compared_without_keeping_them():
+    r = np.random.default_rng(4)
+    codes = np.r_[np.tile(r.integers(1, 5, 500), 20), r.integers(1, 5, 10_000), 0]
+    raw = codes.astype(">u2").tobytes()
+    tracemalloc.start()
+    order = baselines.whole_order(raw, np.arange(len(codes)))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert order == np.argsort(bwt.local_ranks(codes)).tolist() and peak < 10e6
