@@ -1,12 +1,14 @@
 """Distributed methods against the definitions."""
 
+import gc
 import random
+import time
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from suffix_engine import queries
+from suffix_engine import queries, session
 from suffix_engine.operators import bucketed, bwt, compress, corpus, doubling, features, fm, hybrid, kmers, lcp, metrics, naive, partial, suffix_array, verify
 from suffix_engine.session import cut, cut_by
 from test_kernels import GOLDEN
@@ -353,3 +355,35 @@ def test_words_of_all_lengths_are_patterns(spark):
     assert sorted(map(tuple, got)) == sorted((x, p) for x in set(words) for p in range(len(text)) if text.startswith(x, p))
     own = {r.pattern for r in queries._patterns(spark, "/root/testdata/sf0.001").collect()}
     assert {1, 2, 3, 6, 9} <= {len(x) for x in own} and max(map(len, own)) > 90
+
+
+def test_golden_examples_over_a_table(spark, tmp_path):
+    """The worked examples as rows of a table: both orders of the terminator, repeated, empty and null texts."""
+    rows = [(4, "BANANA"), (2, "CATTATTAGGA"), (9, "BANANA"), (5, ""), (6, None), (7, "A\tB\nA$")]
+    spark.createDataFrame(rows, "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    got = {(r.item_id, r.terminator): (r.sa, r.bwt, r.primary) for r in queries.queries()["golden_examples"](spark, str(tmp_path)).collect()}
+    banana = {"smallest": ("6 5 3 1 0 4 2", "ANNB$AA", 4), "largest": ("1 3 5 0 2 4 6", "BNN$AAA", 3)}
+    cat = {"smallest": ("11 10 7 4 1 0 9 8 6 3 5 2", "AGTTC$GATTAA", 5), "largest": ("7 4 1 10 0 9 8 6 3 5 2 11", "TTCG$GATTAAA", 4)}
+    want = {(i, order): banana[order] for i in (4, 9) for order in banana} | {(2, order): cat[order] for order in cat} | {(5, order): ("0", "$", 0) for order in cat}
+    own = {order: bwt.encode("A\tB\nA", order) for order in cat}
+    assert {k: v for k, v in got.items() if k[0] != 7} == want and {k[1]: v[1:] for k, v in got.items() if k[0] == 7} == own
+
+
+def test_shuffle_files_of_earlier_rounds_go(spark, monkeypatch):
+    monkeypatch.setattr(session, "RELEASE_EVERY", 0.0, raising=False)
+    blocks = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager()
+
+    def files():
+        left = blocks.getAllFiles()
+        return sum(left.apply(i).toString().endswith(".data") for i in range(left.size()))
+
+    gc.collect()
+    df = spark.range(20_000)
+    before = files()
+    for i in range(6):
+        df = session.cut(df.repartition(4, (F.col("id") + i) % 7))
+    for _ in range(50):
+        if files() <= before + 8:
+            break
+        time.sleep(0.2)
+    assert files() <= before + 8
