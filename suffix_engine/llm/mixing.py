@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from suffix_engine.llm.features import CLASSES, class_shares, word_slots
-from suffix_engine.llm.quality import _buffer
+from suffix_engine.llm.quality import _buffer, spread
 from suffix_engine.session import written
 
 #: The labelled table's domains, and the share of all tokens that the production mix takes of each at most. Domains within their bound keep
@@ -77,14 +77,20 @@ def fit(docs: DataFrame, labels: DataFrame, most: int = MOST_LABELLED, steps: in
     y = np.array([r["y"] for r in got], np.int64)
     words = [np.frombuffer(r["slots"], np.uint16).astype(np.int64) for r in got]
     slots = _telling(words, y)
-    x = np.zeros((n, len(slots) + CLASSES), np.float32)
+    a = np.zeros((n, len(slots) + CLASSES + 1), np.float32)
     for i, r in enumerate(got):
-        x[i, np.flatnonzero(np.isin(slots, words[i]))] = 1
-        x[i, len(slots) :] = np.frombuffer(r["shares"], np.float16)
+        a[i, np.flatnonzero(np.isin(slots, words[i]))] = 1
+        a[i, len(slots) : -1] = np.frombuffer(r["shares"], np.float16)
     if not n:
         return DomainModel(slots, np.zeros(CLASSES, np.float32), np.ones(CLASSES, np.float32), np.zeros((CLASSES + 1, k), np.float32))
-    mean, scale = x.mean(0), x.std(0) + np.float32(0.02)
-    a = np.hstack([np.clip((x - mean) / scale, -5, 5), np.ones((n, 1), np.float32)]).astype(np.float32)
+    del got, words
+    # in place: with all slots in use this is the driver's largest array
+    mean, scale = spread(a[:, :-1])
+    scale += np.float32(0.02)
+    a[:, :-1] -= mean
+    a[:, :-1] /= scale
+    np.clip(a, -5, 5, out=a)
+    a[:, -1] = 1
     truth, w = np.eye(k, dtype=np.float32)[y], np.zeros((a.shape[1], k), np.float32)
     first, second = np.zeros_like(w), np.zeros_like(w)
     for t in range(1, steps + 1):

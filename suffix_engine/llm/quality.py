@@ -41,6 +41,23 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -60, 60)))
 
 
+def spread(x: np.ndarray, columns: int = 64) -> tuple[np.ndarray, np.ndarray]:
+    """Mean and deviation of each column, for some columns at a time: no copy of the whole is made."""
+    mean, deviation = np.zeros(x.shape[1], np.float32), np.zeros(x.shape[1], np.float32)
+    for i in range(0, x.shape[1], columns):
+        part = x[:, i : i + columns].astype(np.float32)
+        mean[i : i + columns], deviation[i : i + columns] = part.mean(0), part.std(0)
+    return mean, deviation
+
+
+def standard(x: np.ndarray, mean: np.ndarray, scale: np.ndarray) -> np.ndarray:
+    """A copy with each column moved and scaled, within 5 of 0: one array, and no others on the way."""
+    out = x.astype(np.float32)
+    out -= mean
+    out /= scale
+    return np.clip(out, -5, 5, out=out)
+
+
 def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps: int = 250, rate: float = 0.01, decay: float = 1e-3) -> Model:
     """Minimises prior * E_p[l(f)] + max(0, E_u[l(-f)] - prior * E_p[l(-f)]) with l the sigmoid loss, f linear.
 
@@ -49,9 +66,10 @@ def fit_nnpu(positive: np.ndarray, unlabelled: np.ndarray, prior: float, steps:
     if not len(positive) or not len(unlabelled):
         zero = np.zeros(unlabelled.shape[1] if unlabelled.ndim == 2 else positive.shape[1], np.float32)
         return Model(zero, zero + 1, zero, float(np.log(prior / (1 - prior))), prior)
-    mean, scale = unlabelled.mean(0), unlabelled.std(0) + np.float32(0.02)
-    used = np.flatnonzero((unlabelled.std(0) > 0) | (positive.std(0) > 0))
-    p, u = (np.clip((x[:, used] - mean[used]) / scale[used], -5, 5).astype(np.float32) for x in (positive, unlabelled))
+    mean, deviation = spread(unlabelled)
+    scale = deviation + np.float32(0.02)
+    used = np.flatnonzero((deviation > 0) | (spread(positive)[1] > 0))
+    p, u = (standard(x[:, used], mean[used], scale[used]) for x in (positive, unlabelled))
     w = np.zeros(len(used) + 1, np.float32)
     first, second = np.zeros_like(w), np.zeros_like(w)
     for t in range(1, steps + 1):
@@ -78,8 +96,9 @@ def estimated_prior(positive: np.ndarray, unlabelled: np.ndarray, steps: int = 1
     """
     if len(positive) < 2 or len(unlabelled) < 2:
         return 0.5
-    mean, scale = unlabelled.mean(0), unlabelled.std(0) + np.float32(0.02)
-    p, u = (np.clip((x - mean) / scale, -5, 5) for x in (positive, unlabelled))
+    mean, deviation = spread(unlabelled)
+    used = np.flatnonzero((deviation > 0) | (spread(positive)[1] > 0))
+    p, u = (standard(x[:, used], mean[used], deviation[used] + np.float32(0.02)) for x in (positive, unlabelled))
     scores: list[list[np.ndarray]] = [[], []]
     for half in (0, 1):
         a = np.vstack([p[half::2], u[half::2]])
@@ -112,7 +131,8 @@ def _features(batch: pa.RecordBatch, text: str) -> Iterator[np.ndarray]:
 
 
 def sampled_features(docs: DataFrame, ids: DataFrame, n_ids: int) -> tuple[list, np.ndarray]:
-    """Rows of ids (doc_id and others) and the features of their documents, of rows that repeat an id one; n_ids bounds what comes to the driver."""
+    """Rows of ids (doc_id and others) and the features of their documents as half floats, of rows that repeat an id one; n_ids bounds what
+    comes to the driver."""
     assert n_ids <= 100_000
     names = ids.columns
     joined = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(ids.hint("broadcast")), "doc_id")
@@ -124,8 +144,9 @@ def sampled_features(docs: DataFrame, ids: DataFrame, n_ids: int) -> tuple[list,
 
     schema = T.StructType([*ids.schema.fields, T.StructField("x", T.BinaryType())])
     one = joined.mapInArrow(run, schema).groupBy(*names).agg(F.min("x").alias("x"))
-    got = sorted(one.collect(), key=lambda r: (r["doc_id"], bytes(r["x"])))
-    return got, np.array([np.frombuffer(r["x"], np.float16) for r in got], np.float32)
+    got = sorted(((tuple(r)[:-1], bytes(r["x"])) for r in one.collect()), key=lambda r: (r[0][names.index("doc_id")], r[1]))
+    x = np.frombuffer(b"".join(r[1] for r in got), np.float16)
+    return [dict(zip(names, r[0], strict=True)) for r in got], x.reshape(len(got), -1) if len(got) else x
 
 
 def fit(docs: DataFrame, labels: DataFrame, most_positive: int = MOST_POSITIVE, most_unlabelled: int = MOST_UNLABELLED) -> Model:
@@ -138,8 +159,10 @@ def fit(docs: DataFrame, labels: DataFrame, most_positive: int = MOST_POSITIVE,
     rows, x = sampled_features(docs, p.unionByName(u), most_positive + most_unlabelled)
     kind = np.array([r["positive"] for r in rows], bool)
     if not len(rows):
-        x = np.zeros((0, shape_features(np.zeros(0, np.uint8), np.zeros(2, np.int64)).shape[1]), np.float32)
-    return fit_nnpu(x[kind], x[~kind], estimated_prior(x[kind], x[~kind]))
+        x = np.zeros((0, shape_features(np.zeros(0, np.uint8), np.zeros(2, np.int64)).shape[1]), np.float16)
+    positive, unlabelled = x[kind], x[~kind]
+    del rows, x
+    return fit_nnpu(positive, unlabelled, estimated_prior(positive, unlabelled))
 
 
 def with_score(docs: DataFrame, model: Model, text: str = "text", score: str = "score", keep_text: bool = True) -> DataFrame:

@@ -1,3 +1,4 @@
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -169,3 +170,17 @@ def test_mixing_edges(spark, rows):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     labels = spark.createDataFrame([(2, None, None), (None, 1, 0)], "doc_id long, quality int, toxic int")
     assert mixing.mixing_rates(docs, labels).count() == len(rows)
+
+
+def test_fitting_takes_little_of_the_driver():
+    # half of the columns say nothing, as most pairs of classes never occur; whole copies on the way took twice the samples' own size
+    r = np.random.default_rng(3)
+    x = (r.random((1800, 1200)) * (np.arange(1200) % 2)).astype(np.float32)
+    positive, unlabelled = x[:600] ** 2, x[600:]
+    tracemalloc.start()
+    try:
+        quality.fit_nnpu(positive, unlabelled, quality.estimated_prior(positive, unlabelled))
+        peak = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert peak < 1.6 * x.nbytes, peak / x.nbytes
