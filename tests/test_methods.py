@@ -387,3 +387,26 @@ def test_shuffle_files_of_earlier_rounds_go(spark, monkeypatch):
             break
         time.sleep(0.2)
     assert files() <= before + 8
+
+
+@pytest.mark.parametrize("text", [TEXT, "a" * 3000, "ab" * 1500, "", "x", "abaab" * 700 + "b"])
+@pytest.mark.parametrize("order", ["smallest", "largest"])
+def test_inverse_by_walks_and_by_jumps(spark, monkeypatch, text, order):
+    c = corpus.literal(spark, text, order=order)
+    t = cut(bwt.from_suffix_array(bucketed.build(c, r=4).select("rank", "pos"), c))
+    want = [(r.pos, r.code) for r in corpus.text(c).orderBy("pos").collect()]
+    if text == TEXT:
+        assert [tuple(r) for r in bwt.invert(t, c, most=1).orderBy("pos").collect()] == want
+    # no joins of all rows: a round for each power of two took most of the time
+    monkeypatch.setattr(bwt, "invert_by_jumps", None)
+    for step in (1, 8, 1024):
+        assert [tuple(r) for r in bwt.invert(t, c, step=step).orderBy("pos").collect()] == want
+
+
+def test_inverse_of_what_is_no_transform(small, small_sa):
+    t = bwt.from_suffix_array(small_sa, small)
+    with pytest.raises(ValueError):
+        bwt.invert(t.where("rank > 3"), small)
+    with pytest.raises(ValueError):
+        # every symbol once, but in an order with several cycles
+        bwt.invert(t.withColumn("rank", F.when(F.col("rank") == 9, 200).when(F.col("rank") == 200, 9).otherwise(F.col("rank"))), small)
