@@ -410,3 +410,14 @@ def test_inverse_of_what_is_no_transform(small, small_sa):
     with pytest.raises(ValueError):
         # every symbol once, but in an order with several cycles
         bwt.invert(t.withColumn("rank", F.when(F.col("rank") == 9, 200).when(F.col("rank") == 200, 9).otherwise(F.col("rank"))), small)
+
+
+def test_words_are_looked_up_in_the_text_itself(spark, small, monkeypatch):
+    words = ["the", "t", "at", "sat on the mat", "zzzz", "tail", "é", "q", "$", "", "a cat", TEXT[3:80], "xq" * 9, "tail" + "l" * 9]
+    rows = spark.createDataFrame([(x,) for x in [*words, "the"]], "word string")
+    want = sorted((x, i) for x in words if x for i in range(len(TEXT)) if TEXT.startswith(x, i))
+    assert sorted(tuple(r) for r in kmers.lookup_any(small, rows, most=0).collect()) == want
+    # the index of all k-mers was shuffled once for each length
+    monkeypatch.setattr(kmers, "hash_index", None)
+    assert sorted(tuple(r) for r in kmers.lookup_any(small, rows).collect()) == want
+    assert kmers.lookup_any(small, rows.limit(0)).collect() == []
