@@ -137,3 +137,23 @@ def test_whole_suffixes_are_compared_without_keeping_them():
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert order == np.argsort(bwt.local_ranks(codes)).tolist() and peak < 10e6
+
+
+@pytest.mark.parametrize("width", [1, 3, 5, 8, 9, 16])
+def test_radix_passes_take_several_columns(monkeypatch, width):
+    r = np.random.default_rng(width)
+    most = min((1 << width) - 1, 60000)
+    codes = np.append(r.integers(0, max(1, min(most, 4)), 400) * (most // 4), 0).astype(np.uint16)
+    codes[100:250] = codes[200:350]
+    read, positions = partial.array_reader(codes), np.sort(r.choice(401, 200, replace=False))
+    passes, real = [], np.argsort
+    monkeypatch.setattr(partial.np, "argsort", lambda *a, **k: passes.append(1) or real(*a, **k))
+    for cells in (1, 1 << 22):
+        monkeypatch.setattr(partial, "CELLS", cells)
+        for length in (1, 7, 64, 203):
+            passes.clear()
+            got = partial.radix_order(positions, read, length, width)
+            # one for each column before
+            assert len(passes) == -(-length // (16 // width))
+            rows = [read(positions[i : i + 1], 0, length)[0].tolist() for i in range(len(positions))]
+            assert got.tolist() == sorted(range(len(positions)), key=lambda i: rows[i])
