@@ -421,3 +421,24 @@ def test_words_are_looked_up_in_the_text_itself(spark, small, monkeypatch):
     monkeypatch.setattr(kmers, "hash_index", None)
     assert sorted(tuple(r) for r in kmers.lookup_any(small, rows).collect()) == want
     assert kmers.lookup_any(small, rows.limit(0)).collect() == []
+
+
+@pytest.mark.parametrize("pairing", ["block", "join"])
+def test_the_estimated_size_does_not_grow_with_the_rounds(spark, pairing):
+    c = corpus.literal(spark, "abcab" * 60)
+    ranks, h = cut(doubling.init_ranks(c)), 1
+    for _ in range(4):
+        ranks = cut(doubling.one_round(ranks, h, pairing, "distinct"))
+        h *= 2
+        assert ranks._jdf.queryExecution().logical().stats().sizeInBytes() <= 2**63 - 1
+    assert {tuple(x) for x in ranks.select("pos", "rnk").collect()} == {tuple(x) for x in doubling.build(c, pairing, "distinct", rounds=4, h0=1).ranks.collect()}
+
+
+def test_a_bounded_checkpoint_keeps_rows_and_their_partitions(spark):
+    big = spark.range(40).withColumn("x", F.col("id") % 7)
+    for name in "abcdefghij":
+        big = big.join(spark.range(40).withColumnRenamed("id", name), F.col("id") == F.col(name))
+    kept = cut_by(big.select("id", "x"), "id")
+    assert sorted(tuple(r) for r in kept.collect()) == [(i, i % 7) for i in range(40)]
+    assert kept._jdf.queryExecution().logical().stats().sizeInBytes() <= 2**63 - 1
+    assert kept._jdf.queryExecution().logical().outputPartitioning().toString().startswith("hashpartitioning(id")
