@@ -3,6 +3,7 @@
 import gc
 import random
 import time
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -442,3 +443,20 @@ def test_a_bounded_checkpoint_keeps_rows_and_their_partitions(spark):
     assert sorted(tuple(r) for r in kept.collect()) == [(i, i % 7) for i in range(40)]
     assert kept._jdf.queryExecution().logical().stats().sizeInBytes() <= 2**63 - 1
     assert kept._jdf.queryExecution().logical().outputPartitioning().toString().startswith("hashpartitioning(id")
+
+
+def test_a_checkpoint_of_numbers_is_small_and_keeps_its_partitions(spark):
+    stored = lambda: sum(f.stat().st_size for f in Path(spark.conf.get("spark.checkpoint.dir")).rglob("rdd-*/part-*"))
+    rows = spark.range(20000).select("id", (F.col("id") * 7919 % 20011).alias("x"), (F.col("id") % 2 == 0).alias("even"), F.when(F.col("id") > 5, F.col("id") / 2).alias("half"))
+    gc.collect()
+    before = stored()
+    held = session.cut_numbers(rows.repartitionByRange(5, "x").sortWithinPartitions("x"))
+    assert stored() - before < 20000 * 10
+    assert held.schema == rows.schema and held.exceptAll(rows).count() == 0 and held.count() == 20000
+    by = {}
+    for r in held.select(F.spark_partition_id().alias("p"), "x").collect():
+        by.setdefault(r.p, []).append(r.x)
+    assert len(by) == 5 and [x for p in sorted(by) for x in by[p]] == sorted(r.x for r in rows.collect())
+    assert session.cut_numbers(rows.where("id < 0")).count() == 0
+    words = spark.createDataFrame([("a",), (None,)], "t string")
+    assert session.cut_numbers(words).exceptAll(words).count() == 0
