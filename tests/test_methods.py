@@ -6,6 +6,7 @@ import time
 from pathlib import Path
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -460,3 +461,47 @@ def test_a_checkpoint_of_numbers_is_small_and_keeps_its_partitions(spark):
     assert session.cut_numbers(rows.where("id < 0")).count() == 0
     words = spark.createDataFrame([("a",), (None,)], "t string")
     assert session.cut_numbers(words).exceptAll(words).count() == 0
+
+
+@pytest.mark.parametrize("alone,order", [(1 << 23, "smallest"), (40, "largest")])
+def test_buckets_in_turns(spark, monkeypatch, alone, order):
+    from dataclasses import replace
+
+    from suffix_engine.operators import anchors
+
+    monkeypatch.setattr(anchors, "ALONE", alone)
+    r = random.Random(4)
+    base = "".join(r.choice("ab") for _ in range(900))
+    c = corpus.literal(spark, base + base[:700] + "c" + base + "a" * 90, order)
+    want = sa_of(base + base[:700] + "c" + base + "a" * 90, order)
+    turns = anchors.turns(c, 3, 6, 128)
+    assert turns.count == 3 and turns.buckets > 3
+    rows = lambda b, pos, first, before: pa.table({"bucket": np.full(len(pos), b), "ord": np.arange(len(pos)), "pos": pos})
+    # no turn has all suffixes, and together they have each once
+    got = [turns.each(t, rows, "bucket long, ord long, pos long").collect() for t in range(3)]
+    assert max(map(len, got)) < len(want)
+    assert [r.pos for part in got for r in sorted(part)] == want
+    n = len(want)
+    assert tuple(verify.check_turns(turns, c).first()) == (n, n, n, 0, 0)
+
+    class Wrong(anchors.Turns):
+        def each(self, turn, f, schema):
+            def swapped(b, pos, first, before):
+                i = next((i for i in range(len(pos) - 1) if first[i] == first[i + 1]), 0)
+                own = np.arange(len(pos))
+                own[i : i + 2] = own[i : i + 2][::-1]
+                return f(b, pos[own], first[own], before[own])
+
+            return super().each(turn, swapped, schema)
+
+    assert verify.check_turns(Wrong(turns.known, turns.shape, turns.borders, turns.count, turns.end), c) is None
+    assert verify.check_turns(replace(turns, borders=turns.borders[:-1], count=2), c) is not None
+
+
+def test_digests_tell_sequences_apart():
+    p = verify.PRIME
+    a, b = np.array([p - 1, 5, 1 << 60], np.uint64), np.array([p - 1, p - 2, 12345678901234567], np.uint64)
+    assert verify.times(a, b).tolist() == [int(x) * int(y) % p for x, y in zip(a.tolist(), b.tolist(), strict=True)]
+    code, values = np.array([1, 0, 1, 1]), np.array([7, 3, 8, 9])
+    assert verify.digests(code, values, (10,)) == [(0, 1, 3), (1, 3, 7 + 80 + 900)]
+    assert verify.digests(code, np.array([7, 3, 9, 8]), (10,))[1] != verify.digests(code, values, (10,))[1]
