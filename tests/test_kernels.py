@@ -157,3 +157,27 @@ def test_radix_passes_take_several_columns(monkeypatch, width):
             assert len(passes) == -(-length // (16 // width))
             rows = [read(positions[i : i + 1], 0, length)[0].tolist() for i in range(len(positions))]
             assert got.tolist() == sorted(range(len(positions)), key=lambda i: rows[i])
+
+
+@pytest.mark.parametrize("width", [2, 3, 7, 17, 33])
+def test_words_of_chunks_are_the_symbols_in_order(width):
+    from suffix_engine.operators import anchors, partial
+
+    r = np.random.default_rng(width)
+    part = r.integers(1, min(1 << width, 1 << 40), 400)
+    text = np.r_[part, part[:250], part[100:]]
+    s = anchors.shape(len(text), width, names=width > 31, size=1 << 12)
+    v = anchors.View(0, text, s)
+    v = anchors.View(0, text, s, v.find())
+    assert v.first == 0 and v.end == len(text)
+    places, padded = np.arange(len(text)), np.r_[text, np.zeros(s.seen, np.int64)].tolist()
+    columns = v.columns(places)
+    want = [padded[i : i + s.seen] for i in places]
+    order, place = partial.refine_columns([columns[f"w{j}"] for j in range(s.words)])
+    assert [want[i] for i in order] == sorted(want)
+    assert place.tolist() == [sorted(want).index(want[i]) for i in order]
+    # suffixes alike as far as the words go have their anchors equally far off
+    ahead, seen = v.anchors[v.number(places)] - places, {}
+    assert ahead.min() >= 0 and ahead.max() < s.window
+    for i in places:
+        assert seen.setdefault(tuple(want[i]), ahead[i]) == ahead[i]
