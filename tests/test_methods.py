@@ -5,6 +5,7 @@ import random
 import time
 from pathlib import Path
 
+import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -505,3 +506,12 @@ def test_digests_tell_sequences_apart():
     code, values = np.array([1, 0, 1, 1]), np.array([7, 3, 8, 9])
     assert verify.digests(code, values, (10,)) == [(0, 1, 3), (1, 3, 7 + 80 + 900)]
     assert verify.digests(code, np.array([7, 3, 9, 8]), (10,))[1] != verify.digests(code, values, (10,))[1]
+
+
+@pytest.mark.parametrize("name,n", [("english", 316488), ("dna", 376806), ("proteins", 376806)])
+def test_whole_texts_are_inverted(spark, name, n):
+    sf = "/root/testdata/sf0.001"
+    assert [tuple(r) for r in queries.queries()[f"check_{name}_inverse"](spark, sf).collect()] == [(n, n, 0)]
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
+    assert con.execute(queries.oracle_sql()[f"check_{name}_inverse"]).fetchall() == [(n, n, 0)]
