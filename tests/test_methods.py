@@ -515,3 +515,30 @@ def test_whole_texts_are_inverted(spark, name, n):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW documents AS SELECT * FROM '{sf}/documents.parquet'")
     assert con.execute(queries.oracle_sql()[f"check_{name}_inverse"]).fetchall() == [(n, n, 0)]
+
+
+@pytest.mark.parametrize("name", ["check_dna_refine", "check_english_refine", "check_proteins_refine", "check_dna_histogram", "check_dna_orderby"])
+def test_texts_over_the_bound_are_sorted_in_turns(spark, monkeypatch, name):
+    r = random.Random(9)
+    base = "".join(r.choice("acgt") for _ in range(3000))
+    c = corpus.literal(spark, base + base[:2000] + "aaaa" * 40)
+    monkeypatch.setattr(bucketed, "BROADCAST_SYMBOLS", 1000)
+    monkeypatch.setattr(queries.w, name.split("_")[1], lambda spark, d: c)
+    with monkeypatch.context() as m:
+        m.setattr(bucketed, "build", None)  # no table of all positions
+        assert tuple(queries.queries()[name](spark, "").first()) == (c.n, c.n, c.n, 0, 0)
+    splitters = name.split("_")[2]
+    options = {"splitters": splitters} if splitters != "refine" else {}
+    built = bucketed.build(c, k=3, r=6, **options)
+    assert [x.pos for x in built.orderBy("rank").collect()] == sa_of(base + base[:2000] + "aaaa" * 40)
+
+
+def test_borders_of_buckets(spark):
+    c = corpus.literal(spark, "ACGT" * 700 + "A" * 1200)
+    keys = sorted(x[0] for x in kmers.extract(c, 3).collect())
+    for splitters in ("histogram", "orderby"):
+        found = bucketed.borders(c, 3, 4, splitters) >> kmers.bits(c) * (kmers.widest(c) - 3)
+        assert 1 <= len(found) <= 3 and sorted(found) == list(found) and set(found) < set(keys)
+        # no bucket has more than two even shares and its last k-mer
+        sizes = np.diff(np.r_[0, np.searchsorted(keys, found), len(keys)])
+        assert sizes.min() > 0 and sizes.max() <= 2 * len(keys) // 4 + max(keys.count(k) for k in set(keys))
