@@ -542,3 +542,40 @@ def test_borders_of_buckets(spark):
         # no bucket has more than two even shares and its last k-mer
         sizes = np.diff(np.r_[0, np.searchsorted(keys, found), len(keys)])
         assert sizes.min() > 0 and sizes.max() <= 2 * len(keys) // 4 + max(keys.count(k) for k in set(keys))
+
+
+@pytest.mark.parametrize("order", ["smallest", "largest"])
+def test_transform_in_turns(spark, monkeypatch, order):
+    r = random.Random(11)
+    base = "".join(r.choice("abcd") for _ in range(2000))
+    text = base + base[:1500] + "z" + "a" * 70
+    c = corpus.literal(spark, text, order)
+    monkeypatch.setattr(queries.w, "english", lambda spark, d: c)
+    with monkeypatch.context() as m:
+        m.setattr(bucketed, "BROADCAST_SYMBOLS", 1000)
+        m.setattr(bucketed, "build", None)  # no table of all positions
+        t = bucketed.transform(c, count=3, r=6)
+        assert [x.rank for x in t.orderBy("rank").collect()] == list(range(c.n))
+        assert bwt.as_string(t, c) == bwt.encode(text, order)[0]
+        found = {x["of"]: (x.n, x.bits) for x in queries.queries()["bwt_mtf_entropy"](spark, "").collect()}
+    built = bucketed.build(c, reader="broadcast").select("rank", "code")
+    own, symbols, moved = built.orderBy("rank").collect(), list(range(c.sigma)), []
+    for x in own:
+        moved.append(symbols.index(x.code))
+        symbols.insert(0, symbols.pop(moved[-1]))
+    shares = np.unique(moved, return_counts=True)[1] / c.n
+    assert found["transform"] == (c.n, pytest.approx(-(shares * np.log2(shares)).sum()))
+    assert found["text"] == (c.n, pytest.approx(compress.entropy(built, "code").first().bits))
+
+
+def test_move_to_front_of_rows_in_any_order(spark):
+    codes = [0, 0, 3, 3, 3, 1, 0, 2, 2, 300, 300, 0] * 9
+    rows = spark.createDataFrame([(i, c) for i, c in enumerate(codes)], "rank long, code int").orderBy(F.xxhash64("rank"))
+    want = []
+    for i, c in enumerate(codes):
+        symbols = list(range(301)) if i % 8 == 0 else symbols
+        want.append(symbols.index(c))
+        symbols.insert(0, symbols.pop(want[-1]))
+    m = cut(compress.mtf(rows, 301, 8))
+    assert [x.mtf for x in m.orderBy("rank").collect()] == want
+    assert [x.code for x in compress.mtf(m, 301, 8, inverse=True).orderBy("rank").collect()] == codes
