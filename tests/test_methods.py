@@ -579,3 +579,40 @@ def test_move_to_front_of_rows_in_any_order(spark):
     m = cut(compress.mtf(rows, 301, 8))
     assert [x.mtf for x in m.orderBy("rank").collect()] == want
     assert [x.code for x in compress.mtf(m, 301, 8, inverse=True).orderBy("rank").collect()] == codes
+
+
+@pytest.mark.parametrize("rounds,h", [("paper", 1), ("early_stop", 3), (3, 1)])
+def test_packed_rounds_are_the_rounds_of_rows(spark, monkeypatch, rounds, h):
+    r = random.Random(5)
+    base = "".join(r.choice("ab") for _ in range(400))
+    text = base + "a" * 60 + base[:333]
+    c = corpus.literal(spark, text)
+    packed = doubling.build_packed(c, rounds, h, block=64, ranges=5)
+    monkeypatch.setattr(doubling, "build_packed", None)
+    monkeypatch.setattr(doubling, "MOST_PACKED", 1)
+    rows = doubling.build(c, "union_reduce", "global", rounds, h)
+    assert packed.ranks.exceptAll(rows.ranks).count() == 0 and packed.ranks.count() == c.n
+    of = lambda result: [(x.number, x.reach, x.groups, x.unresolved, x.rows) for x in result.rounds]
+    assert of(packed) == of(rows)
+    if rounds != 3:
+        assert ranks(packed.ranks) == sa_of(text)
+
+
+def test_published_rounds_move_blocks_of_ranks(spark, monkeypatch):
+    # a round over rows sends each rank as a row of its own
+    monkeypatch.setattr(doubling, "one_round", None)
+    for text in ("", "a", "BANANA" * 30):
+        assert ranks(queries._published(corpus.literal(spark, text)).ranks) == sa_of(text)
+
+
+def test_letters_of_texts(spark, tmp_path):
+    texts = ["Abc-xyz", None, "", "É$ßK İzZ\n09 aä\U0001f600b", "x" * 50, "ſ"]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    rows.repartition(3).write.parquet(str(tmp_path / "documents.parquet"))
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    for alphabet in (queries.w.NUCLEOTIDES, queries.w.AMINO_ACIDS):
+        want = rows.select("doc_id", F.translate(F.regexp_replace(F.lower("text"), "[^a-z]", ""), letters, (alphabet * 26)[:26]).alias("text"))
+        got = queries.w.letters_rows(spark, str(tmp_path), alphabet)
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+        assert got.where("text is null").count() == 1
+        assert queries.w.letters_rows(spark, str(tmp_path), alphabet).where("doc_id < 0").count() == 0
