@@ -581,16 +581,16 @@ def test_move_to_front_of_rows_in_any_order(spark):
     assert [x.code for x in compress.mtf(m, 301, 8, inverse=True).orderBy("rank").collect()] == codes
 
 
-@pytest.mark.parametrize("rounds,h", [("paper", 1), ("early_stop", 3), (3, 1)])
-def test_packed_rounds_are_the_rounds_of_rows(spark, monkeypatch, rounds, h):
+@pytest.mark.parametrize("rounds,h,pairing,rerank", [("paper", 1, "union_reduce", "global"), ("early_stop", 3, "union_reduce", "global"), (3, 1, "union_reduce", "global"), ("paper", 1, "join", "group"), (8, 5, "join", "group")])
+def test_packed_rounds_are_the_rounds_of_rows(spark, monkeypatch, rounds, h, pairing, rerank):
     r = random.Random(5)
     base = "".join(r.choice("ab") for _ in range(400))
     text = base + "a" * 60 + base[:333]
     c = corpus.literal(spark, text)
-    packed = doubling.build_packed(c, rounds, h, block=64, ranges=5)
+    packed = doubling.build_packed(c, rounds, h, pairing, rerank, block=64, ranges=5)
     monkeypatch.setattr(doubling, "build_packed", None)
     monkeypatch.setattr(doubling, "MOST_PACKED", 1)
-    rows = doubling.build(c, "union_reduce", "global", rounds, h)
+    rows = doubling.build(c, pairing, rerank, rounds, h, active_only=False)
     assert packed.ranks.exceptAll(rows.ranks).count() == 0 and packed.ranks.count() == c.n
     of = lambda result: [(x.number, x.reach, x.groups, x.unresolved, x.rows) for x in result.rounds]
     assert of(packed) == of(rows)
@@ -603,6 +603,8 @@ def test_published_rounds_move_blocks_of_ranks(spark, monkeypatch):
     monkeypatch.setattr(doubling, "one_round", None)
     for text in ("", "a", "BANANA" * 30):
         assert ranks(queries._published(corpus.literal(spark, text)).ranks) == sa_of(text)
+    literal = queries._variants()["doubling_literal_rounds"](corpus.literal(spark, "BANANA" * 30))
+    assert [x.pos for x in literal.orderBy("rank").collect()] == sa_of("BANANA" * 30)
 
 
 def test_letters_of_texts(spark, tmp_path):
